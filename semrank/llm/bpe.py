@@ -3,9 +3,9 @@
 The rank file is compiled into a byte trie of its tokens and a predicate: two tokens may follow
 one another if byte-pair merging leaves their joint bytes as just these two. The encoding of
 a piece is the one chain of tokens in which all neighbours may follow. The transducer reads bytes; its
-state is the set of open tokens (a trie node, the token before, and output that is not yet
-certain). A step that was taken before is looked up; a new one is worked out once and kept.
-Tokens are emitted as soon as all open chains agree on them: lookahead is bounded by the longest token.
+state is the set of open tokens (a trie node, and the token before). A step that was taken before
+is looked up; a new one is worked out once and kept. Each step tells the token that ends there;
+tokens are emitted as soon as all open chains agree on them: lookahead is bounded by the longest token.
 As the reference library does, a piece that is itself a token is that token.
 
 Decoding streams: token bytes pass through an incremental UTF-8 state machine that holds back at most
@@ -35,7 +35,9 @@ VOCABULARY = "byte_bpe_multi_50k.tiktoken"
 #: The reference pattern, with its blanks spelled out as Unicode's White_Space.
 WHITE = r"\t\n\x0b\x0c\r \x85\xa0  -     　"
 MEMO = 400_000
-ROOT, START = 0, -1
+ROOT, START, NEVER = 0, -1, 1 << 60
+#: A piece longer than this many bytes is encoded as a stream.
+LOOK = 256
 
 
 def read_ranks(path: str) -> dict[bytes, int]:
@@ -43,94 +45,153 @@ def read_ranks(path: str) -> dict[bytes, int]:
         return {base64.b64decode(a): int(b) for a, b in map(bytes.split, f)}
 
 
-def plain_merge(piece: bytes, ranks: dict[bytes, int]) -> list[int]:
-    """Byte-pair merging by the definition: the least rank first, leftmost of equals."""
+def plain_merge(piece: bytes, ranks: dict[bytes, int], below: int = NEVER) -> list[int]:
+    """Byte-pair merging by the definition, with merges of a rank under ``below``: the least rank first, leftmost of equals."""
     parts = [piece[i : i + 1] for i in range(len(piece))]
     while len(parts) > 1:
-        rank, i = min((ranks.get(a + b, 1 << 60), i) for i, (a, b) in enumerate(zip(parts, parts[1:], strict=False)))
-        if rank == 1 << 60:
+        rank, i = min((ranks.get(a + b, NEVER), i) for i, (a, b) in enumerate(zip(parts, parts[1:], strict=False)))
+        if rank >= below:
             break
         parts[i : i + 2] = [parts[i] + parts[i + 1]]
     return [ranks[p] for p in parts]
 
 
 class Transducer:
+    """Over a rank table, bytes -> id; ids are the ranks of merges."""
+
     def __init__(self, ranks: dict[bytes, int]):
         self.ranks, self.tokens = ranks, {i: b for b, i in ranks.items()}
+        self.lengths = {i: len(b) for b, i in ranks.items()}
         self.child: dict[int, int] = {}
         self.token_at: dict[int, int] = {}
         self.inner: set[int] = set()
-        self.follow: dict[tuple[int, int], bool] = {}
-        nodes = 1
+        self.halves: dict[int, tuple[int, int] | None] = {}
+        self.follow: dict[int, bool] = {}
+        self.depth = [0]
         for token, rank in ranks.items():
             at = ROOT
             for b in token:
                 self.inner.add(at)
                 key = at << 8 | b
                 if key not in self.child:
-                    self.child[key] = nodes
-                    nodes += 1
+                    self.child[key] = len(self.depth)
+                    self.depth.append(self.depth[at] + 1)
                 at = self.child[key]
             self.token_at[at] = rank
         self.reset()
 
     def reset(self) -> None:
-        self.states: list[tuple] = [((ROOT, START, ()),)]
-        self.known: dict[tuple, int] = {self.states[0]: 0}
-        self.steps: dict[int, tuple[int, tuple[int, ...]]] = {}
+        first = ((ROOT, START),)
+        self.states: list[tuple] = [first]
+        self.known: dict[tuple, int] = {first: 0}
+        self.steps: dict[int, tuple[int, int]] = {}
+
+    def split(self, token: int) -> tuple[int, int] | None:
+        """The two tokens that byte-pair merging joins last; None for a byte, or a token that merging never makes."""
+        if token not in self.halves:
+            parts = plain_merge(self.tokens[token], self.ranks, token)
+            self.halves[token] = (parts[0], parts[1]) if len(parts) == 2 else None
+        return self.halves[token]
 
     def may_follow(self, a: int, b: int) -> bool:
-        memo = self.follow
-        found = memo.get((a, b))
+        """Does merging leave the bytes of a and b as a, b?
+
+        Going back in time from the finished tokens, the parts that touch at the boundary are unmade in
+        the reverse order of their making. If some two that touched had a merge that was due
+        before either went into a larger part (on equal rank the left one merges first), it would have crossed.
+        """
+        key = a << 32 | b
+        found = self.follow.get(key)
         if found is None:
-            if len(memo) > MEMO:
-                memo.clear()
-            left = b"" if a == START else self.tokens[a]
-            found = memo[a, b] = plain_merge(left + self.tokens[b], self.ranks) == ([b] if a == START else [a, b])
+            if len(self.follow) > MEMO:
+                self.follow.clear()
+            found = self.follow[key] = self._apart(a, b)
         return found
 
-    def step(self, state: int, byte: int) -> tuple[int, tuple[int, ...]]:
-        """The state after ``byte``, and the tokens that are now certain."""
-        after, done = [], None
-        for node, last, held in self.states[state]:
-            to = self.child.get(node << 8 | byte)
+    def _apart(self, a: int, b: int) -> bool:
+        if self.lengths[b] > 1 and self.split(b) is None or a != START and self.lengths[a] > 1 and self.split(a) is None:
+            return False
+        if a == START:
+            return True
+        tokens, ranks = self.tokens, self.ranks
+        a_goes = b_goes = NEVER
+        while True:
+            crossing = ranks.get(tokens[a] + tokens[b], NEVER)
+            if crossing < a_goes and crossing <= b_goes and crossing != NEVER:
+                return False
+            left, right = self.split(a), self.split(b)
+            if left is None and right is None:
+                return True
+            if right is None or left is not None and a > b:
+                a_goes, a = a, left[1]
+            else:
+                b_goes, b = b, right[0]
+
+    def step(self, state: int, byte: int) -> tuple[int, int]:
+        """The state after ``byte``, and the token that ends the encoding of what has been read."""
+        after, done, child, inner = [], None, self.child, self.inner
+        for node, last in self.states[state]:
+            to = child.get(node << 8 | byte)
             if to is None:
                 continue
-            token = self.token_at.get(to)
-            if token is not None and done is None and self.may_follow(last, token):
-                done = (ROOT, token, (*held, token))
-            if to in self.inner:
-                after.append((to, last, held))
-        after.append(done)
-        sure = 0
-        shortest = min(len(x[2]) for x in after)
-        while sure < shortest and len({x[2][sure] for x in after}) == 1:
-            sure += 1
-        out = done[2][:sure]
-        new = tuple(sorted((n, t, h[sure:]) for n, t, h in after))
+            if done is None:
+                token = self.token_at.get(to)
+                if token is not None and self.may_follow(last, token):
+                    done = token
+            if to in inner:
+                after.append((to, last))
+        after.append((ROOT, done))
+        new = tuple(after)
         at = self.known.get(new)
         if at is None:
             at = self.known[new] = len(self.states)
             self.states.append(new)
-        found = self.steps[state << 8 | byte] = (at, out)
+        found = self.steps[state << 8 | byte] = (at, done)
         return found
 
+    def feed(self, pieces: Iterator[bytes]) -> Iterator[int]:
+        """Tokens of a byte stream, each as soon as no open chain can undo it (checked every ``LOOK`` bytes)."""
+        state, ends = 0, []
+        for chunk in pieces:
+            for i in range(0, len(chunk), LOOK):
+                for b in chunk[i : i + LOOK]:
+                    found = self.steps.get(state << 8 | b) or self.step(state, b)
+                    state = found[0]
+                    ends.append(found[1])
+                chains = [self.chain(ends, len(ends) - self.depth[node]) for node, _ in self.states[state]]
+                sure = 0
+                while sure < min(map(len, chains)) and len({c[sure] for c in chains}) == 1:
+                    sure += 1
+                yield from chains[-1][:sure]
+                del ends[: sum(self.lengths[t] for t in chains[-1][:sure])]
+        yield from self.chain(ends, len(ends))
+
+    def chain(self, ends: list[int], at: int) -> list[int]:
+        """The tokens of the first ``at`` bytes, from the token that ends at each place."""
+        out = []
+        while at > 0:
+            token = ends[at - 1]
+            out.append(token)
+            at -= self.lengths[token]
+        out.reverse()
+        return out
+
     def run(self, piece: bytes) -> tuple[int, ...]:
         whole = self.ranks.get(piece)
         if whole is not None:
             return (whole,)
         if len(self.states) > MEMO or len(self.steps) > MEMO:
             self.reset()
-        state, out, steps = 0, [], self.steps
+        if len(piece) > LOOK:
+            return tuple(self.feed(iter((piece,))))
+        state, ends, steps = 0, [], self.steps
         for b in piece:
             found = steps.get(state << 8 | b)
             if found is None:
                 found = self.step(state, b)
             state = found[0]
-            if found[1]:
-                out += found[1]
-        # what is left is the chain that ends here
-        return (*out, *next(h for n, _, h in self.states[state] if n == ROOT))
+            ends.append(found[1])
+        return tuple(self.chain(ends, len(ends)))
 
 
 class Utf8Stream:
@@ -198,13 +259,20 @@ def ranks_of(path: str | None) -> dict[bytes, int]:
     return read_ranks(path or public_tokenizers.path(VOCABULARY))
 
 
+def compiled(shared: dict) -> ByteBpe:
+    """The coder of this worker process: a broadcast value outlives a task, so its memos do too."""
+    if "coder" not in shared:
+        shared["coder"] = ByteBpe(shared["ranks"])
+    return shared["coder"]
+
+
 def coder(spark: SparkSession, path: str | None, body, returns: str):
     """A vectorised function of a text column that runs ``body(bpe, text)``."""
-    ranks = spark.sparkContext.broadcast(ranks_of(path))
+    shared = spark.sparkContext.broadcast({"ranks": ranks_of(path)})
 
     @F.pandas_udf(returns)
     def code(texts: Iterator[pd.Series]) -> Iterator[pd.DataFrame]:
-        bpe = ByteBpe(ranks.value)
+        bpe = compiled(shared.value)
         names = [x.split()[0] for x in returns.removeprefix("struct<").removesuffix(">").replace(":", " ").split(",")]
         for s in texts:
             yield pd.DataFrame([body(bpe, t or "") for t in s], columns=names)
@@ -234,11 +302,11 @@ def encode(docs: DataFrame, *, doc_id: str = "doc_id", text: str = "text", path:
 
 def decode(encoded: DataFrame, *, ids: str = "ids", to: str = "text", path: str | None = None) -> DataFrame:
     """``encoded`` and the text that its ids stand for."""
-    ranks = encoded.sparkSession.sparkContext.broadcast(ranks_of(path))
+    shared = encoded.sparkSession.sparkContext.broadcast({"ranks": ranks_of(path)})
 
     @F.pandas_udf("string")
     def back(rows: Iterator[pd.Series]) -> Iterator[pd.Series]:
-        bpe = ByteBpe(ranks.value)
+        bpe = compiled(shared.value)
         for s in rows:
             yield pd.Series([bpe.decode(list(x)) if x is not None else "" for x in s], dtype=object)
 
