@@ -151,19 +151,28 @@ def slide_window(keys: Sequence[Key], path: PathConfig, k: int | None) -> Steps:
 
 
 def merge_two(a: Sequence[int], b: Sequence[int], m: int, k: int | None) -> Generator[list[int], list[int], list[int]]:
-    """Merge two runs of ids, best first: yields buffers, is sent their order, returns the merged run (at most k)."""
-    h, i, j, out = max(m // 2, 1), 0, 0, []
+    """Merge two runs of ids, best first: yields buffers, is sent their order, returns the merged run (at most k).
+
+    A buffer holds up to m/2 unread ids of each run; its order is emitted until one run's share is used up. A reply may
+    contradict a run's own order: ids that were passed over then stay at the head of their run, so none is lost or doubled.
+    """
+    h, out = max(m // 2, 1), []
+    # read positions, and ids that were shown but not emitted
+    at, held, runs = [0, 0], [[], []], (a, b)
     want = len(a) + len(b) if k is None else min(k, len(a) + len(b))
-    while len(out) < want and i < len(a) and j < len(b):
-        left, right = a[i : i + h], b[j : j + h]
-        mine, seen = set(left), [0, 0]
-        for x in (yield [*left, *right]):
+    while True:
+        for s in (0, 1):
+            more = runs[s][at[s] : at[s] + h - len(held[s])]
+            held[s], at[s] = [*held[s], *more], at[s] + len(more)
+        if len(out) >= want or not held[0] or not held[1]:
+            return [*out, *held[0], *a[at[0] :], *held[1], *b[at[1] :]][:want]
+        left = {**dict.fromkeys(held[0], 0), **dict.fromkeys(held[1], 1)}
+        for x in (yield [*held[0], *held[1]]):
             out.append(x)
-            seen[x not in mine] += 1
-            if seen[0] == len(left) or seen[1] == len(right):
+            s = left.pop(x)
+            if s not in left.values():
                 break
-        i, j = i + seen[0], j + seen[1]
-    return [*out, *a[i:], *b[j:]][:want]
+        held = [[x for x in held[s] if x in left] for s in (0, 1)]
 
 
 def merge_round(runs: list[list[int]], by_id: dict[int, Key], m: int, k: int | None) -> Generator[Wave, list, list[list[int]]]:
