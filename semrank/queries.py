@@ -15,11 +15,14 @@ from pyspark.sql import functions as F
 from semrank.exec.call import ResponseCache
 from semrank.exec.index import indexed
 from semrank.exec.packed import rankings_of, run_paths, usage_of
+from semrank.exec.replies import fit_batch, parse_orders
 from semrank.exec.scratch import Scratch
+from semrank.exec.split import split_merge
 from semrank.exec.waves import merge_waves, quick_waves, score_waves
 from semrank.functions import metrics as M
 from semrank.operators.frame import llm_order_by
 from semrank.operators.fuse import fuse_borda, fuse_rrf
+from semrank.operators.relational import as_of_join, interval_join, rank_by_many
 from semrank.operators.retrieval import bm25_topn, proxy_rank, vector_topn
 from semrank.operators.sql import register_udtf, semantic_score, semantic_sql
 from semrank.plans import optimizer as O
@@ -419,6 +422,23 @@ def dropped(spark, sf):
     return items.select("task_id", "item_id").exceptAll(kept.select("task_id", "item_id"))
 
 
+_TAU_W1 = f"""z AS (SELECT *, {score_sql('factual', False)} AS score FROM i), r AS (SELECT task_id, item_id, grade, row_number() OVER (PARTITION BY task_id ORDER BY score DESC, item_id) AS rnk FROM z)
+SELECT a.task_id, 'point' AS path_id, round({{}}, 6) AS tau FROM r a JOIN r b ON a.task_id = b.task_id AND a.rnk < b.rnk GROUP BY a.task_id"""
+for _n, _w, _v, _e in (("kendall_tau_w1", "w1", "a", "avg(sign(a.grade - b.grade))"), ("kendall_tau_b_w2", "w2", "b", "sum(sign(a.grade - b.grade)) / sqrt(count(*)::DOUBLE * count(*) FILTER (a.grade <> b.grade))")):
+    query(_n, items_sql(_w, _TAU_W1.format(_e)))(
+        lambda s, d, w=_w, v=_v: (lambda i: M.kendall_tau(rankings_of(run_paths(i, [POINT], SimBackend("factual"))), T.truth_of(i), v).select("task_id", "path_id", F.round("tau", 6).alias("tau")))(T.workload(s, d, w))
+    )
+
+_FLOOR = items_sql("w5b", "r AS (SELECT task_id, item_id, grade, 'random' AS path_id, row_number() OVER (PARTITION BY task_id ORDER BY CAST('0x' || substr(md5('7|floor|' || item_id), 1, 8) AS BIGINT), item_id) AS rnk FROM i UNION ALL SELECT task_id, item_id, grade, 'first_stage', pos + 1 FROM i), " + ndcg_sql("grade"))
+
+
+@query("floors_w5b", _FLOOR + " SELECT task_id, path_id, round(ndcg, 6) AS ndcg FROM nd")
+def floors(spark, sf):
+    """Input order and random order: what any path must beat."""
+    items = T.workload(spark, sf, "w5b")
+    return M.ndcg_at(random_order(items).unionByName(first_stage(items)), T.truth_of(items)).select("task_id", "path_id", F.round("ndcg", 6).alias("ndcg"))
+
+
 # ---- experiments --------------------------------------------------------------------------------------------------------
 
 
@@ -480,6 +500,19 @@ def cost_error(spark, sf):
     return M.mape(est, M.total_cost(usage_of(run_paths(items, paths, backend))))
 
 
+for _w in ("w6", "w7"):
+
+    @query(f"cost_error_{_w}")
+    def _cost_error(spark, sf, w=_w):
+        """The same for the value and list paths of another workload."""
+        items = T.workload(spark, sf, w, k=10)
+        backend, paths = SimBackend("reasoning"), [POINT, EXT_POINT, EXT_BUBBLE, EXT_MERGE, QUICK]
+        sample = O.sample_items(items)
+        probe = M.total_cost(usage_of(run_paths(sample, paths, backend))).select("task_id", "path_id", "nano_usd")
+        sizes = items.groupBy("task_id").agg(F.count("*").alias("n"), F.first("k").alias("k")).join(sample.groupBy("task_id").agg(F.count("*").alias("s")), "task_id")
+        return M.mape(estimate(probe, sizes, candidates_frame(spark, paths)), M.total_cost(usage_of(run_paths(items, paths, backend))))
+
+
 @query("latency_w3")
 def latency_w3(spark, sf):
     """Mean depth in sequential calls and seconds per path."""
@@ -621,4 +654,32 @@ def stream_session_rank(spark, sf):
     return s.select("user_id", "n", F.row_number().over(w).cast("bigint").alias("rnk"))
 
 
+# ---- around the methods ------------------------------------------------------------------------------------------------
+
+query("split_merge_w1", exact_sql("w1"))(lambda s, d: split_merge(T.workload(s, d, "w1"), SimBackend(), 5))
+
+
+@query("as_of_price", "WITH p AS (SELECT user_id, ts, value AS price FROM events WHERE event_type = (SELECT min(event_type) FROM events)), e AS (SELECT event_id, user_id, ts FROM events WHERE event_type <> (SELECT min(event_type) FROM events)) SELECT event_id, (SELECT max_by(price, (ts, price)) FROM p WHERE p.user_id = e.user_id AND p.ts <= e.ts) AS price FROM e")
+def as_of_price(spark, sf):
+    """For each event the value of the user's last event of the first type."""
+    e = T.load(spark, sf, "events")
+    first = e.agg(F.min("event_type").alias("t"))
+    e = e.crossJoin(F.broadcast(first))  # one row
+    return as_of_join(e.where("event_type <> t").select("event_id", "user_id", "ts"), e.where("event_type = t").select("user_id", "ts", "value"), "user_id", "ts", "value", "price").select("event_id", "price")
+
+
+query("events_within_an_hour", "SELECT a.user_id, count(*) AS pairs FROM events a JOIN events b ON a.user_id = b.user_id AND b.ts > a.ts AND b.ts <= a.ts + INTERVAL 1 HOUR GROUP BY a.user_id")(
+    lambda s, d: (lambda e: interval_join(e, e, "user_id", "ts", 3600).groupBy("user_id").agg(F.count("*").alias("pairs")))(T.load(s, d, "events").select("user_id", "ts"))
+)
+query("weighted_criteria_w5", _R2 + ", wf AS (SELECT task_id, item_id, sum(1000000000000 // (60 + rnk) * CASE path_id WHEN 'point' THEN 3 ELSE 1 END) AS f FROM r GROUP BY ALL) SELECT task_id, item_id, row_number() OVER (PARTITION BY task_id ORDER BY f DESC, item_id) AS rnk FROM wf")(
+    lambda s, d: rank_by_many(value_ranks(s, d)[1], {"point": 3, "ext_point_4": 1})
+)
+_REPLIES = [(1, '{"order": [3, 1, 2]}', [1, 2, 3]), (2, '{"order": [3, 9, 3]}', [1, 2, 3]), (3, "no json", [5, 4]), (4, '{"order": "3"}', [7])]
+query("reply_repair", "SELECT * FROM (VALUES (1, '3,1,2', false), (2, '3,1,2', true), (3, '5,4', true), (4, '7', true)) t(req_id, fixed, repaired)")(
+    lambda s, d: parse_orders(s.createDataFrame(_REPLIES, "req_id int, reply string, shown array<bigint>")).select("req_id", F.array_join(F.transform("order", lambda x: x.cast("string")), ",").alias("fixed"), "repaired")
+)
+query("fit_batch_w5", items_sql("w5", "x AS (SELECT task_id, length(key) AS c, row_number() OVER (PARTITION BY task_id ORDER BY length(key) DESC) AS q FROM i), y AS (SELECT *, sum(c) OVER (PARTITION BY task_id ORDER BY q) AS t FROM x WHERE q <= 8) SELECT task_id, CAST(greatest(coalesce(max(q) FILTER (ceil((t + 200) / 4.0) <= 6000), 1), 1) AS INT) AS m FROM y GROUP BY task_id"))(
+    lambda s, d: fit_batch(T.workload(s, d, "w5").select("task_id", F.length("key").alias("chars")), 8, 6000)
+)
+
 __all__ = ["ORACLES", "QUERIES", "calls", "exact_calls"]
