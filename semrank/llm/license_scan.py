@@ -58,8 +58,8 @@ RULES = (
 )
 #: One of these is in every known sentence, in lower case.
 WORDS = ("licens", "permission", "free software", "program", "redistribut")
-#: A sentence ends at a line's end, or at . ! ? : ; before a blank.
-END = r"\n|([.!?:;]) "
+#: A sentence ends at a line's end, or at . ! ? ; before a blank.
+END = r"\n|([.!?;]) "
 MARK = "\u0001"
 
 

@@ -120,8 +120,6 @@ def _licenses() -> str:
     """Rules over a text whose identifiers are each in it once or more: rule by rule, sentences used up in order."""
     steps, last = ["step0 AS (SELECT doc_id, sentence_ids, n_sentences, ',' || sentence_ids || ',' AS j, '' AS names FROM found)"], 0
     for k, (name, ids) in enumerate(license_scan.RULES, 1):
-        # an identifier is put out of use by a leading #
-        pattern = "(.*)".join(f",({i})," if n == 0 else f"(?:,)?({i})," for n, i in enumerate(ids))
         steps.append(
             f"step{k} AS (SELECT doc_id, sentence_ids, n_sentences, "
             f"CASE WHEN hit THEN regexp_replace(j, '{','.join(ids) if len(ids) == 1 else '.*'.join(ids)}', '#', 'g') ELSE j END AS j, "
@@ -129,13 +127,12 @@ def _licenses() -> str:
             f"FROM (SELECT *, regexp_matches(j, ',{',(?:.*,)?'.join(ids)},') AS hit FROM step{k - 1}))"
         )
         last = k
-        del pattern
     return ", ".join(steps) + f" SELECT doc_id, n_sentences, sentence_ids, names AS licenses FROM step{last}"
 
 
 OP8 = rf"""
 WITH known(s, k) AS (VALUES {_KNOWN}),
-cut AS (SELECT doc_id, string_split(regexp_replace(replace(coalesce(text, ''), chr(13), ' '), '\n|([.!?:;]) ', '\1' || chr(1), 'g'), chr(1)) AS p FROM documents),
+cut AS (SELECT doc_id, string_split(regexp_replace(replace(coalesce(text, ''), chr(13), ' '), '\n|([.!?;]) ', '\1' || chr(1), 'g'), chr(1)) AS p FROM documents),
 parts AS (SELECT doc_id, unnest(p) AS s, generate_subscripts(p, 1) AS i FROM cut),
 hits AS (SELECT doc_id, i, k FROM parts p JOIN known ON trim(regexp_replace(lower(p.s), '[^a-z0-9]+', ' ', 'g')) = known.s),
 found AS (
