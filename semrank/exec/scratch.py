@@ -32,12 +32,27 @@ def shared_dir(spark: SparkSession) -> str:
     return _OWN[app]
 
 
+_MADE: list[Scratch] = []
+
+
+def _clear() -> None:
+    """At the end of the process, while the session still runs: the tables go."""
+    for s in _MADE:
+        try:
+            delete_path(s.spark, s.root)
+        except Exception:  # the session has ended: what clears the checkpoint folder clears these
+            return
+
+
 class Scratch:
-    """One operator run's folder of written tables."""
+    """One operator run's folder of written tables; it lives as long as the process, as results read from it."""
 
     def __init__(self, spark: SparkSession, label: str):
         self.spark = spark
         self.root = f"{shared_dir(spark)}/{label}-{uuid.uuid4().hex}"
+        if not _MADE:
+            atexit.register(_clear)
+        _MADE.append(self)
 
     def path(self, name: str) -> str:
         return f"{self.root}/{name}"
