@@ -35,7 +35,7 @@ ALPHA, BETA, L1, L2 = 0.5, 1.0, 0.01, 1.0
 SCALE = 10.0
 CUT = 0.3
 PIECE = re.compile(r"[^\W_]+|[^\w\s]+|_+")
-CACHE = 300_000
+CACHE, LONGEST = 300_000, 256
 ODD = np.array([0x9E3779B97F4A7C15, 0xC2B2AE3D27D4EB4F, 0x165667B19E3779F9], dtype=np.uint64)
 
 
@@ -54,7 +54,9 @@ class Pieces(dict):
         if len(self) > CACHE:
             self.clear()
         lex = xxhash.xxh32_intdigest(piece.lower().encode("utf-8", "surrogatepass"))
-        self[piece] = out = xxhash.xxh32_intdigest(shape(piece).encode("utf-8", "surrogatepass"), 7) << 32 | lex
+        out = xxhash.xxh32_intdigest(shape(piece).encode("utf-8", "surrogatepass"), 7) << 32 | lex
+        if len(piece) <= LONGEST:
+            self[piece] = out
         return out
 
 
