@@ -10,12 +10,12 @@ have a probability under ``miss``.
 The join goes deeper only where it has to:
 
 1. Documents with equal sets are one class, and each class sends one representative.
-2. At every depth of ``DEPTHS``, nodes come from the representatives' paths. Each node compares its least
-   document with the others; components are found from the links that hold.
-3. Nodes whose documents are in one component already are done. Small open nodes compare
-   the pairs between components exhaustively. Documents of large open nodes (a line or passage that many
-   share) go on to the next depth, where unlike ones part.
-4. Nodes that are large and open at the last depth compare all their pairs between components, in blocks.
+2. At the first depth each node compares its least document with the others; components are found from the
+   links that hold, which settles most groups of copies.
+3. At every depth of ``DEPTHS``, nodes whose documents are in one component are done. Small open nodes compare
+   the pairs between components exhaustively, middling ones all their documents within one task. Documents of nodes
+   that are larger still (a line or passage that many share) go on to the next depth, where unlike ones part.
+4. Nodes that are large and open at the last depth compare all their documents too, in cells of bounded size.
 
 Every link is confirmed on the full sets, by 64-bit hashes of shingles.
 
@@ -36,6 +36,7 @@ import math
 from collections.abc import Iterator
 
 import numpy as np
+import pandas as pd
 import pyarrow as pa
 import xxhash
 from pyspark.sql import DataFrame
@@ -47,13 +48,15 @@ from semrank.llm.text import fresh, row_key
 WIDTH = 5
 #: A link: MATCH[0] * intersection >= MATCH[1] * union.
 MATCH = (100, 75)
-DEPTHS = (1, 2, 4, 8)
+DEPTHS = (1, 4, 8)
 MISS = 1e-6
 #: A node of up to so many documents is small.
 SMALL = 24
-#: Pairs of a large open node at the last depth are made block by block, so many documents a block.
-BLOCK = 256
-CACHE = 300_000
+#: A node of up to so many documents is compared whole in one task; larger ones at the last depth in cells of that size.
+CELL = 1536
+#: Shingles per matrix product in a cell.
+SLICE = 4096
+CACHE, LONGEST = 300_000, 256
 #: Odd multipliers of the shingle hash and of its last mixing steps.
 ODD = np.array([0x9E3779B97F4A7C15, 0xC2B2AE3D27D4EB4F, 0x165667B19E3779F9, 0xD6E8FEB86659FD93, 0xFF51AFD7ED558CCD], dtype=np.uint64)
 MIX = np.uint64(0xC4CEB9FE1A85EC53)
@@ -70,7 +73,9 @@ class WordHashes(dict):
     def __missing__(self, word: bytes) -> int:
         if len(self) > CACHE:
             self.clear()
-        self[word] = out = xxhash.xxh64_intdigest(word)
+        out = xxhash.xxh64_intdigest(word)
+        if len(word) <= LONGEST:
+            self[word] = out
         return out
 
 
@@ -179,10 +184,40 @@ def components(links: DataFrame, scratch: Scratch, label: str) -> DataFrame:
             return now
 
 
-def near_duplicates(docs: DataFrame, *, doc_id: str = "doc_id", text: str = "text", miss: float = MISS, small: int = SMALL) -> DataFrame:
+def cell_links(f: pd.DataFrame) -> pd.DataFrame:
+    """Exact links between components among the documents of one cell, as a spanning forest: intersections of all
+    pairs at once, as products of 0/1 matrices over so many shingles at a time."""
+    hashes = WordHashes()
+    f = f.drop_duplicates(["id", "row"]).sort_values(["id", "row"])
+    sets = [shingles(t.encode("utf-8", "surrogatepass"), hashes) for t in f["text"]]
+    sizes = np.array([len(x) for x in sets])
+    every, place = np.unique(np.concatenate(sets), return_inverse=True)
+    owner = np.repeat(np.arange(len(sets)), sizes)
+    common = np.zeros((len(sets), len(sets)), np.float32)
+    # a shingle of one document is in no intersection
+    shared = np.bincount(place, minlength=len(every)) > 1
+    number = np.cumsum(shared) - 1
+    owner, place = owner[shared[place]], number[place[shared[place]]]
+    order = np.argsort(place, kind="stable")
+    place, owner, n = place[order], owner[order], int(shared.sum())
+    for start in range(0, n, SLICE):
+        lo, hi = np.searchsorted(place, [start, start + SLICE])
+        has = np.zeros((len(sets), min(SLICE, n - start)), np.float32)
+        has[owner[lo:hi], place[lo:hi] - start] = 1
+        common += has @ has.T
+    holds = MATCH[0] * common >= MATCH[1] * (sizes[:, None] + sizes[None, :] - common)
+    ids, comp = f["id"].to_numpy(), f["comp"].to_numpy().copy()
+    out = []
+    for i, j in np.argwhere(np.triu(holds, 1)):
+        if comp[i] != comp[j]:
+            out.append((ids[i], ids[j]) if ids[i] < ids[j] else (ids[j], ids[i]))
+            comp[comp == comp[j]] = comp[i]
+    return pd.DataFrame(out, columns=["a", "b"], dtype="int64")
+
+
+def near_duplicates(docs: DataFrame, *, doc_id: str = "doc_id", text: str = "text", miss: float = MISS, small: int = SMALL, cell: int = CELL) -> DataFrame:
     """doc_id, n_shingles, component_id and kept of every row."""
-    spark = docs.sparkSession
-    scratch = Scratch(spark, "near")
+    scratch = Scratch(docs.sparkSession, "near")
     rows = docs.select(F.col(doc_id).cast("bigint").alias("id"), row_key(doc_id, text).alias("row"), F.col(text).alias("text"))
     schema = "id bigint, row bigint, n bigint, fa bigint, fb bigint, steps array<bigint>"
     all_rows = scratch.write("sketch", rows.mapInArrow(sketches(trees_for(DEPTHS[0], miss), DEPTHS[0]), schema))
@@ -190,61 +225,95 @@ def near_duplicates(docs: DataFrame, *, doc_id: str = "doc_id", text: str = "tex
     classes = scratch.write("classes", classes.select("fa", "fb", "n", F.col("rep.id").alias("rep"), F.col("rep.row").alias("rep_row")))
     reps = classes.select(F.col("rep").alias("id"), F.col("rep_row").alias("row"), "n")
     at = all_rows.select("id", "row", "steps").join(reps, ["id", "row"]).dropDuplicates(["id", "row"])
-    links = comps = None
+    links = comps = tried = texts = None
 
     def labelled(nodes: DataFrame) -> DataFrame:
         if comps is None:
             return nodes.withColumn("comp", F.col("id"))
         return nodes.join(comps, "id", "left").withColumn("comp", F.coalesce("comp", "id"))
 
-    def linked(pairs: DataFrame, name: str) -> None:
-        """Confirm the pairs (a, ar, b, br) on full sets and renew the components."""
+    def add_links(new: DataFrame, name: str) -> None:
         nonlocal links, comps
-        pairs = scratch.write(f"{name}-pairs", pairs.distinct())
-        used = pairs.select(F.col("a").alias("id"), F.col("ar").alias("row")).union(pairs.select("b", "br")).distinct()
-        texts = scratch.write(f"{name}-texts", rows.join(used, ["id", "row"]).dropDuplicates(["id", "row"]))
+        if links is None or new.limit(1).count():
+            links = new if links is None else links.unionByName(new)
+            comps = components(links, scratch, f"{name}-comps")
+
+    def keep_texts(of: DataFrame, name: str) -> None:
+        """From now on only the texts of these documents can be asked for."""
+        nonlocal texts
+        source = rows if texts is None else texts
+        texts = scratch.write(name, source.join(of.select("id", "row").distinct(), ["id", "row"]).dropDuplicates(["id", "row"]))
+
+    def linked(pairs: DataFrame, name: str) -> None:
+        """Confirm the pairs (a, ar, b, br) that are new on full sets and renew the components."""
+        nonlocal tried
+        pairs = pairs.distinct()
+        if tried is not None:
+            pairs = pairs.join(tried, ["a", "ar", "b", "br"], "left_anti")
+        pairs = scratch.write(f"{name}-pairs", pairs)
+        tried = pairs if tried is None else tried.unionByName(pairs)
         with_b = pairs.join(texts.select(F.col("id").alias("b"), F.col("row").alias("br"), F.col("text").alias("bt")), ["b", "br"])
         with_both = with_b.join(texts.select(F.col("id").alias("a"), F.col("row").alias("ar"), F.col("text").alias("at")), ["a", "ar"])
-        new = scratch.write(f"{name}-links", with_both.select("a", "b", "at", "bt").mapInArrow(confirm, "a bigint, b bigint"))
-        scratch.drop(f"{name}-texts")
-        links = new if links is None else links.unionByName(new)
-        comps = components(links, scratch, f"{name}-comps")
+        add_links(scratch.write(f"{name}-links", with_both.select("a", "b", "at", "bt").mapInArrow(confirm, "a bigint, b bigint")), name)
+
+    def compared(nodes: DataFrame, name: str) -> None:
+        """Compare all documents of each node, in cells of bounded size that no task has two of at once."""
+        blocks = F.ceil(F.col("size") / (cell // 2)).cast("int")
+        one = F.when(F.col("size") <= cell, F.lit(1)).otherwise(blocks)
+        d = nodes.select("tree", "step", "id", "row", "comp", one.alias("blocks"), F.pmod(F.xxhash64("id"), one).cast("int").alias("own"))
+        # each block meets every other once: the cell (i, j), i <= j, holds blocks i and j
+        d = d.withColumn("other", F.explode(F.sequence(F.lit(0), F.col("blocks") - 1)))
+        d = d.where("blocks = 1 or own <> other").select("tree", "step", F.least("own", "other").alias("i"), F.greatest("own", "other").alias("j"), "id", "row", "comp")
+        d = d.join(texts, ["id", "row"])
+        add_links(scratch.write(f"{name}-links", d.groupBy("tree", "step", "i", "j").applyInPandas(cell_links, "a bigint, b bigint")), name)
+
+    fit = lambda x, y: F.least(x, y) * MATCH[0] >= F.greatest(x, y) * MATCH[1]
+
+    def star_pairs(nodes: DataFrame) -> DataFrame:
+        """Each node's least document against those of other components."""
+        lead = nodes.where("id = lead").select("tree", "step", F.col("row").alias("ar"), F.col("n").alias("an"), F.col("comp").alias("ac")).dropDuplicates(["tree", "step"])
+        met = nodes.where("id <> lead").join(lead, ["tree", "step"]).where((F.col("comp") != F.col("ac")) & fit(F.col("n"), F.col("an")))
+        return met.select(F.col("lead").alias("a"), "ar", F.col("id").alias("b"), F.col("row").alias("br"))
+
+    def node_pairs(nodes: DataFrame) -> DataFrame:
+        """All pairs between components, for small nodes."""
+        b = nodes.select("tree", "step", F.col("id").alias("b"), F.col("row").alias("br"), F.col("n").alias("bn"), F.col("comp").alias("bc"))
+        p = nodes.join(b, ["tree", "step"]).where((F.col("id") < F.col("b")) & (F.col("comp") != F.col("bc")) & fit(F.col("n"), F.col("bn")))
+        return p.select(F.col("id").alias("a"), F.col("row").alias("ar"), "b", "br")
+
+    def open_of(nodes: DataFrame) -> DataFrame:
+        """The nodes that hold more than one component."""
+        several = nodes.groupBy("tree", "step").agg(F.min("comp").alias("lo"), F.max("comp").alias("hi")).where("lo < hi").select("tree", "step")
+        return nodes.join(several, ["tree", "step"])
+
+    def nodes_of(spread: DataFrame, only_open: bool) -> DataFrame:
+        """Documents of nodes that two share (or, of those, that hold more than one component), with size and least id."""
+        stats = spread.groupBy("tree", "step").agg(F.count("*").alias("size"), F.min("id").alias("lead"), F.min("comp").alias("lo"), F.max("comp").alias("hi"))
+        return spread.join(stats.where("lo < hi" if only_open else "size > 1").drop("lo", "hi"), ["tree", "step"])
 
     for k, depth in enumerate(DEPTHS):
+        last = k == len(DEPTHS) - 1
         if k:
-            there = scratch.write(f"open{k}", open_docs)
-            some = rows.join(there.select("id", "row"), ["id", "row"]).dropDuplicates(["id", "row"])
-            deeper = some.mapInArrow(sketches(trees_for(depth, miss), depth), schema)
-            at = deeper.select("id", "row", "n", "steps")
-        spread = at.select("id", "row", "n", F.posexplode("steps").alias("tree", "step"))
-        sizes = spread.groupBy("tree", "step").agg(F.count("*").alias("size"), F.min("id").alias("lead")).where("size > 1")
-        nodes = scratch.write(f"nodes{k}", spread.join(sizes, ["tree", "step"]))
-        fit = lambda x, y: (F.least(x, y) * MATCH[0] >= F.greatest(x, y) * MATCH[1])
-        # each node's least document against the others
-        lead = nodes.where("id = lead").select("tree", "step", F.col("row").alias("ar"), F.col("n").alias("an")).dropDuplicates(["tree", "step"])
-        stars = labelled(nodes.where("id <> lead")).withColumnRenamed("comp", "bc").join(lead, ["tree", "step"]).where(fit(F.col("n"), F.col("an")))
-        linked(stars.select(F.col("lead").alias("a"), "ar", F.col("id").alias("b"), F.col("row").alias("br")), f"star{k}")
-        now = labelled(nodes)
-        open_nodes = now.groupBy("tree", "step").agg(F.min("comp").alias("lo"), F.max("comp").alias("hi")).where("lo < hi").select("tree", "step")
-        now = scratch.write(f"now{k}", now.join(open_nodes, ["tree", "step"]))
-
-        def pairs_of(x: DataFrame, *on: str) -> DataFrame:
-            b = x.select(*on, F.col("id").alias("b"), F.col("row").alias("br"), F.col("n").alias("bn"), F.col("comp").alias("bc"))
-            p = x.join(b, list(on)).where((F.col("comp") < F.col("bc")) & fit(F.col("n"), F.col("bn")) & (F.col("id") != F.col("lead")) & (F.col("b") != F.col("lead")))
-            a_first = F.col("id") < F.col("b")
-            return p.select(
-                F.least("id", "b").alias("a"), F.when(a_first, F.col("row")).otherwise(F.col("br")).alias("ar"), F.greatest("id", "b").alias("b"), F.when(a_first, F.col("br")).otherwise(F.col("row")).alias("br")
-            )
-
-        few = now.where(F.col("size") <= small)
-        many = now.where(F.col("size") > small)
-        linked(pairs_of(few, "tree", "step"), f"small{k}")
-        scratch.drop(f"nodes{k}")
-        open_docs = many.select("id", "row", "n").distinct()
-        if not many.limit(1).count():
+            at = texts.mapInArrow(sketches(trees_for(depth, miss), depth), schema).select("id", "row", "n", "steps")
+        now = labelled(at.select("id", "row", "n", F.posexplode("steps").alias("tree", "step")))
+        if not k:
+            # most copies fall to this, so that few pairs are left for the nodes
+            nodes = scratch.write("nodes", nodes_of(now, False))
+            keep_texts(nodes, "texts")
+            linked(star_pairs(nodes), "star")
+            now = open_of(labelled(nodes.drop("comp")))
+        else:
+            now = nodes_of(now, True)
+        now = scratch.write(f"now{k}", now)
+        keep_texts(now, f"texts{k}")
+        linked(node_pairs(now.where(F.col("size") <= small)), f"pairs{k}")
+        compared(now.where((F.col("size") > small) & (F.lit(last) | (F.col("size") <= cell))), f"cells{k}")
+        if last:
+            break
+        large = scratch.write(f"large{k}", open_of(labelled(now.where(F.col("size") > cell).drop("comp"))))
+        if not large.limit(1).count():
             break
-    else:
-        linked(block_pairs(many, fit), "rest")
+        keep_texts(large, f"open{k}")
 
     ids = all_rows.select("id", "n", "fa", "fb")
     grouped = ids.join(classes.select("fa", "fb", "n", "rep"), ["fa", "fb", "n"], "left")
@@ -254,16 +323,6 @@ def near_duplicates(docs: DataFrame, *, doc_id: str = "doc_id", text: str = "tex
     return grouped.select(F.col("id").alias("doc_id"), F.col("n").alias("n_shingles"), component.alias("component_id"), F.coalesce(F.col("id") == component, F.lit(True)).alias("kept"))
 
 
-def block_pairs(many: DataFrame, fit) -> DataFrame:
-    """All pairs between components in large nodes: blocks of BLOCK documents meet block by block, so no task holds a node."""
-    blocks = F.ceil(F.col("size") / BLOCK).cast("int")
-    own = F.pmod(F.xxhash64("id"), blocks).cast("int")
-    x = many.select("tree", "step", "id", "row", "n", "comp", own.alias("i"), F.explode(F.sequence(F.lit(0), blocks - 1)).alias("j"))
-    y = many.select("tree", "step", F.col("id").alias("b"), F.col("row").alias("br"), F.col("n").alias("bn"), F.col("comp").alias("bc"), own.alias("j"), F.explode(F.sequence(F.lit(0), blocks - 1)).alias("i"))
-    p = x.join(y, ["tree", "step", "i", "j"]).where((F.col("id") < F.col("b")) & (F.col("comp") != F.col("bc")) & fit(F.col("n"), F.col("bn")))
-    return p.select(F.col("id").alias("a"), F.col("row").alias("ar"), "b", "br")
-
-
 def drop_near_duplicates(docs: DataFrame, *, doc_id: str = "doc_id", text: str = "text") -> DataFrame:
     """``docs`` with one row of each group: the one with the least id."""
     i, r, k = fresh(docs, "_nid", "_nrow", "_nkey")
