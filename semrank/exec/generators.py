@@ -46,15 +46,26 @@ def vote(first: int, peers: Sequence[tuple[int, int]], side: dict[int, int]) ->
     return -1 if less > more else 1
 
 
-def settle(members: Sequence[int], first: dict[int, int], peers: dict[int, list[tuple[int, int]]], peer_override: bool = True) -> dict[int, int]:
-    """Side (-1 less, 1 greater) of each member, in input order.
+def peer_slots(seed: int, pivot: int, x: int, n: int, count: int) -> list[int]:
+    """Which of n items of the other side, by input order, are drawn as peers of x: hashed places, the next free one if taken."""
+    out: list[int] = []
+    for j in range(min(count, n)):
+        slot = int(hashlib.md5(f"{seed}|{pivot}|{x}|{j}".encode()).hexdigest()[:15], 16) % n
+        while slot in out:
+            slot = (slot + 1) % n
+        out.append(slot)
+    return out
+
+
+def settle(members: Sequence[int], first: dict[int, int], peers: dict[int, list[tuple[int, int]]], peer_override: bool = True, known: dict[int, int] | None = None) -> dict[int, int]:
+    """Side (-1 less, 1 greater) of each member, in input order; ``known`` are sides settled before.
 
     Unanimous peers decide at once. Others wait for their peers and then vote; all that are ready vote in the same
     round, which gives what one at a time would, as a ready vote depends on settled sides alone. If nobody is ready, the first in
     input order votes with what is known.
     """
-    side: dict[int, int] = {}
-    for x in members:
+    side: dict[int, int] = dict(known or {})
+    for x in members if known is None else ():
         got = {r for _, r in peers[x]}
         if not got:
             side[x] = first[x]
@@ -108,7 +119,7 @@ def pivot_split(keys: Sequence[Key], path: PathConfig, k: int | None, seed: int
                 sides = {r: [x for x in rest if first[s, x] == r] for r in (-1, 1)}
                 for x in rest:
                     other = sides[-first[s, x]]
-                    pairs += [(s, x, y) for y in _seeded(seed, chosen[s], x).sample(other, min(path.v - 1, len(other)))]
+                    pairs += [(s, x, other[i]) for i in peer_slots(seed, chosen[s], x, len(other), path.v - 1)]
             if pairs:
                 got = yield [("compare", by_id[x], by_id[y]) for _, x, y in pairs]
                 for (s, x, y), r in zip(pairs, got, strict=True):

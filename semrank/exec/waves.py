@@ -14,7 +14,8 @@ from pyspark.sql import functions as F
 from semrank.exec.call import ResponseCache, call_model, key_struct, request_hash
 from semrank.exec.packed import answer
 from semrank.exec.scratch import Scratch
-from semrank.exec.generators import merge_round, merge_two
+from semrank.exec.generators import merge_round, merge_two, peer_slots, settle
+from semrank.exec.index import indexed
 from semrank.plans.spec import PathConfig
 from semrank.sources.model import Key, SimBackend
 
@@ -108,45 +109,53 @@ def _rows(task: str, at: int, ids: list[int], by_id: dict[int, Key], calls: int)
     return pd.DataFrame({"task_id": task, "block": at, "seq": range(len(ids)), "item_id": ids, "chars": [by_id[i].chars for i in ids], "lat": [by_id[i].latent for i in ids], "calls": calls})
 
 
-def quick_waves(items: DataFrame, path: PathConfig, backend: SimBackend, k: int | None = None, *, max_levels: int = 200, scratch: Scratch | None = None) -> tuple[DataFrame, int]:
-    """Plain quick sort (v = 1), one job per level over all segments of all tasks: (rankings, levels).
+LIVE = "task_id string, seg string, at bigint, item_id bigint, pos bigint, chars int, lat bigint, need bigint"
+SEG = ["task_id", "seg"]
+#: A segment with up to so many unsettled items is settled within one worker (ids and verdicts only).
+SETTLE = 100_000
 
-    A segment's pivot is its first item. Pivots are joined by segment; verdicts are one wave. Segment sizes decide what a limit
-    still needs, so dropped segments cost nothing further.
+
+def _key(i, c, x) -> Key:
+    return Key(int(i), int(c), int(x))
+
+
+def quick_waves(items: DataFrame, path: PathConfig, backend: SimBackend, k: int | None = None, *, max_levels: int = 200, settle_packed: int = SETTLE, seed: int = 7, scratch: Scratch | None = None) -> tuple[DataFrame, int]:
+    """Quick sort with v votes, a few jobs per level over all segments of all tasks: (rankings, levels).
+
+    A segment's pivot is its first item; verdicts against pivots are one wave, those against peers another. Peers are drawn by hashed
+    places in the other side, so they meet by an equi-join. Segment sizes decide what a limit still needs: dropped segments cost nothing further.
     """
-    if path.v != 1:
-        raise ValueError("peer votes run packed; waves are for v = 1")
+    if path.pivot != "first":
+        raise ValueError("waves take the first item as pivot; other rules run packed")
     scratch = scratch or Scratch(items.sparkSession, "quick")
     n = items.where("key is not null and key <> ''")
-    w = W.partitionBy("task_id")
-    live = n.select("task_id", F.lit("").alias("seg"), F.lit(0).cast("bigint").alias("at"), "item_id", "pos", F.length("key").alias("chars"), "lat", F.least(F.count("*").over(w), F.lit(k if k is not None else 2**62)).alias("need"))
-    live = scratch.write("live0", live)
+    sizes = n.groupBy("task_id").agg(F.count("*").alias("size"))
+    live = n.join(sizes, "task_id").select("task_id", F.lit("").alias("seg"), F.lit(0).cast("bigint").alias("at"), "item_id", F.col("pos").cast("bigint").alias("pos"), F.length("key").alias("chars"), "lat", F.least("size", F.lit(k if k is not None else 2**62)).alias("need"))
+    live = scratch.write("live0", live.where("need > 0"))
     done, level = None, 0
     while live.limit(1).count():
         if level >= max_levels:
             raise ValueError(f"still unsorted after {max_levels} levels: use another pivot rule packed")
-        # one pass per segment: its pivot and size; a hot segment is summed partially
-        pivots = live.groupBy("task_id", "seg").agg(F.min_by(F.struct("item_id", "chars", "lat"), "pos").alias("p"), F.count("*").alias("size"))
-        pivots = scratch.write(f"pivots{level}", pivots)
-        met = live.join(pivots, ["task_id", "seg"])
+        # one pass per segment: its pivot; a hot segment is summed partially
+        pivots = live.groupBy(*SEG).agg(F.min_by(F.struct("item_id", "chars", "lat"), "pos").alias("p"))
+        met = live.join(scratch.write(f"pivots{level}", pivots), SEG)
 
         def ask(frames):
             for f in frames:
-                f = f.copy()
                 side = []
                 for t, i, c, x, p in zip(f["task_id"], f["item_id"], f["chars"], f["lat"], f["p"], strict=True):
-                    a, b = Key(int(i), int(c), int(x)), Key(int(p["item_id"]), int(p["chars"]), int(p["lat"]))
-                    side.append(0 if a.item_id == b.item_id else backend.compare(t, a, b)[0])
-                f["side"] = side
-                yield f.drop(columns=["p", "size"])
-
-        schema = "task_id string, seg string, at bigint, item_id bigint, pos int, chars int, lat bigint, need bigint, side int"
-        judged = scratch.write(f"judged{level}", met.select(*live.columns, "p", "size").mapInPandas(ask, schema))
-        more = judged.groupBy("task_id", "seg").agg(F.count_if(F.col("side") > 0).alias("g"))
-        d = judged.join(more, ["task_id", "seg"])
+                    side.append(0 if int(i) == int(p["item_id"]) else backend.compare(t, _key(i, c, x), _key(p["item_id"], p["chars"], p["lat"]))[0])
+                yield f.assign(side=side, pivot=[int(p["item_id"]) for p in f["p"]]).drop(columns=["p"])
+
+        judged = scratch.write(f"judged{level}", met.select(*live.columns, "p").mapInPandas(ask, LIVE + ", side int, pivot bigint"))
+        if path.v > 1:
+            judged = _peer_votes(judged, path, backend, scratch, level, settle_packed, seed)
+        more = judged.groupBy(*SEG).agg(F.count_if(F.col("side") > 0).alias("g"))
+        d = judged.join(more, SEG)
         placed = d.where("side = 0 and need > g").select("task_id", "item_id", (F.col("at") + F.col("g") + 1).alias("rnk"))
-        up = d.where("side > 0").select("task_id", F.concat("seg", F.lit("g")).alias("seg"), "at", "item_id", "pos", "chars", "lat", F.least("need", "g").alias("need"))
-        down = d.where("side < 0 and need > g + 1").select("task_id", F.concat("seg", F.lit("l")).alias("seg"), (F.col("at") + F.col("g") + 1).alias("at"), "item_id", "pos", "chars", "lat", (F.col("need") - F.col("g") - 1).alias("need"))
+        rest = lambda seg, at, need: ("task_id", F.concat("seg", F.lit(seg)).alias("seg"), at.alias("at"), "item_id", "pos", "chars", "lat", need.alias("need"))
+        up = d.where("side > 0").select(*rest("g", F.col("at"), F.least("need", "g")))
+        down = d.where("side < 0 and need > g + 1").select(*rest("l", F.col("at") + F.col("g") + 1, F.col("need") - F.col("g") - 1))
         placed = scratch.write(f"placed{level}", placed)
         done = placed if done is None else done.unionByName(placed)
         level += 1
@@ -155,3 +164,70 @@ def quick_waves(items: DataFrame, path: PathConfig, backend: SimBackend, k: int
     if done is None:
         done = items.sparkSession.createDataFrame([], "task_id string, item_id bigint, rnk bigint")
     return done.select("task_id", F.lit(path.path_id).alias("path_id"), "item_id", "rnk"), level
+
+
+def _peer_votes(judged: DataFrame, path: PathConfig, backend: SimBackend, scratch: Scratch, level: int, settle_packed: int, seed: int) -> DataFrame:
+    """``judged`` with the sides that remain after peers were asked and conflicts settled."""
+    rows = judged.where("side <> 0")
+    side_key = [*SEG, "side"]
+    ranked = indexed(rows, [*side_key, "pos", "item_id"], scratch, name=f"idx{level}").withColumnRenamed(f"idx{level}", "idx")
+    groups = scratch.write(f"groups{level}", ranked.groupBy(*side_key).agg(F.min("idx").alias("from"), F.count("*").alias("n")))
+    placed = ranked.join(groups, side_key).withColumn("slot", F.col("idx") - F.col("from")).drop("from", "n")
+    others = groups.select(*SEG, (-F.col("side")).alias("side"), F.col("n").alias("others"))
+    mine = placed.join(others, side_key, "left").withColumn("others", F.coalesce("others", F.lit(0)))
+    draws = path.v - 1
+
+    def draw(frames):
+        for f in frames:
+            f = f.assign(slot=[peer_slots(seed, int(p), int(x), int(o), draws) for p, x, o in zip(f["pivot"], f["item_id"], f["others"], strict=True)])
+            f = f.assign(j=[list(range(len(s))) for s in f["slot"]]).explode(["slot", "j"]).dropna(subset=["slot"])
+            yield f[["task_id", "seg", "side", "item_id", "chars", "lat", "slot", "j"]].astype({"slot": "int64", "j": "int64"})
+
+    wanted = mine.select("task_id", "seg", "side", "item_id", "chars", "lat", "pivot", "others").mapInPandas(draw, "task_id string, seg string, side int, item_id bigint, chars int, lat bigint, slot bigint, j bigint")
+    peer = placed.select(*SEG, (-F.col("side")).alias("side"), "slot", F.col("item_id").alias("y"), F.col("chars").alias("yc"), F.col("lat").alias("yl"))
+    pairs = wanted.join(peer, [*side_key, "slot"])
+
+    def ask(frames):
+        for f in frames:
+            r = [backend.compare(t, _key(i, c, x), _key(y, yc, yl))[0] for t, i, c, x, y, yc, yl in zip(f["task_id"], f["item_id"], f["chars"], f["lat"], f["y"], f["yc"], f["yl"], strict=True)]
+            yield f[["task_id", "seg", "item_id", "j", "y"]].assign(r=r)
+
+    asked = scratch.write(f"peers{level}", pairs.mapInPandas(ask, "task_id string, seg string, item_id bigint, j bigint, y bigint, r int"))
+    heard = asked.groupBy(*SEG, "item_id").agg(F.array_sort(F.collect_list(F.struct("j", "y", "r"))).alias("peers"))
+    state = rows.select(*SEG, "item_id", "pos", F.col("side").alias("first")).join(heard, [*SEG, "item_id"], "left")
+    less, more = F.exists("peers", lambda p: p["r"] < 0), F.exists("peers", lambda p: p["r"] > 0)
+    one = F.when(less, F.lit(-1)).otherwise(F.lit(1))
+    agreed = F.when(F.col("peers").isNull(), F.col("first")).when(less != more, one if path.peer_override else F.when(one == F.col("first"), one))
+    state = scratch.write(f"state{level}-0", state.withColumn("final", agreed.cast("int")))
+    step = 0
+    while True:
+        open_ = state.where("final is null")
+        most = open_.groupBy(*SEG).agg(F.count("*").alias("c")).agg(F.max("c")).first()[0] or 0
+        if not most:
+            break
+        side_of = state.where("final is not null").select(*SEG, F.col("item_id").alias("y"), F.col("final").alias("ys"))
+        seen = open_.select(*SEG, "item_id", "pos", "first", F.explode("peers").alias("p")).select(*SEG, "item_id", "pos", "first", F.col("p.j").alias("j"), F.col("p.y").alias("y"), F.col("p.r").alias("r"))
+        seen = seen.join(side_of, [*SEG, "y"], "left")
+        now = seen.groupBy(*SEG, "item_id", "pos", "first").agg(F.array_sort(F.collect_list(F.struct("j", "y", "r", "ys"))).alias("heard"))
+        if most <= settle_packed:
+            voted = now.groupBy(*SEG).applyInPandas(_settle_segment, "task_id string, seg string, item_id bigint, final int")
+        else:
+            # one round for all segments: who is ready votes; where nobody is, the first in input order
+            votes = lambda s: F.size(F.filter("heard", lambda p: (p["ys"] == s) & (p["r"] == s))) + F.when(F.col("first") == s, 1.5).otherwise(0.0)
+            ready = F.forall("heard", lambda p: p["ys"].isNotNull())
+            now = now.withColumn("ready", ready).withColumn("vote", F.when(votes(-1) > votes(1), -1).otherwise(1))
+            stuck = now.groupBy(*SEG).agg(F.max("ready").alias("any"), F.min_by("item_id", "pos").alias("lead"))
+            voted = now.join(stuck, SEG).where(F.col("ready") | (~F.col("any") & (F.col("item_id") == F.col("lead")))).select(*SEG, "item_id", F.col("vote").cast("int").alias("final"))
+        step += 1
+        voted = scratch.write(f"voted{level}-{step}", voted).withColumnRenamed("final", "new")
+        state = scratch.write(f"state{level}-{step}", state.join(voted, [*SEG, "item_id"], "left").withColumn("final", F.coalesce("final", "new")).drop("new"))
+    ends = state.select(*SEG, "item_id", F.col("final").alias("end"))
+    return scratch.write(f"settled{level}", judged.join(ends, [*SEG, "item_id"], "left").withColumn("side", F.coalesce("end", "side")).drop("end"))
+
+
+def _settle_segment(f: pd.DataFrame) -> pd.DataFrame:
+    f = f.sort_values("pos")
+    peers = {int(x): [(int(p["y"]), int(p["r"])) for p in h] for x, h in zip(f["item_id"], f["heard"], strict=True)}
+    known = {int(p["y"]): int(p["ys"]) for h in f["heard"] for p in h if p["ys"] is not None and p["ys"] == p["ys"]}
+    side = settle([int(x) for x in f["item_id"]], {int(x): int(r) for x, r in zip(f["item_id"], f["first"], strict=True)}, peers, known=known)
+    return pd.DataFrame({"task_id": f["task_id"], "seg": f["seg"], "item_id": f["item_id"], "final": [side[int(x)] for x in f["item_id"]]})

@@ -1,7 +1,6 @@
 """The access paths again, recursively and in the plainest way; nothing is imported from the package but the simulator."""
 
 import hashlib
-import random
 
 
 def noise(key, a):
@@ -38,8 +37,13 @@ def quick(m, ids, v, k=None):
     peers = {}
     for x in rest:
         other = G0 if first[x] == "l" else L0
-        rng = random.Random(int(hashlib.md5(f"7|{p}|{x}".encode()).hexdigest()[:15], 16))
-        peers[x] = [(y, "l" if m.less(x, y) else "g") for y in rng.sample(other, min(v - 1, len(other)))]
+        free, drawn = list(range(len(other))), []
+        for j in range(min(v - 1, len(other))):
+            at = int(hashlib.md5(f"7|{p}|{x}|{j}".encode()).hexdigest()[:15], 16) % len(other)
+            at = min(free, key=lambda f: (f - at) % len(other))
+            free.remove(at)
+            drawn.append(other[at])
+        peers[x] = [(y, "l" if m.less(x, y) else "g") for y in drawn]
     side = {}
     for x in rest:
         said = [r for _, r in peers[x]]

@@ -11,7 +11,7 @@ from semrank.operators.frame import llm_order_by
 from semrank.operators.fuse import fuse_borda, fuse_rrf
 from semrank.operators.sql import rank_agg, semantic_sql
 from semrank.plans import optimizer as O
-from semrank.plans.spec import EXT_MERGE, POINT, QUICK, PathConfig
+from semrank.plans.spec import EXT_MERGE, POINT, QUICK, QUICK_3, PathConfig
 from semrank.sources.lookup import conflicts, with_facts
 from semrank.sources.model import SimBackend
 
@@ -81,9 +81,14 @@ def test_waves_are_packed(spark, items):
     for backend in (SimBackend("clean"), SimBackend("reasoning")):
         for k in (None, 7):
             run = items.withColumn("k", F.lit(k).cast("bigint"))
-            packed = run_paths(run, [EXT_MERGE, QUICK], backend)
-            for path, (waved, n) in ((EXT_MERGE, merge_waves(items, EXT_MERGE, backend, k, local=1)), (QUICK, quick_waves(items, QUICK, backend, k))):
-                assert rows(waved) == rows(rankings_of(packed).where(F.col("path_id") == path.path_id).select(*waved.columns)), (path, k)
+            packed = run_paths(run, [EXT_MERGE, QUICK, QUICK_3], backend)
+            waves = [(EXT_MERGE, merge_waves(items, EXT_MERGE, backend, k, local=1)), (QUICK, quick_waves(items, QUICK, backend, k))]
+            if k and backend.profile != "clean":
+                one = items.where("task_id = 't0'")
+                waves += [(QUICK_3, quick_waves(one, QUICK_3, backend, k, settle_packed=most)) for most in (10, 0)]
+            for path, (waved, n) in waves:
+                same = rankings_of(packed).where(F.col("path_id") == path.path_id).select(*waved.columns)
+                assert rows(waved) == rows(same.where("task_id = 't0'") if path is QUICK_3 else same), (path, k)
                 if path is EXT_MERGE:
                     calls = usage_of(packed).where("path_id = 'ext_merge_4'").groupBy("task_id").agg(F.sum("calls").alias("calls"))
                     assert rows(n) == rows(calls)
