@@ -68,8 +68,17 @@ def likeness(a: Column, b: Column) -> Column:
     return 2.0 * F.size(F.array_intersect(a, b)) / (F.size(a) + F.size(b))
 
 
-def with_next(d: DataFrame, order: str, tie: str, payload: str) -> DataFrame:
-    """Adds _next: ``payload`` of the row that follows by ``order`` then ``tie``; the last row is followed by the first."""
+def leaves_of(fp: str) -> Column:
+    """The distinct leaves that a fingerprint lists."""
+    return F.array_distinct(F.split(F.substring_index(fp, ":", -1), "[./]"))
+
+
+def with_next(d: DataFrame, order: str, tie: str, prepare, payload: tuple[str, ...]) -> DataFrame:
+    """``prepare(d)`` and _next: the ``payload`` columns of the row that follows by ``order`` then ``tie``; the first follows the last.
+
+    Ids are cut into ranges by quantiles (a bounded list), rows move once to their range, and each range is lent the
+    first row of the next one.
+    """
     spark = d.sparkSession
     n = min(max(RANGES[0], 4 * int(spark.conf.get("spark.sql.shuffle.partitions"))), RANGES[1])
     # the bounds: at most n longs, whatever the input; exact balance does not matter
@@ -80,30 +89,30 @@ def with_next(d: DataFrame, order: str, tie: str, payload: str) -> DataFrame:
     d = d.withColumn("_range", at.cast("int"))
     heads = d.groupBy("_range").agg(F.min(F.struct(order, tie)).alias("_head")).collect()  # one row per range
     heads = sorted((h["_range"], h["_head"][order], h["_head"][tie]) for h in heads)
-    if not heads:
-        return d.withColumn("_next", F.col(payload)).withColumn("_guest", F.lit(False)).drop("_range", "_guest")
     # each range is shown the head of the range after it, the last one that of the first
-    host = {h[1:]: heads[i - 1][0] if i else heads[-1][0] for i, h in enumerate(heads)}
-    guests = spark.createDataFrame([(o, t, r, h[0]) for (o, t), r in host.items() for h in heads if h[1:] == (o, t)], "_o bigint, _t bigint, _host int, _from int")
+    lent = [(h[1], h[2], heads[i - 1][0]) for i, h in enumerate(heads)]
+    guests = spark.createDataFrame(lent, "_o bigint, _t bigint, _host int")
     shown = d.join(F.broadcast(guests), (F.col(order) == F.col("_o")) & (F.col(tie) == F.col("_t")))
     shown = shown.dropDuplicates(["_host", order, tie])  # rows alike are one guest
-    shown = shown.withColumn("_range", F.col("_host")).withColumn("_guest", F.lit(True)).drop("_o", "_t", "_host", "_from")
-    rows = d.withColumn("_guest", F.lit(False)).unionByName(shown)
+    shown = shown.withColumn("_range", F.col("_host")).withColumn("_guest", F.lit(True)).drop("_o", "_t", "_host")
+    # texts alone are moved; trees are built where they arrive
+    rows = prepare(d.withColumn("_guest", F.lit(False)).unionByName(shown).repartition("_range"))
     w = W.partitionBy("_range").orderBy("_guest", order, tie)
-    return rows.withColumn("_next", F.lead(payload).over(w)).where(~F.col("_guest")).drop("_range", "_guest")
+    return rows.withColumn("_next", F.lead(F.struct(*payload)).over(w)).where(~F.col("_guest")).drop("_range", "_guest")
 
 
 def fingerprints(docs: DataFrame, *, doc_id: str = "doc_id", text: str = "text") -> DataFrame:
     """Per document: doc_id, n_chars, the edited text's SHA-256, both fingerprints and likenesses."""
     d = docs.select(F.col(doc_id).cast("bigint").alias("doc_id"), whole(text).alias("_text"))
     d = d.select("*", F.coalesce("doc_id", F.lit(FIRST_ID)).alias("_order"), F.xxhash64("_text").alias("_tie"))
-    d = with_next(d, "_order", "_tie", "_text")
-    d = d.withColumn("n_chars", F.length("_text").cast("bigint"))
-    d = d.withColumn("_k", F.floor(F.col("n_chars") / 4).cast("int"))
-    d = d.withColumn("_edited", F.concat(F.substring(F.col("_text"), F.lit(1), (F.col("n_chars") - F.col("_k")).cast("int")), F.substring(F.col("_next"), F.lit(1), F.col("_k"))))
-    d = d.select("doc_id", "n_chars", F.sha2("_edited", 256).alias("edited_sha256"), "_text", "_edited", "_next")
-    for text_of, name in (("_text", "own"), ("_edited", "edit"), ("_next", "next")):
-        d = tree(d, text_of, name)
-    d = d.select("doc_id", "n_chars", "edited_sha256", *[f"{n}_{c}" for n in ("own", "edit", "next") for c in ("leaves", "sections")], *[F.array_distinct(F.flatten(f"{n}_leaves")).alias(f"{n}_set") for n in ("own", "edit", "next")])
-    near = lambda other: F.when(F.col("own_sections") == F.col(f"{other}_sections"), F.lit(1.0)).otherwise(likeness(F.col("own_set"), F.col(f"{other}_set")))
-    return d.select("doc_id", "n_chars", "edited_sha256", fingerprint("own").alias("fingerprint"), fingerprint("edit").alias("edited_fingerprint"), near("edit").alias("near_edited"), near("next").alias("near_next"))
+    own = lambda x: tree(x, "_text", "own").withColumn("fingerprint", fingerprint("own")).drop("own_leaves", "own_nodes", "own_sections")
+    d = with_next(d, "_order", "_tie", own, ("_text", "fingerprint"))
+    n = F.length("_text")
+    k = F.floor(n / 4).cast("int")
+    edited = F.concat(F.substring(F.col("_text"), F.lit(1), n - k), F.substring(F.col("_next._text"), F.lit(1), k))
+    d = d.select("doc_id", n.cast("bigint").alias("n_chars"), edited.alias("_edited"), "fingerprint", F.col("_next.fingerprint").alias("_next"))
+    d = tree(d, "_edited", "edit")
+    d = d.select("doc_id", "n_chars", F.sha2("_edited", 256).alias("edited_sha256"), "fingerprint", fingerprint("edit").alias("edited_fingerprint"), "_next")
+    d = d.select("*", *[leaves_of(c).alias(to) for c, to in (("fingerprint", "_own"), ("edited_fingerprint", "_edit"), ("_next", "_after"))])
+    near = lambda fp, leaves: F.when(root_of("fingerprint") == root_of(fp), F.lit(1.0)).otherwise(likeness(F.col("_own"), F.col(leaves)))
+    return d.select("doc_id", "n_chars", "edited_sha256", "fingerprint", "edited_fingerprint", near("edited_fingerprint", "_edit").alias("near_edited"), near("_next", "_after").alias("near_next"))
