@@ -138,7 +138,7 @@ def quick_waves(items: DataFrame, path: PathConfig, backend: SimBackend, k: int
             raise ValueError(f"still unsorted after {max_levels} levels: use another pivot rule packed")
         # one pass per segment: its pivot; a hot segment is summed partially
         pivots = live.groupBy(*SEG).agg(F.min_by(F.struct("item_id", "chars", "lat"), "pos").alias("p"))
-        met = live.join(scratch.write(f"pivots{level}", pivots), SEG)
+        met = live.join(pivots, SEG)
 
         def ask(frames):
             for f in frames:
@@ -160,7 +160,7 @@ def quick_waves(items: DataFrame, path: PathConfig, backend: SimBackend, k: int
         done = placed if done is None else done.unionByName(placed)
         level += 1
         live = scratch.write(f"live{level}", up.unionByName(down))
-        scratch.drop(f"live{level - 1}", f"pivots{level - 1}", f"judged{level - 1}")
+        scratch.drop(f"live{level - 1}", f"judged{level - 1}")
     if done is None:
         done = items.sparkSession.createDataFrame([], "task_id string, item_id bigint, rnk bigint")
     return done.select("task_id", F.lit(path.path_id).alias("path_id"), "item_id", "rnk"), level
@@ -171,7 +171,7 @@ def _peer_votes(judged: DataFrame, path: PathConfig, backend: SimBackend, scratc
     rows = judged.where("side <> 0")
     side_key = [*SEG, "side"]
     ranked = indexed(rows, [*side_key, "pos", "item_id"], scratch, name=f"idx{level}").withColumnRenamed(f"idx{level}", "idx")
-    groups = scratch.write(f"groups{level}", ranked.groupBy(*side_key).agg(F.min("idx").alias("from"), F.count("*").alias("n")))
+    groups = ranked.groupBy(*side_key).agg(F.min("idx").alias("from"), F.count("*").alias("n"))
     placed = ranked.join(groups, side_key).withColumn("slot", F.col("idx") - F.col("from")).drop("from", "n")
     others = groups.select(*SEG, (-F.col("side")).alias("side"), F.col("n").alias("others"))
     mine = placed.join(others, side_key, "left").withColumn("others", F.coalesce("others", F.lit(0)))

@@ -164,7 +164,7 @@ for _n, _p in (("random_pivot", PathConfig("pivot_split", pivot="random")), ("me
 # waves
 query("wave_point_w1", exact_sql("w1"))(lambda s, d: score_waves(T.workload(s, d, "w1"), PathConfig("score_each", **FINE), SimBackend())[0].select("task_id", "item_id", "rnk"))
 query("wave_merge_w1", exact_sql("w1"))(lambda s, d: merge_waves(T.workload(s, d, "w1"), EXT_MERGE, SimBackend(), local=2)[0].drop("path_id"))
-query("wave_votes_w1_top3", exact_sql("w1", 3))(lambda s, d: quick_waves(T.workload(s, d, "w1"), QUICK_3, SimBackend(), 3)[0].drop("path_id"))
+query("wave_votes_w2_top3", exact_sql("w2", 3))(lambda s, d: quick_waves(T.workload(s, d, "w2"), QUICK_3, SimBackend(), 3)[0].drop("path_id"))
 query("wave_quick_w1_top10", exact_sql("w1", 10))(lambda s, d: quick_waves(T.workload(s, d, "w1"), QUICK, SimBackend(), 10)[0].drop("path_id"))
 
 
