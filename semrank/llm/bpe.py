@@ -34,8 +34,8 @@ from pyspark.sql import functions as F
 VOCABULARY = "byte_bpe_multi_50k.tiktoken"
 #: The reference pattern, with its blanks spelled out as Unicode's White_Space.
 WHITE = r"\t\n\x0b\x0c\r \x85\xa0  -     　"
-MEMO = 400_000
-ROOT, START, NEVER = 0, -1, 1 << 60
+MEMO = 600_000
+ROOT, START, OPEN, NEVER = 0, -1, -1, 1 << 60
 #: A piece longer than this many bytes is encoded as a stream.
 LOOK = 256
 
@@ -81,10 +81,10 @@ class Transducer:
         self.reset()
 
     def reset(self) -> None:
-        first = ((ROOT, START),)
-        self.states: list[tuple] = [first]
-        self.known: dict[tuple, int] = {first: 0}
-        self.steps: dict[int, tuple[int, int]] = {}
+        """Forget all states. A state is a table byte -> (next state, token that ends there); under OPEN it has its open tokens."""
+        self.start: dict = {OPEN: ((ROOT, START),)}
+        self.known: dict[tuple, dict] = {self.start[OPEN]: self.start}
+        self.n_steps = 0
 
     def split(self, token: int) -> tuple[int, int] | None:
         """The two tokens that byte-pair merging joins last; None for a byte, or a token that merging never makes."""
@@ -127,15 +127,15 @@ class Transducer:
             else:
                 b_goes, b = b, right[0]
 
-    def step(self, state: int, byte: int) -> tuple[int, int]:
+    def step(self, state: dict, byte: int) -> tuple[dict, int]:
         """The state after ``byte``, and the token that ends the encoding of what has been read."""
-        after, done, child, inner = [], None, self.child, self.inner
-        for node, last in self.states[state]:
+        after, done, child, inner, token_at = [], None, self.child, self.inner, self.token_at
+        for node, last in state[OPEN]:
             to = child.get(node << 8 | byte)
             if to is None:
                 continue
             if done is None:
-                token = self.token_at.get(to)
+                token = token_at.get(to)
                 if token is not None and self.may_follow(last, token):
                     done = token
             if to in inner:
@@ -144,21 +144,20 @@ class Transducer:
         new = tuple(after)
         at = self.known.get(new)
         if at is None:
-            at = self.known[new] = len(self.states)
-            self.states.append(new)
-        found = self.steps[state << 8 | byte] = (at, done)
+            at = self.known[new] = {OPEN: new}
+        self.n_steps += 1
+        found = state[byte] = (at, done)
         return found
 
     def feed(self, pieces: Iterator[bytes]) -> Iterator[int]:
         """Tokens of a byte stream, each as soon as no open chain can undo it (checked every ``LOOK`` bytes)."""
-        state, ends = 0, []
+        state, ends = self.start, []
         for chunk in pieces:
             for i in range(0, len(chunk), LOOK):
                 for b in chunk[i : i + LOOK]:
-                    found = self.steps.get(state << 8 | b) or self.step(state, b)
-                    state = found[0]
-                    ends.append(found[1])
-                chains = [self.chain(ends, len(ends) - self.depth[node]) for node, _ in self.states[state]]
+                    state, token = state.get(b) or self.step(state, b)
+                    ends.append(token)
+                chains = [self.chain(ends, len(ends) - self.depth[node]) for node, _ in state[OPEN]]
                 sure = 0
                 while sure < min(map(len, chains)) and len({c[sure] for c in chains}) == 1:
                     sure += 1
@@ -180,17 +179,18 @@ class Transducer:
         whole = self.ranks.get(piece)
         if whole is not None:
             return (whole,)
-        if len(self.states) > MEMO or len(self.steps) > MEMO:
+        if self.n_steps > MEMO:
             self.reset()
         if len(piece) > LOOK:
             return tuple(self.feed(iter((piece,))))
-        state, ends, steps = 0, [], self.steps
+        state, ends = self.start, []
+        put = ends.append
         for b in piece:
-            found = steps.get(state << 8 | b)
+            found = state.get(b)
             if found is None:
                 found = self.step(state, b)
-            state = found[0]
-            ends.append(found[1])
+            state, token = found
+            put(token)
         return tuple(self.chain(ends, len(ends)))
 
 
@@ -228,7 +228,9 @@ class Pieces(dict):
     def __missing__(self, piece: str) -> tuple[int, ...]:
         if len(self) > MEMO:
             self.clear()
-        self[piece] = out = self.transducer.run(piece.encode("utf-8"))
+        out = self.transducer.run(piece.encode("utf-8"))
+        if len(piece) <= LOOK:
+            self[piece] = out
         return out
 
 
@@ -244,6 +246,14 @@ class ByteBpe:
     def encode(self, text: str) -> list[int]:
         return list(chain.from_iterable(map(self.pieces.__getitem__, self.find(text))))
 
+    def digest(self, text: str) -> tuple[int, str, str]:
+        """Number of ids, SHA-256 of the ids, SHA-256 of what they decode to."""
+        ids = self.encode(text)
+        decoded = hashlib.sha256()
+        for part in self.decode_stream(ids):
+            decoded.update(part.encode("utf-8"))
+        return len(ids), hashlib.sha256(",".join(map(self.digits.__getitem__, ids)).encode()).hexdigest(), decoded.hexdigest()
+
     def decode_stream(self, ids: list[int], block: int = 4096) -> Iterator[str]:
         stream = Utf8Stream()
         for i in range(0, len(ids), block):
@@ -280,17 +290,9 @@ def coder(spark: SparkSession, path: str | None, body, returns: str):
     return code
 
 
-def digest(bpe: ByteBpe, text: str) -> tuple[int, str, str]:
-    ids = bpe.encode(text)
-    decoded = hashlib.sha256()
-    for part in bpe.decode_stream(ids):
-        decoded.update(part.encode("utf-8"))
-    return len(ids), hashlib.sha256(",".join(map(bpe.digits.__getitem__, ids)).encode()).hexdigest(), decoded.hexdigest()
-
-
 def encode_digests(docs: DataFrame, *, doc_id: str = "doc_id", text: str = "text", path: str | None = None) -> DataFrame:
     """doc_id, n_tokens, ids_sha256 and decoded_sha256 of every row."""
-    code = coder(docs.sparkSession, path, digest, "struct<n_tokens:bigint,ids_sha256:string,decoded_sha256:string>")
+    code = coder(docs.sparkSession, path, lambda bpe, t: bpe.digest(t), "struct<n_tokens:bigint,ids_sha256:string,decoded_sha256:string>")
     return docs.select(F.col(doc_id).alias("doc_id"), code(F.col(text)).alias("c")).select("doc_id", "c.*")
 
 
