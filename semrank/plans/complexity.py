@@ -65,6 +65,18 @@ def exact_calls(path: PathConfig, n: int, k: int | None = None) -> int | None:
     return total
 
 
+def exact_calls_expr(kind: Column, m: Column, n: Column, k: Column) -> Column:
+    """``exact_calls`` as a column (for plain passes, without rescans): null where the answers decide."""
+    h = F.greatest(F.floor(m / 2), F.lit(1))
+    want = F.least(F.coalesce(k, n), n)
+    windows = lambda x: F.when(x <= m, F.lit(1)).otherwise(1 + F.ceil((x - m) / h))
+    # passes until enough places are fixed, or one window covers the rest
+    passes = F.least(F.ceil(want / h), F.ceil((n - 1) / h), F.when(n > m, F.ceil((n - m) / h) + 1).otherwise(F.lit(1))).cast("int")
+    bubble = F.aggregate(F.sequence(F.lit(0), F.greatest(passes, F.lit(1)) - 1), F.lit(0).cast("bigint"), lambda a, r: a + windows(n - r * h))
+    out = F.when(kind == "score_each", n.cast("bigint")).when(kind == "score_batch", F.ceil(n / m)).when(kind == "slide_window", F.when(n == 1, F.lit(0)).otherwise(bubble))
+    return F.when((n <= 0) | F.coalesce(k == 0, F.lit(False)), F.lit(0)).otherwise(out).cast("bigint")
+
+
 def candidates_frame(spark: SparkSession, paths: list[PathConfig]) -> DataFrame:
     rows = [(p.path_id, p.kind, p.m, p.v, p.lookup, p.max_point, p.pivot, p.rescan, p.stop_when_stable, p.peer_override) for p in paths]
     return spark.createDataFrame(rows, "path_id string, kind string, m int, v int, lookup boolean, max_point int, pivot string, rescan boolean, stop_when_stable boolean, peer_override boolean")
@@ -87,13 +99,22 @@ def extrapolate(sample_cost: float, path: PathConfig, s: int, n: int, k: int | N
     return sample_cost / sample_calls * (sample_calls * grown if exact is None else exact)
 
 
-def estimate(probe_costs: DataFrame, sizes: DataFrame, candidates: DataFrame) -> DataFrame:
-    """(task_id, path_id, nano_usd of the sample) -> est_nano for the full task; sizes: (task_id, s, n, k)."""
+def estimate(probe_costs: DataFrame, sizes: DataFrame, candidates: DataFrame, form: str = "ratio") -> DataFrame:
+    """(task_id, path_id, nano_usd, and calls for the second form) of the sample -> est_nano for the full task; sizes: (task_id, s, n, k).
+
+    ``ratio``: by the growth functions. ``per_call``: by the sample's cost per call and the exact calls of the full task, where n and k
+    decide them; the other paths keep the ratio.
+    """
+    if form not in ("ratio", "per_call"):
+        raise ValueError("form is ratio or per_call")
     d = probe_costs.join(F.broadcast(candidates.select("path_id", "kind", "m", "v")), "path_id").join(sizes, "task_id")
     c = F.col
     ks = F.when(c("k").isNotNull(), F.least("k", "s"))
     full, part = calls_expr(c("kind"), c("m"), c("v"), c("n"), c("k")), calls_expr(c("kind"), c("m"), c("v"), c("s"), ks)
     est = F.when(part > 0, c("nano_usd") * full / part).otherwise(F.lit(0.0))
+    if form == "per_call":
+        exact = exact_calls_expr(c("kind"), c("m"), c("n"), c("k"))
+        est = F.when(exact.isNotNull() & (c("calls") > 0), c("nano_usd") / c("calls") * exact).otherwise(est)
     # a sample that holds the whole task is the full run
     return d.select("task_id", "path_id", "nano_usd", F.when(c("n") <= c("s"), c("nano_usd").cast("double")).otherwise(est).alias("est_nano"))
 

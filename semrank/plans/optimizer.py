@@ -133,6 +133,7 @@ def optimize(
     on_overflow: str = "skip",
     on_infeasible: str = "error",
     budget_covers: str = "ranking",
+    estimate_form: str = "ratio",
     max_latency_s: float | None = None,
     seed: int = SEED,
     scratch: Scratch | None = None,
@@ -158,7 +159,7 @@ def optimize(
     probe = run_paths(s_items, candidates, backend, scratch=scratch, name="probe")
     sizes = pool.groupBy("task_id").agg(F.count("*").alias("n"), F.first("k").alias("k")).join(s_items.groupBy("task_id").agg(F.count("*").alias("s")), "task_id")
     spent = total_cost(usage_of(probe))
-    est = estimate(spent.select("task_id", "path_id", "nano_usd"), sizes, table)
+    est = estimate(spent.select("task_id", "path_id", "nano_usd", "calls"), sizes, table, estimate_form)
     limit: Column | int = F.lit(budget_nano)
     if budget_covers == "all":
         est = est.join(spent.groupBy("task_id").agg(F.sum("nano_usd").alias("probe_nano")), "task_id")

