@@ -6,13 +6,29 @@ from pyspark.sql import Column, DataFrame
 from pyspark.sql import Window as W
 from pyspark.sql import functions as F
 
-from semrank.exec.packed import rankings_of, run_paths
+from semrank.exec.index import indexed
+from semrank.exec.packed import PACKED_MAX, rankings_of, run_paths
 from semrank.exec.scratch import Scratch
+from semrank.exec.waves import merge_waves, quick_waves, score_waves
 from semrank.plans.optimizer import optimize
 from semrank.plans.spec import EXT_MERGE, PathConfig, RankSpec
 from semrank.sources.model import SimBackend
 
 
+def run_in_waves(items: DataFrame, path: PathConfig, backend: SimBackend, k: int | None, scratch: Scratch) -> DataFrame:
+    """(task_id, item_id, rnk) of tasks too large for one worker."""
+    if path.kind == "slide_window":
+        raise ValueError("a sliding window is one sequential chain: for tasks this large take another path")
+    if path.kind == "run_merge":
+        out = merge_waves(items, path, backend, k, scratch=scratch)[0]
+    elif path.kind == "pivot_split":
+        out = quick_waves(items, path, backend, k, scratch=scratch)[0]
+    else:
+        out = score_waves(items, path, backend, scratch=scratch)[0]
+    out = out.select("task_id", "item_id", "rnk")
+    return out if k is None else out.where(F.col("rnk") <= k)
+
+
 def llm_order_by(
     df: DataFrame,
     key: str | list[str],
@@ -29,12 +45,14 @@ def llm_order_by(
     nulls: str = "last",
     dedup_keys: bool = False,
     backend: SimBackend | None = None,
+    packed_max: int = PACKED_MAX,
 ) -> DataFrame:
     """``df`` with ``rnk`` (1-based, per partition) by a criterion in words, cut to ``limit``.
 
     ``key``: the column shown to the model, or several (as JSON). ``id_col``: a unique bigint. ``latent``: what the simulator knows (0 without it).
     Without a path a budget makes the optimizer choose; without either it is an external merge. Null and empty keys are not
     sent; they come last, first, or are an error. ``dedup_keys`` ranks distinct keys and gives equal keys neighbouring ranks.
+    Partitions of more than ``packed_max`` rows run in waves and are numbered without a window over all their rows; they need a path (or the default).
     """
     by = [partition_by] if isinstance(partition_by, str) else list(partition_by or [])
     spec = RankSpec(criterion, desc, limit, nulls, partition_by=tuple(by))
@@ -47,7 +65,20 @@ def llm_order_by(
     lat = F.lit(0) if latent is None else (F.col(latent) if isinstance(latent, str) else latent)
     task = F.concat_ws("|", *[F.coalesce(F.col(c).cast("string"), F.lit("")) for c in by]) if by else F.lit("all")
     base = df.select(task.alias("task_id"), F.col(id_col).cast("bigint").alias("item_id"), shown.alias("key"), lat.cast("bigint").alias("lat"))
-    base = scratch.write("items", base.withColumn("pos", (F.row_number().over(W.partitionBy("task_id").orderBy("item_id")) - 1).cast("int")))
+    most = base.groupBy("task_id").agg(F.count("*").alias("n")).agg(F.max("n")).first()[0] or 0
+    large = most > packed_max
+    if large and (dedup_keys or (path is None and budget_nano is not None)):
+        raise ValueError(f"a partition has {most} rows: beyond {packed_max} give a path, and no dedup_keys")
+
+    def numbered(d: DataFrame, name: str) -> DataFrame:
+        """Places from 1 by id within each partition."""
+        if not large:
+            return d.withColumn(name, F.row_number().over(W.partitionBy("task_id").orderBy("item_id")).cast("bigint"))
+        d = indexed(d, ["task_id", "item_id"], scratch, name)
+        start = d.groupBy("task_id").agg(F.min(name).alias("_start"))
+        return d.join(start, "task_id").withColumn(name, F.col(name) - F.col("_start") + 1).drop("_start")
+
+    base = scratch.write("items", numbered(base, "pos").withColumn("pos", (F.col("pos") - 1).cast("int")))
     bad = F.col("key").isNull() | (F.col("key") == "")
     if spec.nulls == "error" and base.where(bad).limit(1).count():
         raise ValueError("null or empty keys")
@@ -58,6 +89,8 @@ def llm_order_by(
     if path is None and budget_nano is not None:
         tasks = items.select("task_id").distinct().select("task_id", F.lit(spec.kind).alias("kind"), F.lit(limit).cast("bigint").alias("k"))
         ranked = optimize(items, tasks, budget_nano, backend, policy=policy, scratch=scratch).ranking
+    elif large:
+        ranked = run_in_waves(numbered(items.where(~bad).drop("pos"), "pos").withColumn("pos", (F.col("pos") - 1).cast("int")), path or EXT_MERGE, backend, limit, scratch)
     else:
         run = items.withColumn("k", F.lit(limit).cast("bigint"))
         ranked = rankings_of(run_paths(run, [path or EXT_MERGE], backend, scratch=scratch)).select("task_id", "item_id", "rnk")
@@ -65,7 +98,7 @@ def llm_order_by(
         keyed = ranked.join(items.select("task_id", "item_id", "key"), ["task_id", "item_id"]).select("task_id", "key", F.col("rnk").alias("r"))
         w = W.partitionBy("task_id").orderBy("r", "item_id")
         ranked = base.where(~bad).join(keyed, ["task_id", "key"]).select("task_id", "item_id", F.row_number().over(w).cast("bigint").alias("rnk"))
-    empties = base.where(bad).select("task_id", "item_id", F.row_number().over(W.partitionBy("task_id").orderBy("item_id")).cast("bigint").alias("e"))
+    empties = numbered(base.where(bad).select("task_id", "item_id"), "e")
     counts = base.groupBy("task_id").agg(F.count_if(bad).alias("nulls"), F.count_if(~bad).alias("full"))
     if spec.nulls == "first":
         ranked = ranked.join(counts, "task_id").select("task_id", "item_id", (F.col("rnk") + F.col("nulls")).alias("rnk"))

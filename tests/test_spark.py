@@ -215,3 +215,14 @@ def test_exact_calls_as_a_column(spark):
     c = F.col
     got = d.withColumn("got", exact_calls_expr(c("kind"), c("m"), c("n"), c("k"))).collect()
     assert [(r.kind, r.m, r.n, r.k, r.got) for r in got if r.kind != "run_merge" or r.want is None] == [x for x in cases if x[0] != "run_merge" or x[4] is None]
+
+
+def test_large_partitions_run_in_waves(spark):
+    d = spark.range(120).select("id", F.when(F.col("id") % 13 == 0, F.lit(None)).otherwise(F.concat(F.lit("k"), "id")).alias("k"), (F.col("id") * 7919 % 997).alias("lat"))
+    for path, nulls in ((None, "first"), (PathConfig("score_each", max_point=10000), "last")):
+        a, b = (llm_order_by(d, "k", "good", id_col="id", latent="lat", limit=115, nulls=nulls, path=path, packed_max=n) for n in (40, 5000))
+        assert rows(a.select("id", "rnk")) == rows(b.select("id", "rnk"))
+    with pytest.raises(ValueError, match="sequential"):
+        llm_order_by(d, "k", "good", id_col="id", path=PathConfig("slide_window"), packed_max=10)
+    with pytest.raises(ValueError, match="give a path"):
+        llm_order_by(d, "k", "good", id_col="id", budget_nano=5, packed_max=10)
