@@ -87,7 +87,7 @@ class TokenCounts:
             return
         fs, hold = file_system(self.spark, f"{self.root}/done")
         made = f"{self.root}/done/making-{hashlib.sha256(label.encode()).hexdigest()[:24]}"
-        self.totals().coalesce(1).write.mode("overwrite").parquet(made)
+        self.totals().write.mode("overwrite").parquet(made)
         path = self.spark.sparkContext._jvm.org.apache.hadoop.fs.Path
         for p in old:
             fs.create(path(f"{self.root}/done/{p.rpartition('/')[2]}"), True).close()
