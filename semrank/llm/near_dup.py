@@ -205,6 +205,7 @@ def cell_links(f: pd.DataFrame) -> pd.DataFrame:
         has = np.zeros((len(sets), min(SLICE, n - start)), np.float32)
         has[owner[lo:hi], place[lo:hi] - start] = 1
         common += has @ has.T
+    common = common.astype(np.float64)  # the products below stay exact
     holds = MATCH[0] * common >= MATCH[1] * (sizes[:, None] + sizes[None, :] - common)
     ids, comp = f["id"].to_numpy(), f["comp"].to_numpy().copy()
     out = []
@@ -295,7 +296,7 @@ def near_duplicates(docs: DataFrame, *, doc_id: str = "doc_id", text: str = "tex
         last = k == len(DEPTHS) - 1
         if k:
             at = texts.mapInArrow(sketches(trees_for(depth, miss), depth), schema).select("id", "row", "n", "steps")
-        now = labelled(at.select("id", "row", "n", F.posexplode("steps").alias("tree", "step")))
+        now = labelled(at.select("id", "row", "n", "steps")).select("id", "row", "n", "comp", F.posexplode("steps").alias("tree", "step"))
         if not k:
             # most copies fall to this, so that few pairs are left for the nodes
             nodes = scratch.write("nodes", nodes_of(now, False))
