@@ -25,6 +25,11 @@ def op3_line_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
     return line_dedup.dedup_lines(docs, counts=True)
 
 
+def op3_passage_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
+    docs = load(spark, sf_dir, "documents").select("doc_id", "text")
+    return line_dedup.dedup_passages(docs, counts=True)
+
+
 def op4_quality_rules(spark: SparkSession, sf_dir: str) -> DataFrame:
     return quality_rules.quality_rules(load(spark, sf_dir, "documents")).select(*quality_rules.QUERY_COLUMNS)
 
@@ -62,7 +67,7 @@ def pipeline(spark: SparkSession, sf_dir: str) -> DataFrame:
 QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {
     f.__name__: f
     for f in (
-        op1_token_counts, op2_secret_scan, op3_line_dedup, op4_quality_rules, op5_near_duplicates,
+        op1_token_counts, op2_secret_scan, op3_line_dedup, op3_passage_dedup, op4_quality_rules, op5_near_duplicates,
         op6_mixing, op7_byte_bpe, op8_license_scan, op9_quality_classifier, op10_fingerprints, pipeline,
     )
 }
