@@ -1,7 +1,10 @@
 """License scans by sentence rules.
 
 A text is cut into sentences, each normalised (lower case, letters and digits only, single
-spaces). Known licence sentences map to identifiers; the identifiers found, in order, are matched
+spaces). A blank line (or one of comment marks alone) and a sentence mark end a sentence; a lone line
+end may end one or be a hard wrap: a known sentence is found over any number of wraps, marks of comments
+at line starts are blanks, and of sentences that start at one place the longest counts, so one-line
+notices between other lines are found too. Known licence sentences map to identifiers; the identifiers found, in order, are matched
 against ordered rules: a rule names a licence and the identifiers that must follow one
 another (other sentences may stand between them). The first rule that matches at a place wins there, and its sentences
 are used up; rules are tried in their order, so fuller texts come before short notices.
@@ -58,21 +61,30 @@ RULES = (
 )
 #: One of these is in every known sentence, in lower case.
 WORDS = ("licens", "permission", "free software", "program", "redistribut")
-#: A sentence ends at a line's end, or at . ! ? ; before a blank.
-END = r"\n|([.!?;]) "
-MARK = "\u0001"
-
-
-def normal(sentence: Column) -> Column:
-    return F.trim(F.regexp_replace(F.lower(sentence), "[^a-z0-9]+", " "))
+#: Marks in a normalised text: a line end within a paragraph, a sure end of a sentence.
+LINE, STOP = "\u0001", "\u0002"
 
 
 def normal_text(s: str) -> str:
     return " ".join("".join(c if c in "abcdefghijklmnopqrstuvwxyz0123456789" else " " for c in s.lower()).split())
 
 
-def sentences(text: Column) -> Column:
-    return F.split(F.regexp_replace(F.translate(text, "\r", " "), END, "$1" + MARK), MARK)
+def marked(text: Column) -> Column:
+    """The text normalised, with LINE and STOP where a sentence may and must end."""
+    t = F.concat(F.lit("\n"), F.lower(F.translate(text, "\r" + STOP, "  ")), F.lit("\n"))
+    t = F.regexp_replace(t, "\n[^a-z0-9]*\n", STOP + "\n")
+    t = F.regexp_replace(t, "\n[^a-z0-9\n]*", "\n")
+    t = F.translate(F.regexp_replace(t, "[.!?;][ \n]", STOP), "\n", LINE)
+    t = F.regexp_replace(t, f"[^a-z0-9{LINE}{STOP}]+", " ")
+    return F.concat(F.lit(STOP), F.regexp_replace(t, f" ?([{LINE}{STOP}]) ?", "$1"), F.lit(STOP))
+
+
+def known_sentences(text: Column) -> Column:
+    """The known sentences of a text, normalised, in order of place."""
+    longest_first = sorted(map(normal_text, SENTENCES.values()), key=lambda x: (-len(x), x))
+    any_of = "|".join(x.replace(" ", f"[ {LINE}]+") for x in longest_first)
+    found = F.regexp_extract_all(marked(text), F.lit(f"(?<=[{LINE}{STOP}])({any_of})(?=[{LINE}{STOP}])"), F.lit(1))
+    return F.transform(found, lambda x: F.regexp_replace(x, f"[ {LINE}]+", " "))
 
 
 def known() -> Column:
@@ -114,10 +126,8 @@ def license_scan(docs: DataFrame, *, doc_id: str = "doc_id", text: str = "text")
     for w in WORDS:
         may = may | low.contains(w)
     d = docs.select(F.col(doc_id).alias("doc_id"), whole(text).alias("_t"))
-    d = d.select("doc_id", F.when(may, sentences(F.col("_t"))).otherwise(F.array().cast("array<string>")).alias("_s"))
+    d = d.select("doc_id", F.when(may, known_sentences(F.col("_t"))).otherwise(F.array().cast("array<string>")).alias("_k"))
     table = known()
-    keys = [normal_text(s) for s in SENTENCES.values()]
-    d = d.select("doc_id", F.filter(F.transform("_s", normal), lambda x: x.isin(*keys)).alias("_k"))
     d = d.select("doc_id", F.transform("_k", lambda x: F.element_at(table, x)).alias("_ids"))
     d = d.select("doc_id", F.size("_ids").cast("bigint").alias("n_sentences"), F.array_join("_ids", ",").alias("sentence_ids"), matched(F.when(F.size("_ids") > 0, F.col("_ids"))).alias("licenses"))
     return d
