@@ -1,8 +1,9 @@
 """Secret scans by dictionary-primed zstandard novelty.
 
 Base patterns find assigned credentials, access key ids and long hex runs. Beside them, values that
-are assigned in a sensitive context (a name that speaks of authentication) are candidates. Each
-candidate is compressed with a dictionary primed from the text around it and the text's identifiers;
+are assigned in a sensitive context (a name with a word of authentication anywhere in it) are candidates.
+Each candidate is compressed with a dictionary primed from the text around it and its identifiers, where
+other occurrences of the candidate are blanks, so that a secret written twice does not prime itself;
 its novelty is the bytes that this adds, less an empty frame, per byte. A random string stays
 incompressible under any dictionary, a word or a name from the surroundings does not. Candidates
 of a novelty of ``NOVEL`` or more become spans of kind ``novel`` unless a base span overlaps them.
@@ -35,8 +36,13 @@ ACCESS = re.compile(r"AKIA[A-Z0-9]+")
 HEX = re.compile(r"[0-9a-f]+")
 LEAST = {"assign": 6, "access": 20, "hex": 24}
 #: Names that make a context sensitive, and the shape of a value.
-NAMES = ("auth", "bearer", "credential", "passphrase", "passcode", "pwd", "private", "signature", "session", "access", "encryption", "license_key", "client_id")
-CONTEXT = re.compile(rf"""(?:{"|".join(NAMES)})[A-Za-z_]*["']?\x20*(?:[:=]\x20*|\x20)["']?([A-Za-z0-9+/_=-]{{16,}})""", re.I | re.A)
+NAMES = (
+    "auth", "bearer", "credential", "passphrase", "passcode", "pwd", "private", "signature", "session", "access", "encryption", "license_key", "client_id",
+    "passw", "secret", "token", "key",
+)
+SENSITIVE = re.compile("|".join(NAMES), re.I | re.A)
+#: A whole name and, looked ahead, its value, which may be the next match's name.
+CONTEXT = re.compile(r"""([A-Za-z0-9_-]++)(?=["']?\x20*(?:[:=]\x20*|\x20)["']?([A-Za-z0-9+/_=-]{16,}))""", re.A)
 IDENTIFIER = re.compile(r"[A-Za-z_][A-Za-z0-9_]{2,}")
 AROUND, NOVEL = 2000, 0.55
 
@@ -44,7 +50,10 @@ AROUND, NOVEL = 2000, 0.55
 def novelty(text: str, start: int, end: int) -> float:
     """Marginal compressed bytes per byte of text[start:end], with its surroundings as dictionary."""
     value = text[start:end].encode()
-    before, after = text[max(0, start - AROUND) : start], text[end : end + AROUND]
+    # wider by one value, so that an occurrence across the edge is seen whole
+    wide, blank = AROUND + end - start, " " * (end - start)
+    before = text[max(0, start - wide) : start].replace(text[start:end], blank)[-AROUND:]
+    after = text[end : end + wide].replace(text[start:end], blank)[:AROUND]
     names = " ".join(sorted(set(IDENTIFIER.findall(before + " " + after))))
     primer = (names + "\n" + after + before).encode("utf-8", "replace")
     if len(primer) < 8:
@@ -65,8 +74,10 @@ def scan(text: str) -> dict:
     base = base_spans(text)
     more, value_of = [], {}
     for m in CONTEXT.finditer(text):
-        s, e = m.span(1)
-        if not any(a < e and s < b for a, _, b in base) and (x := novelty(text, s, e)) >= NOVEL and re.search("[0-9]", m[1]) and re.search("[A-Za-z]", m[1]):
+        s, e = m.span(2)
+        if not SENSITIVE.search(m[1]) or any(a < e and s < b for a, _, b in base):
+            continue
+        if re.search("[0-9]", m[2]) and re.search("[A-Za-z]", m[2]) and (x := novelty(text, s, e)) >= NOVEL:
             more.append((s, 3, e))
             value_of[s, 3] = x
     for s, k, e in base:
@@ -86,7 +97,7 @@ def may_hold(text: str | Column) -> Column:
     """False only for texts that have no span of any kind."""
     t, low = whole(text), F.lower(whole(text))
     out = t.contains("AKIA") | t.rlike("[0-9a-f]{24}")
-    for word in ("passw", "secret", "token", "apikey", "api_key", *NAMES):
+    for word in NAMES:
         out = out | low.contains(word)
     return out
 
