@@ -6,7 +6,7 @@ starts with one of four hex digits, so sections too are cut by content and an ed
 no boundary but its own. The root is the hash of the section nodes.
 
 ``fingerprint`` is the root, the section nodes and the leaves as one string: equal roots mean equal
-texts; where roots differ, sections and then leaves tell which branches do. ``likeness``
+texts; where roots differ, ``differing_branches`` walks sections and then paragraphs to the places that do. ``likeness``
 is the share of distinct leaves that two trees have in common (Dice), 1 for equal roots.
 
 At scale: a document's tree is a projection. The next document is found without one global
@@ -20,9 +20,13 @@ other rows of the same id; null ids come first; the last document is followed by
 
 from __future__ import annotations
 
+import hashlib
+
+import pandas as pd
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import Window as W
 from pyspark.sql import functions as F
+from pyspark.sql import types as T
 
 from semrank.llm.text import whole
 
@@ -73,6 +77,45 @@ def leaves_of(fp: str) -> Column:
     return F.array_distinct(F.split(F.substring_index(fp, ":", -1), "[./]"))
 
 
+def differing(a: list[str], b: list[str]) -> tuple[range, range]:
+    """What is left of two lists of nodes without the items in common at their start and, then, at their end."""
+    least = min(len(a), len(b))
+    i = next((k for k in range(least) if a[k] != b[k]), least)
+    j = next((k for k in range(least - i) if a[-1 - k] != b[-1 - k]), least - i)
+    return range(i, len(a) - j), range(i, len(b) - j)
+
+
+def walk(a: str, b: str) -> tuple[list[int], list[int]]:
+    """The paragraphs that differ, of two fingerprints: by roots, then sections, then paragraphs of the sections left."""
+    (root, tops, leaves), (other_root, other_tops, other_leaves) = a.split(":"), b.split(":")
+    if root == other_root:
+        return [], []
+    sides = []
+    for sections, paragraphs in zip(differing(tops.split("."), other_tops.split(".")), (leaves.split("/"), other_leaves.split("/")), strict=True):
+        nodes = [hashlib.md5(p.replace(".", "").encode()).hexdigest() for p in paragraphs]
+        ends = [0, *(i + 1 for i, x in enumerate(nodes) if i + 1 == len(nodes) or x[0] in CLOSING)]
+        sides.append((ends[sections.start], nodes[ends[sections.start] : ends[sections.stop]]))
+    (at, x), (other_at, y) = sides
+    p, q = differing(x, y)
+    mine, others = {x[i] for i in p}, {y[i] for i in q}
+    moved = mine == others
+    return [at + i for i in p if moved or x[i] not in others], [other_at + i for i in q if moved or y[i] not in mine]
+
+
+@F.pandas_udf(T.StructType([T.StructField(c, T.ArrayType(T.IntegerType())) for c in ("a", "b")]))
+def walked(a: pd.Series, b: pd.Series) -> pd.DataFrame:
+    return pd.DataFrame([walk(x, y) for x, y in zip(a, b, strict=True)], columns=["a", "b"])
+
+
+def differing_branches(a: str | Column, b: str | Column) -> Column:
+    """Of two fingerprints: a and b, the 0-based paragraphs of each text that differ; empty lists for equal roots.
+
+    Of the paragraphs left by the walk those are given that the other side lacks, or all where neither side lacks any
+    (a move or a repeat), so that unequal texts have a place at least.
+    """
+    return walked(a, b)
+
+
 def with_next(d: DataFrame, order: str, tie: str, prepare, payload: tuple[str, ...]) -> DataFrame:
     """``prepare(d)`` and _next: the ``payload`` columns of the row that follows by ``order`` then ``tie``; the first follows the last.
 
