@@ -1,11 +1,12 @@
 """Near-duplicate groups by a chosen-path set similarity join.
 
 A document is the set of its five-word shingles. In each of several independent trees it
-walks down a path of its own minwise shingles: its first step is the shingle of least hash
-under the tree's hash function, the second the next, and so on. Documents that have walked
-the same path share a node. With a Jaccard similarity of J two documents share the node at depth d
-with probability J^d, so the number of trees is set for a missed pair of similarity 0.75 to
-have a probability under ``miss``.
+walks down a path of its own minwise shingles: every step takes the shingle of least hash under a
+hash function that this step of this tree has for itself. Documents that have walked the same path
+share a node. With a Jaccard similarity of J two documents take the same step with probability J,
+whatever their sizes and whatever came before, so they share the node at depth d with probability J^d, and
+the number of trees is set for a missed pair of similarity 0.75 to have a probability under ``miss``
+at each depth. Sets of fewer than three shingles can't be linked with an unequal one and walk no tree.
 
 The join goes deeper only where it has to:
 
@@ -14,15 +15,19 @@ The join goes deeper only where it has to:
    links that hold, which settles most groups of copies.
 3. At every depth of ``DEPTHS``, nodes whose documents are in one component are done. Small open nodes compare
    the pairs between components exhaustively, middling ones all their documents within one task. Documents of nodes
-   that are larger still (a line or passage that many share) go on to the next depth, where unlike ones part.
+   that are larger still (a line or passage that many share) walk on to the next depth, where unlike ones part.
 4. Nodes that are large and open at the last depth compare all their documents too, in cells of bounded size.
 
+So the size of a node decides how its pairs are found, never whether.
+
 Every link is confirmed on the full sets, by 64-bit hashes of shingles.
 
 At scale: one pass over the texts writes a sketch per document; nodes are counted with partial
-sums; a group of n copies costs n comparisons, not n^2; texts move only for candidate pairs.
-Components are found with label propagation and pointer jumping on written tables. Nothing is
-collected but row counts.
+sums; a group of n copies costs n comparisons, not n^2; texts move only for candidate pairs. A cell is bounded in
+documents and in shingles. Nodes and groups of copies that hold more than one in ``HOT`` of all rows, fewer than
+``HOT`` by arithmetic, are broadcast as narrow rows, so no task gets all rows of one; empty texts are in no join.
+Components are found with label propagation and pointer jumping on written tables, narrow equi-joins that
+adaptive execution can split. Nothing is collected but row counts.
 
 Defined cases: null and empty texts have no shingles and link with nothing; fewer than five words are one
 shingle; rows with a null id are never linked (component_id null, kept true); rows alike in
@@ -54,8 +59,12 @@ MISS = 1e-6
 SMALL = 24
 #: A node of up to so many documents is compared whole in one task; larger ones at the last depth in cells of that size.
 CELL = 1536
-#: Shingles per matrix product in a cell.
-SLICE = 4096
+#: A node of more shingles than this counts as large too, and is cut into cells of about so many.
+MASS = 1 << 22
+#: What holds more than one in so many rows is hot: fewer than so many can.
+HOT = 2000
+#: Shingles per matrix product in a cell; elements per block of minwise hashes.
+SLICE, BLOCK = 4096, 1 << 18
 CACHE, LONGEST = 300_000, 256
 #: Odd multipliers of the shingle hash and of its last mixing steps.
 ODD = np.array([0x9E3779B97F4A7C15, 0xC2B2AE3D27D4EB4F, 0x165667B19E3779F9, 0xD6E8FEB86659FD93, 0xFF51AFD7ED558CCD], dtype=np.uint64)
@@ -101,23 +110,33 @@ def shingles(text: bytes | None, hashes: WordHashes) -> np.ndarray:
         return np.unique(mixed(s))
 
 
-def paths(s: np.ndarray, trees: int, depth: int) -> np.ndarray:
-    """One hash per tree: of the path of the ``depth`` minwise shingles."""
-    out = np.zeros(trees, np.uint64)
+#: Smaller sets are like no set but their equals.
+LEAST = next(n for n in range(1, 1000) if MATCH[0] * n >= MATCH[1] * (n + 1))
+
+
+def minwise(s: np.ndarray, functions: int) -> np.ndarray:
+    """The shingle of least hash under each of so many hash functions."""
+    k = np.arange(functions, dtype=np.uint64)
+    out = np.empty(functions, np.uint64)
     with np.errstate(over="ignore"):
-        for t in range(trees):
-            h = s * (ODD[t % WIDTH] + np.uint64(2 * t * 0x2545F4914F6CDD1D % 2**64))
+        m = ODD[np.arange(functions) % WIDTH] + k * np.uint64(2 * 0x2545F4914F6CDD1D)
+        size = max(1, BLOCK // len(s))
+        for at in range(0, functions, size):
+            h = m[at : at + size, None] * s[None, :]
             h ^= h >> np.uint64(32)
             h *= MIX
-            if depth == 1:
-                out[t] = s[h.argmin()]
-            else:
-                low = np.argpartition(h, depth - 1)[:depth] if len(h) > depth else np.arange(len(h))
-                step = np.uint64(t)
-                for x in s[low[np.argsort(h[low])]]:
-                    step = (step ^ x) * ODD[0]
-                    step ^= step >> np.uint64(32)
-                out[t] = step
+            out[at : at + size] = s[h.argmin(axis=1)]
+    return out
+
+
+def paths(s: np.ndarray, trees: int, depth: int) -> np.ndarray:
+    """One hash per tree: of a path of ``depth`` minwise shingles, each under a hash function of its own."""
+    steps = minwise(s, trees * depth).reshape(trees, depth)
+    out = np.arange(trees, dtype=np.uint64)
+    with np.errstate(over="ignore"):
+        for k in range(depth):
+            out = (out ^ steps[:, k]) * ODD[0]
+            out ^= out >> np.uint64(32)
     return out
 
 
@@ -139,7 +158,7 @@ def sketches(trees: int, depth: int):
                 with np.errstate(over="ignore"):
                     fa.append(s.sum(dtype=np.uint64).astype(np.int64) if len(s) else 0)
                     fb.append((mixed(s * ODD[1])).sum(dtype=np.uint64).astype(np.int64) if len(s) else 0)
-                steps.append(paths(s, trees, depth).astype(np.int64) if len(s) else [])
+                steps.append(paths(s, trees, depth).astype(np.int64) if len(s) >= LEAST else [])
             yield pa.RecordBatch.from_arrays(
                 [batch.column("id"), batch.column("row"), pa.array(ns, pa.int64()), pa.array(fa, pa.int64()), pa.array(fb, pa.int64()), pa.array(steps, pa.list_(pa.int64()))],
                 ["id", "row", "n", "fa", "fb", "steps"],
@@ -222,11 +241,12 @@ def near_duplicates(docs: DataFrame, *, doc_id: str = "doc_id", text: str = "tex
     rows = docs.select(F.col(doc_id).cast("bigint").alias("id"), row_key(doc_id, text).alias("row"), F.col(text).alias("text"))
     schema = "id bigint, row bigint, n bigint, fa bigint, fb bigint, steps array<bigint>"
     all_rows = scratch.write("sketch", rows.mapInArrow(sketches(trees_for(DEPTHS[0], miss), DEPTHS[0]), schema))
-    classes = all_rows.where("n > 0 and id is not null").groupBy("fa", "fb", "n").agg(F.min(F.struct("id", "row")).alias("rep"))
-    classes = scratch.write("classes", classes.select("fa", "fb", "n", F.col("rep.id").alias("rep"), F.col("rep.row").alias("rep_row")))
-    reps = classes.select(F.col("rep").alias("id"), F.col("rep_row").alias("row"), "n")
-    at = all_rows.select("id", "row", "steps").join(reps, ["id", "row"]).dropDuplicates(["id", "row"])
+    classes = all_rows.where("n > 0 and id is not null").groupBy("fa", "fb", "n").agg(F.min(F.struct("id", "row")).alias("rep"), F.count("*").alias("size"))
+    classes = scratch.write("classes", classes.select("fa", "fb", "n", "size", F.col("rep.id").alias("rep"), F.col("rep.row").alias("rep_row")))
+    reps = classes.where(F.col("n") >= LEAST).select(F.col("rep").alias("id"), F.col("rep_row").alias("row"), "n")
+    at = scratch.write("walkers", all_rows.select("id", "row", "steps").join(reps, ["id", "row"]).dropDuplicates(["id", "row"]))
     links = comps = tried = texts = None
+    fit = lambda x, y: F.least(x, y) * MATCH[0] >= F.greatest(x, y) * MATCH[1]
 
     def labelled(nodes: DataFrame) -> DataFrame:
         if comps is None:
@@ -257,10 +277,13 @@ def near_duplicates(docs: DataFrame, *, doc_id: str = "doc_id", text: str = "tex
         with_both = with_b.join(texts.select(F.col("id").alias("a"), F.col("row").alias("ar"), F.col("text").alias("at")), ["a", "ar"])
         add_links(scratch.write(f"{name}-links", with_both.select("a", "b", "at", "bt").mapInArrow(confirm, "a bigint, b bigint")), name)
 
+    # the halves of a cell of two blocks hold half of what a cell may
+    halves = F.ceil(F.greatest(F.col("size") / (cell / 2), F.col("mass") / (MASS / 2))).cast("int")
+    large = (F.col("size") > cell) | (F.col("mass") > MASS)
+
     def compared(nodes: DataFrame, name: str) -> None:
         """Compare all documents of each node, in cells of bounded size that no task has two of at once."""
-        blocks = F.ceil(F.col("size") / (cell // 2)).cast("int")
-        one = F.when(F.col("size") <= cell, F.lit(1)).otherwise(blocks)
+        one = F.when(large, F.greatest(halves, F.lit(2))).otherwise(F.lit(1))
         d = nodes.select("tree", "step", "id", "row", "comp", one.alias("blocks"), F.pmod(F.xxhash64("id"), one).cast("int").alias("own"))
         # each block meets every other once: the cell (i, j), i <= j, holds blocks i and j
         d = d.withColumn("other", F.explode(F.sequence(F.lit(0), F.col("blocks") - 1)))
@@ -268,60 +291,59 @@ def near_duplicates(docs: DataFrame, *, doc_id: str = "doc_id", text: str = "tex
         d = d.join(texts, ["id", "row"])
         add_links(scratch.write(f"{name}-links", d.groupBy("tree", "step", "i", "j").applyInPandas(cell_links, "a bigint, b bigint")), name)
 
-    fit = lambda x, y: F.least(x, y) * MATCH[0] >= F.greatest(x, y) * MATCH[1]
-
-    def star_pairs(nodes: DataFrame) -> DataFrame:
-        """Each node's least document against those of other components."""
-        lead = nodes.where("id = lead").select("tree", "step", F.col("row").alias("ar"), F.col("n").alias("an"), F.col("comp").alias("ac")).dropDuplicates(["tree", "step"])
-        met = nodes.where("id <> lead").join(lead, ["tree", "step"]).where((F.col("comp") != F.col("ac")) & fit(F.col("n"), F.col("an")))
-        return met.select(F.col("lead").alias("a"), "ar", F.col("id").alias("b"), F.col("row").alias("br"))
-
     def node_pairs(nodes: DataFrame) -> DataFrame:
         """All pairs between components, for small nodes."""
+        nodes = nodes.select("tree", "step", "id", "row", "n", "comp")
         b = nodes.select("tree", "step", F.col("id").alias("b"), F.col("row").alias("br"), F.col("n").alias("bn"), F.col("comp").alias("bc"))
         p = nodes.join(b, ["tree", "step"]).where((F.col("id") < F.col("b")) & (F.col("comp") != F.col("bc")) & fit(F.col("n"), F.col("bn")))
         return p.select(F.col("id").alias("a"), F.col("row").alias("ar"), "b", "br")
 
-    def open_of(nodes: DataFrame) -> DataFrame:
-        """The nodes that hold more than one component."""
-        several = nodes.groupBy("tree", "step").agg(F.min("comp").alias("lo"), F.max("comp").alias("hi")).where("lo < hi").select("tree", "step")
-        return nodes.join(several, ["tree", "step"])
+    def nodes_of(spread: DataFrame, total: int, name: str) -> DataFrame:
+        """Documents of nodes that hold more than one component, with the node's size, shingles and least document.
 
-    def nodes_of(spread: DataFrame, only_open: bool) -> DataFrame:
-        """Documents of nodes that two share (or, of those, that hold more than one component), with size and least id."""
-        stats = spread.groupBy("tree", "step").agg(F.count("*").alias("size"), F.min("id").alias("lead"), F.min("comp").alias("lo"), F.max("comp").alias("hi"))
-        return spread.join(stats.where("lo < hi" if only_open else "size > 1").drop("lo", "hi"), ["tree", "step"])
+        Hot nodes are broadcast, so that their documents stay where they are.
+        """
+        key = ["tree", "step"]
+        stats = spread.groupBy(*key).agg(F.count("*").alias("size"), F.sum("n").alias("mass"), F.min(F.struct("id", "row", "n", "comp")).alias("lead"), F.min("comp").alias("lo"), F.max("comp").alias("hi"))
+        stats = scratch.write(f"{name}-stats", stats.where("lo < hi").drop("lo", "hi"))
+        hot = F.col("size") * HOT > total
+        few, rest = F.broadcast(stats.where(hot)), stats.where(~hot)
+        cool = spread.join(F.broadcast(stats.where(hot).select(*key)), key, "left_anti").join(rest, key)
+        return scratch.write(name, spread.join(few, key).unionByName(cool))
 
     for k, depth in enumerate(DEPTHS):
         last = k == len(DEPTHS) - 1
         if k:
-            at = texts.mapInArrow(sketches(trees_for(depth, miss), depth), schema).select("id", "row", "n", "steps")
-        now = labelled(at.select("id", "row", "n", "steps")).select("id", "row", "n", "comp", F.posexplode("steps").alias("tree", "step"))
+            at = scratch.write(f"walkers{k}", texts.mapInArrow(sketches(trees_for(depth, miss), depth), schema).select("id", "row", "n", "steps"))
+        spread = labelled(at.select("id", "row", "n", "steps")).select("id", "row", "n", "comp", F.posexplode("steps").alias("tree", "step"))
+        now = nodes_of(spread, at.count() * trees_for(depth, miss), f"now{k}")
+        keep_texts(now, f"texts{k}")
         if not k:
             # most copies fall to this, so that few pairs are left for the nodes
-            nodes = scratch.write("nodes", nodes_of(now, False))
-            keep_texts(nodes, "texts")
-            linked(star_pairs(nodes), "star")
-            now = open_of(labelled(nodes.drop("comp")))
-        else:
-            now = nodes_of(now, True)
-        now = scratch.write(f"now{k}", now)
-        keep_texts(now, f"texts{k}")
-        linked(node_pairs(now.where(F.col("size") <= small)), f"pairs{k}")
-        compared(now.where((F.col("size") > small) & (F.lit(last) | (F.col("size") <= cell))), f"cells{k}")
+            star = now.where((F.col("id") != F.col("lead.id")) & (F.col("comp") != F.col("lead.comp")) & fit(F.col("n"), F.col("lead.n")))
+            linked(star.select(F.col("lead.id").alias("a"), F.col("lead.row").alias("ar"), F.col("id").alias("b"), F.col("row").alias("br")), "star")
+            now = nodes_of(labelled(now.drop("comp", "size", "mass", "lead")), now.count(), "open0")
+            keep_texts(now, "open-texts0")
+        linked(node_pairs(now.where((F.col("size") <= small) & ~large)), f"pairs{k}")
+        compared(now.where(((F.col("size") > small) | large) & (F.lit(last) | ~large)), f"cells{k}")
         if last:
             break
-        large = scratch.write(f"large{k}", open_of(labelled(now.where(F.col("size") > cell).drop("comp"))))
-        if not large.limit(1).count():
+        deeper = nodes_of(labelled(now.where(large).drop("comp", "size", "mass", "lead")), now.count(), f"large{k}")
+        if not deeper.limit(1).count():
             break
-        keep_texts(large, f"open{k}")
+        keep_texts(deeper, f"large-texts{k}")
 
+    # labels meet classes first, so that the rows of a large class need one join, of which the hot classes are no part
+    component = classes.join(comps.select(F.col("id").alias("rep"), "comp"), "rep", "left").select("fa", "fb", "n", "size", F.coalesce("comp", "rep").alias("component"))
+    component = scratch.write("component", component)
+    key = ["fa", "fb", "n"]
+    full = F.col("id").isNotNull() & (F.col("n") > 0)
     ids = all_rows.select("id", "n", "fa", "fb")
-    grouped = ids.join(classes.select("fa", "fb", "n", "rep"), ["fa", "fb", "n"], "left")
-    comp = comps.select(F.col("id").alias("rep"), "comp")
-    grouped = grouped.join(comp, "rep", "left")
-    component = F.when(F.col("id").isNotNull() & (F.col("n") > 0), F.coalesce("comp", "rep")).otherwise(F.col("id"))
-    return grouped.select(F.col("id").alias("doc_id"), F.col("n").alias("n_shingles"), component.alias("component_id"), F.coalesce(F.col("id") == component, F.lit(True)).alias("kept"))
+    hot = F.col("size") * HOT > all_rows.count()
+    few, rest = component.where(hot).drop("size"), component.where(~hot).drop("size")
+    out = ids.where(full).join(F.broadcast(few), key).unionByName(ids.where(full).join(F.broadcast(few.select(*key)), key, "left_anti").join(rest, key))
+    out = out.unionByName(ids.where(~full).withColumn("component", F.col("id")))
+    return out.select(F.col("id").alias("doc_id"), F.col("n").alias("n_shingles"), F.col("component").alias("component_id"), F.coalesce(F.col("id") == F.col("component"), F.lit(True)).alias("kept"))
 
 
 def drop_near_duplicates(docs: DataFrame, *, doc_id: str = "doc_id", text: str = "text") -> DataFrame:

@@ -4,6 +4,7 @@ import hashlib
 import random
 import re
 
+import numpy as np
 import pytest
 import tiktoken
 from hypothesis import given, settings
@@ -178,6 +179,45 @@ def test_trees_reach_the_target():
         assert (1 - 0.75**depth) ** near_dup.trees_for(depth) <= near_dup.MISS
 
 
+def test_short_sets_keep_their_links_past_every_switch(spread_docs):
+    """One bare sentence links all others, three shared shingles of four; nodes are larger than a cell at every depth."""
+    got = near_dup.near_duplicates(spread_docs).select("component_id").distinct().collect()
+    assert [r.component_id for r in got] == [0]
+
+
+@pytest.fixture
+def spread_docs(spark):
+    bare = "this page is left blank on purpose"
+    return spark.range(4001).select(F.col("id").alias("doc_id"), F.when(F.col("id") == 2000, F.lit(bare)).otherwise(F.concat(F.lit(bare + " x"), "id")).alias("text"))
+
+
+def met_share(common, union, depth, pairs=400):
+    """Share of pairs of that many common shingles that meet in a tree, with the shipped number of trees."""
+    rng, met = np.random.default_rng(common * 100 + depth), 0
+    for _ in range(pairs):
+        x = rng.integers(0, 2**63, union, dtype=np.uint64)
+        extra = (union - common) // 2
+        a, b = np.sort(np.concatenate([x[:common], x[common : common + extra]])), np.sort(np.concatenate([x[:common], x[common + extra :]]))
+        trees = near_dup.trees_for(depth)
+        met += bool((near_dup.paths(a, trees, depth) == near_dup.paths(b, trees, depth)).any())
+    return met / pairs
+
+
+@pytest.mark.parametrize("depth", near_dup.DEPTHS)
+@pytest.mark.parametrize("union", [4, 8, 12, 20, 100])
+def test_pairs_at_the_bound_meet_at_every_depth(union, depth):
+    assert met_share(3 * union // 4, union, depth) == 1
+
+
+@pytest.mark.parametrize("depth", near_dup.DEPTHS)
+def test_one_tree_meets_as_often_as_its_depth_says(depth):
+    rng, trials, met = np.random.default_rng(depth), 3000, 0
+    for _ in range(trials):
+        x = rng.integers(0, 2**63, 8, dtype=np.uint64)
+        met += near_dup.paths(np.sort(x[:7]), 1, depth)[0] == near_dup.paths(np.sort(x[1:]), 1, depth)[0]
+    assert abs(met / trials - 0.75**depth) < 0.04
+
+
 # ---- the rest -------------------------------------------------------------------------------------------------------
 
 
