@@ -245,7 +245,7 @@ def near_duplicates(docs: DataFrame, *, doc_id: str = "doc_id", text: str = "tex
     classes = scratch.write("classes", classes.select("fa", "fb", "n", "size", F.col("rep.id").alias("rep"), F.col("rep.row").alias("rep_row")))
     reps = classes.where(F.col("n") >= LEAST).select(F.col("rep").alias("id"), F.col("rep_row").alias("row"), "n")
     at = scratch.write("walkers", all_rows.select("id", "row", "steps").join(reps, ["id", "row"]).dropDuplicates(["id", "row"]))
-    links = comps = tried = texts = None
+    comps = tried = texts = None
     fit = lambda x, y: F.least(x, y) * MATCH[0] >= F.greatest(x, y) * MATCH[1]
 
     def labelled(nodes: DataFrame) -> DataFrame:
@@ -254,10 +254,18 @@ def near_duplicates(docs: DataFrame, *, doc_id: str = "doc_id", text: str = "tex
         return nodes.join(comps, "id", "left").withColumn("comp", F.coalesce("comp", "id"))
 
     def add_links(new: DataFrame, name: str) -> None:
-        nonlocal links, comps
-        if links is None or new.limit(1).count():
-            links = new if links is None else links.unionByName(new)
-            comps = components(links, scratch, f"{name}-comps")
+        """Renew the components: later links join components, of which there are few, not documents."""
+        nonlocal comps
+        if comps is None:
+            comps = components(new, scratch, f"{name}-comps")
+            return
+        found = labelled(labelled(new.withColumn("id", F.col("a"))).withColumnRenamed("comp", "x").withColumn("id", F.col("b")))
+        edges = scratch.write(f"{name}-edges", found.where("x <> comp").select(F.least("x", "comp").alias("a"), F.greatest("x", "comp").alias("b")).distinct())
+        if not edges.limit(1).count():
+            return
+        merged = components(edges, scratch, f"{name}-comps").select(F.col("id").alias("comp"), F.col("comp").alias("new"))
+        ends = edges.select(F.explode(F.array("a", "b")).alias("id")).distinct().join(comps, "id", "left_anti").select("id", F.col("id").alias("comp"))
+        comps = scratch.write(f"{name}-labels", comps.unionByName(ends).join(merged, "comp", "left").select("id", F.coalesce("new", "comp").alias("comp")))
 
     def keep_texts(of: DataFrame, name: str) -> None:
         """From now on only the texts of these documents can be asked for."""
@@ -265,8 +273,8 @@ def near_duplicates(docs: DataFrame, *, doc_id: str = "doc_id", text: str = "tex
         source = rows if texts is None else texts
         texts = scratch.write(name, source.join(of.select("id", "row").distinct(), ["id", "row"]).dropDuplicates(["id", "row"]))
 
-    def linked(pairs: DataFrame, name: str) -> None:
-        """Confirm the pairs (a, ar, b, br) that are new on full sets and renew the components."""
+    def linked(pairs: DataFrame, name: str) -> DataFrame:
+        """Those of the pairs (a, ar, b, br) that are new and that full sets confirm."""
         nonlocal tried
         pairs = pairs.distinct()
         if tried is not None:
@@ -275,13 +283,13 @@ def near_duplicates(docs: DataFrame, *, doc_id: str = "doc_id", text: str = "tex
         tried = pairs if tried is None else tried.unionByName(pairs)
         with_b = pairs.join(texts.select(F.col("id").alias("b"), F.col("row").alias("br"), F.col("text").alias("bt")), ["b", "br"])
         with_both = with_b.join(texts.select(F.col("id").alias("a"), F.col("row").alias("ar"), F.col("text").alias("at")), ["a", "ar"])
-        add_links(scratch.write(f"{name}-links", with_both.select("a", "b", "at", "bt").mapInArrow(confirm, "a bigint, b bigint")), name)
+        return scratch.write(f"{name}-links", with_both.select("a", "b", "at", "bt").mapInArrow(confirm, "a bigint, b bigint"))
 
     # the halves of a cell of two blocks hold half of what a cell may
     halves = F.ceil(F.greatest(F.col("size") / (cell / 2), F.col("mass") / (MASS / 2))).cast("int")
     large = (F.col("size") > cell) | (F.col("mass") > MASS)
 
-    def compared(nodes: DataFrame, name: str) -> None:
+    def compared(nodes: DataFrame, name: str) -> DataFrame:
         """Compare all documents of each node, in cells of bounded size that no task has two of at once."""
         one = F.when(large, F.greatest(halves, F.lit(2))).otherwise(F.lit(1))
         d = nodes.select("tree", "step", "id", "row", "comp", one.alias("blocks"), F.pmod(F.xxhash64("id"), one).cast("int").alias("own"))
@@ -289,7 +297,7 @@ def near_duplicates(docs: DataFrame, *, doc_id: str = "doc_id", text: str = "tex
         d = d.withColumn("other", F.explode(F.sequence(F.lit(0), F.col("blocks") - 1)))
         d = d.where("blocks = 1 or own <> other").select("tree", "step", F.least("own", "other").alias("i"), F.greatest("own", "other").alias("j"), "id", "row", "comp")
         d = d.join(texts, ["id", "row"])
-        add_links(scratch.write(f"{name}-links", d.groupBy("tree", "step", "i", "j").applyInPandas(cell_links, "a bigint, b bigint")), name)
+        return scratch.write(f"{name}-links", d.groupBy("tree", "step", "i", "j").applyInPandas(cell_links, "a bigint, b bigint"))
 
     def node_pairs(nodes: DataFrame) -> DataFrame:
         """All pairs between components, for small nodes."""
@@ -321,11 +329,11 @@ def near_duplicates(docs: DataFrame, *, doc_id: str = "doc_id", text: str = "tex
         if not k:
             # most copies fall to this, so that few pairs are left for the nodes
             star = now.where((F.col("id") != F.col("lead.id")) & (F.col("comp") != F.col("lead.comp")) & fit(F.col("n"), F.col("lead.n")))
-            linked(star.select(F.col("lead.id").alias("a"), F.col("lead.row").alias("ar"), F.col("id").alias("b"), F.col("row").alias("br")), "star")
+            add_links(linked(star.select(F.col("lead.id").alias("a"), F.col("lead.row").alias("ar"), F.col("id").alias("b"), F.col("row").alias("br")), "star"), "star")
             now = nodes_of(labelled(now.drop("comp", "size", "mass", "lead")), now.count(), "open0")
             keep_texts(now, "open-texts0")
-        linked(node_pairs(now.where((F.col("size") <= small) & ~large)), f"pairs{k}")
-        compared(now.where(((F.col("size") > small) | large) & (F.lit(last) | ~large)), f"cells{k}")
+        found = linked(node_pairs(now.where((F.col("size") <= small) & ~large)), f"pairs{k}")
+        add_links(found.unionByName(compared(now.where(((F.col("size") > small) | large) & (F.lit(last) | ~large)), f"cells{k}")), f"depth{k}")
         if last:
             break
         deeper = nodes_of(labelled(now.where(large).drop("comp", "size", "mass", "lead")), now.count(), f"large{k}")
