@@ -19,27 +19,24 @@ WITH c AS (
 SELECT source, lang, version, count(*) AS n_docs, CAST(sum(tokens) AS BIGINT) AS n_tokens FROM c GROUP BY ALL
 """
 
-# chunk ends: local minima of h[i] * 31 + h[i - 1]; every chunk text that came before, by id and place, goes
+# every pair of neighbouring lines with words that came before, by id and place, goes with the blank lines between
 OP3 = r"""
 WITH lines AS (
   SELECT doc_id, unnest(string_split(text, chr(10))) AS line, generate_subscripts(string_split(text, chr(10)), 1) AS i FROM documents WHERE text IS NOT NULL),
-hashed AS (SELECT *, ('0x' || substr(md5(line), 1, 8))::BIGINT AS h FROM lines),
-rolled AS (SELECT *, h * 31 + coalesce(lag(h) OVER (PARTITION BY doc_id ORDER BY i), 0) AS r FROM hashed),
-ends AS (SELECT *, lag(r) OVER w AS before, lead(r) OVER w AS after FROM rolled WINDOW w AS (PARTITION BY doc_id ORDER BY i)),
-marked AS (SELECT *, CASE WHEN after IS NULL OR (before > r AND after >= r) THEN 1 ELSE 0 END AS last FROM ends),
-numbered AS (SELECT *, coalesce(sum(last) OVER (PARTITION BY doc_id ORDER BY i ROWS BETWEEN UNBOUNDED PRECEDING AND 1 PRECEDING), 0) AS no FROM marked),
-chunks AS (
-  SELECT doc_id, no, string_agg(line, chr(10) ORDER BY i) AS chunk, count(*) AS n,
-         count(*) FILTER (regexp_matches(line, '[^\x20\x09-\x0D]')) AS full_lines
-  FROM numbered GROUP BY doc_id, no),
-seen AS (
-  SELECT *, CASE WHEN full_lines >= 2 THEN row_number() OVER (PARTITION BY chunk ORDER BY doc_id, no) ELSE 1 END AS occurrence FROM chunks),
+filled AS (
+  SELECT doc_id, i, line, row_number() OVER w AS k, lead(line) OVER w AS after, lead(i) OVER w AS j
+  FROM lines WHERE regexp_matches(line, '[^\x20\x09-\x0D]') WINDOW w AS (PARTITION BY doc_id ORDER BY i)),
+pairs AS (
+  SELECT *, first_value(doc_id) OVER p AS first_doc, first_value(k) OVER p AS first_k FROM filled WHERE after IS NOT NULL
+  WINDOW p AS (PARTITION BY line, after ORDER BY doc_id, k)),
+gone AS (SELECT doc_id, i, j FROM pairs WHERE doc_id <> first_doc OR k - first_k > 1),
+cut AS (SELECT DISTINCT l.doc_id, l.i FROM lines l JOIN gone g ON l.doc_id = g.doc_id AND l.i BETWEEN g.i AND g.j),
 texts AS (
-  SELECT doc_id, coalesce(string_agg(chunk, chr(10) ORDER BY no) FILTER (occurrence = 1), '') AS text,
-         count(*) FILTER (occurrence > 1) AS n_chunks_removed, CAST(coalesce(sum(n) FILTER (occurrence > 1), 0) AS BIGINT) AS n_lines_removed
-  FROM seen GROUP BY doc_id)
-SELECT d.doc_id, t.text, coalesce(n_chunks_removed, 0) AS n_chunks_removed, coalesce(n_lines_removed, 0) AS n_lines_removed
-FROM documents d LEFT JOIN texts t USING (doc_id)
+  SELECT l.doc_id, coalesce(string_agg(line, chr(10) ORDER BY l.i) FILTER (c.i IS NULL), '') AS text, count(c.i) AS n_lines
+  FROM lines l LEFT JOIN cut c ON l.doc_id = c.doc_id AND l.i = c.i GROUP BY l.doc_id),
+n AS (SELECT doc_id, count(*) AS n_chunks FROM gone GROUP BY doc_id)
+SELECT d.doc_id, t.text, coalesce(n_chunks, 0) AS n_chunks_removed, coalesce(n_lines, 0) AS n_lines_removed
+FROM documents d LEFT JOIN texts t USING (doc_id) LEFT JOIN n USING (doc_id)
 """
 
 _STOPS = ", ".join(f"'{w}'" for w in sorted(set(quality_rules.STOP_WORDS)))
