@@ -7,7 +7,9 @@ no boundary but its own. The root is the hash of the section nodes.
 
 ``fingerprint`` is the root, the section nodes and the leaves as one string: equal roots mean equal
 texts; where roots differ, ``differing_branches`` walks sections and then paragraphs to the places that do. ``likeness``
-is the share of distinct leaves that two trees have in common (Dice), 1 for equal roots.
+is the share of leaves that two trees have in common (Dice), each as often as it occurs, 1 for equal roots: what a walk that
+takes common sections first, then common paragraphs of the rest, then common leaves would count, as branches taken
+out of both sides take as many leaves from each.
 
 At scale: a document's tree is a projection. The next document is found without one global
 sort: ids are cut into ranges by bounded quantiles, rows move once to their range, and the first
@@ -30,9 +32,8 @@ from pyspark.sql import types as T
 
 from semrank.llm.text import whole
 
-#: ASCII punctuation, and the mark put for the space where a phrase ends.
-PUNCTUATION = r"""([!-/:-@\[-`{-~]) """
-MARK = "\u0001"
+#: A phrase ends at a space behind ASCII punctuation.
+PHRASE_END = r"""(?<=[!-/:-@\[-`{-~]) """
 #: A paragraph whose node starts with one of these closes a section.
 CLOSING = "0123"
 #: Ranges of ids: four for each shuffle partition, within these bounds.
@@ -48,8 +49,7 @@ def leaf(x: Column) -> Column:
 def tree(d: DataFrame, text: str, name: str) -> DataFrame:
     """Adds {name}_leaves (per paragraph), {name}_nodes and {name}_sections."""
     leaves, nodes, ends = f"{name}_leaves", f"{name}_nodes", f"{name}_ends"
-    marked = F.regexp_replace(F.col(text), PUNCTUATION, "$1" + MARK)
-    d = d.withColumn(leaves, F.transform(F.split(marked, "\n"), lambda p: F.transform(F.split(p, MARK), leaf)))
+    d = d.withColumn(leaves, F.transform(F.split(text, "\n"), lambda p: F.transform(F.split(p, PHRASE_END), leaf)))
     d = d.withColumn(nodes, F.transform(leaves, lambda x: F.md5(F.array_join(x, ""))))
     close = F.transform(nodes, lambda x, i: F.when((i + 1 == F.size(nodes)) | F.substring(x, 1, 1).isin(*CLOSING), i))
     d = d.withColumn(ends, F.filter(close, lambda i: i.isNotNull()))
@@ -67,14 +67,19 @@ def root_of(fp: str | Column) -> Column:
     return F.substring(fp, 1, 32)
 
 
-def likeness(a: Column, b: Column) -> Column:
-    """Of two arrays of distinct leaves."""
-    return 2.0 * F.size(F.array_intersect(a, b)) / (F.size(a) + F.size(b))
+def counted(d: DataFrame, fp: str, name: str) -> DataFrame:
+    """Adds {name}, the leaves that a fingerprint lists in order of hash, and {name}_each, where the repeats of a leaf are told apart by a number."""
+    d = d.withColumn(name, F.array_sort(F.split(F.substring_index(fp, ":", -1), "[./]")))
+    new = F.transform(name, lambda x, i: F.when((i == 0) | (F.get(name, i - 1) != x), i))
+    d = d.withColumn(f"{name}_at", F.filter(new, lambda i: i.isNotNull()))
+    until = lambda k: F.coalesce(F.get(f"{name}_at", k + 1), F.size(name))
+    each = F.transform(f"{name}_at", lambda i, k: F.transform(F.sequence(F.lit(1), until(k) - i), lambda c: F.concat(F.get(name, i), F.lit("."), c.cast("string"))))
+    return d.withColumn(f"{name}_each", F.flatten(each)).drop(f"{name}_at")
 
 
-def leaves_of(fp: str) -> Column:
-    """The distinct leaves that a fingerprint lists."""
-    return F.array_distinct(F.split(F.substring_index(fp, ":", -1), "[./]"))
+def likeness(a: str, b: str) -> Column:
+    """Of two fingerprints whose leaves were counted under these names."""
+    return 2.0 * F.size(F.array_intersect(f"{a}_each", f"{b}_each")) / (F.size(a) + F.size(b))
 
 
 def differing(a: list[str], b: list[str]) -> tuple[range, range]:
@@ -156,6 +161,7 @@ def fingerprints(docs: DataFrame, *, doc_id: str = "doc_id", text: str = "text")
     d = d.select("doc_id", n.cast("bigint").alias("n_chars"), edited.alias("_edited"), "fingerprint", F.col("_next.fingerprint").alias("_next"))
     d = tree(d, "_edited", "edit")
     d = d.select("doc_id", "n_chars", F.sha2("_edited", 256).alias("edited_sha256"), "fingerprint", fingerprint("edit").alias("edited_fingerprint"), "_next")
-    d = d.select("*", *[leaves_of(c).alias(to) for c, to in (("fingerprint", "_own"), ("edited_fingerprint", "_edit"), ("_next", "_after"))])
-    near = lambda fp, leaves: F.when(root_of("fingerprint") == root_of(fp), F.lit(1.0)).otherwise(likeness(F.col("_own"), F.col(leaves)))
+    for fp, name in (("fingerprint", "_own"), ("edited_fingerprint", "_edit"), ("_next", "_after")):
+        d = counted(d, fp, name)
+    near = lambda fp, leaves: F.when(root_of("fingerprint") == root_of(fp), F.lit(1.0)).otherwise(likeness("_own", leaves))
     return d.select("doc_id", "n_chars", "edited_sha256", "fingerprint", "edited_fingerprint", near("edited_fingerprint", "_edit").alias("near_edited"), near("_next", "_after").alias("near_next"))

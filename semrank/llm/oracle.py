@@ -143,7 +143,7 @@ _TREE = r"""list_transform(string_split(regexp_replace({t}, '([!-/:-@\[-`{{-~])
 
 def _side(name: str) -> str:
     return (
-        f"list_transform({name}_l, lambda x: md5(array_to_string(x, ''))) AS {name}_n, list_distinct(flatten({name}_l)) AS {name}_set"
+        f"list_transform({name}_l, lambda x: md5(array_to_string(x, ''))) AS {name}_n, list_sort(flatten({name}_l)) AS {name}_f"
     )
 
 
@@ -160,6 +160,11 @@ def _print(name: str) -> str:
     return f"md5(array_to_string({name}_s, '')) || ':' || array_to_string(list_transform({name}_s, lambda x: substr(x, 1, 16)), '.') || ':' || array_to_string(list_transform({name}_l, lambda x: array_to_string(x, '.')), '/')"
 
 
+def _each(name: str) -> str:
+    """Leaves with the number of the repeat, which is the distance from the first of its kind in a sorted list."""
+    return f"list_transform(range(1, len({name}_f) + 1), lambda i: {name}_f[i] || '.' || (i - list_position({name}_f, {name}_f[i]))) AS {name}_set"
+
+
 def _near(other: str) -> str:
     return f"CASE WHEN own_s = {other}_s THEN 1.0 ELSE CAST(2.0 AS DOUBLE) * len(list_intersect(own_set, {other}_set)) / (len(own_set) + len({other}_set)) END AS near_{'edited' if other == 'edit' else 'next'}"
 
@@ -171,7 +176,7 @@ WITH d AS (
 e AS (SELECT doc_id, length(t) AS n_chars, t, nx, substr(t, 1, length(t) - length(t) // 4) || substr(nx, 1, length(t) // 4) AS ed FROM d),
 a AS (SELECT doc_id, n_chars, sha256(ed) AS edited_sha256, {", ".join(_TREE.format(t=t) + f" AS {n}_l" for t, n in zip(("t", "ed", "nx"), _NAMES, strict=True))} FROM e),
 b AS (SELECT *, {", ".join(map(_side, _NAMES))} FROM a),
-c AS (SELECT *, {", ".join(map(_sections, _NAMES))} FROM b),
+c AS (SELECT *, {", ".join(map(_sections, _NAMES))}, {", ".join(map(_each, _NAMES))} FROM b),
 s AS (SELECT *, {", ".join(map(_nodes, _NAMES))} FROM c)
 SELECT doc_id, n_chars, edited_sha256, {_print("own")} AS fingerprint, {_print("edit")} AS edited_fingerprint, {_near("edit")}, {_near("next")} FROM s
 """

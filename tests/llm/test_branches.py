@@ -1,6 +1,7 @@
 """Where two fingerprints' texts differ, by their branches."""
 
 import random
+from collections import Counter
 
 from semrank.llm import merkle
 
@@ -43,3 +44,23 @@ def test_branches_beside_likeness(spark):
     for r in rows:
         same = r.fingerprint[:32] == r.edited_fingerprint[:32]
         assert same == (not r.d.a and not r.d.b) and (r.near_edited == 1 or not same)
+
+
+def leaves(fp):
+    return Counter(x for p in fp.rsplit(":", 1)[1].split("/") for x in p.split("."))
+
+
+def test_likeness_counts_repeats(spark):
+    texts = ["again and again, " * 400, "one. two. three. " * 50 + "end", "", "a. b. a. b. c", "a. a. a. a", "x\ny\nx\nx"]
+    rows = merkle.fingerprints(spark.createDataFrame(list(enumerate(texts)), "doc_id bigint, text string")).orderBy("doc_id").collect()
+    for r, after in zip(rows, [*rows[1:], rows[0]], strict=True):
+        for fp, got in ((r.edited_fingerprint, r.near_edited), (after.fingerprint, r.near_next)):
+            a, b = leaves(r.fingerprint), leaves(fp)
+            assert got == (1 if r.fingerprint[:32] == fp[:32] else 2 * (a & b).total() / (a.total() + b.total()))
+    assert rows[0].near_edited > 0.7
+
+
+def test_no_text_holds_a_mark(spark):
+    pairs = ["a. b", "a.\u0001b", "a.\u0002b", "a.  b", "a.\nb", "a. \nb"]
+    rows = merkle.fingerprints(spark.createDataFrame(list(enumerate(pairs)), "doc_id bigint, text string")).collect()
+    assert len({r.fingerprint[:32] for r in rows}) == len(pairs)
