@@ -42,3 +42,45 @@ def test_lines_within_a_paragraph(spark):
         "Licensed under CC\nBY-NC 4.0. Licensed under\nCC BY 4.0.", "Released. under the MIT License.", "a" + s, "released under the mit licenses",
     ]
     assert [x for x, _ in scanned(spark, texts)] == ["mit-released", "mit-released,mit-released", "", "", "mit-grant", "apache-grant", "apache-name", "cc-by-nc-4,cc-by-4", "", "", ""]
+
+
+FULL = {
+    "MIT": ["mit-name", "mit-grant", "mit-notice", "mit-as-is", "mit-liable"],
+    "Apache-2.0": ["apache-grant", "apache-use", "apache-obtain", "apache-unless", "apache-see"],
+    "LGPL-2.1-or-later": ["gnu-library", "lgpl-terms", "gnu-later-2-1", "lgpl-hope", "gpl-implied"],
+    "LGPL-3.0-or-later": ["lgpl-free"],
+    "AGPL-3.0-or-later": ["agpl-free", "gpl-hope", "gpl-implied", "agpl-details"],
+    "GPL-2.0-or-later": ["gnu-program", "gpl-terms", "gnu-later-2", "gpl-hope", "gpl-implied", "gpl-details"],
+    "GPL-2.0-only": ["gnu-program", "gpl2-terms"],
+    "BSD-3-Clause": ["bsd-grant", "bsd-source", "bsd-binary", "bsd-endorse", "bsd-as-is"],
+    "BSD-2-Clause": ["bsd-grant", "bsd-source", "bsd-binary", "bsd-as-is"],
+    "MPL-2.0": ["mpl-form"],
+    "ISC": ["isc-name", "isc-grant", "isc-as-is"],
+    "Zlib": ["zlib-as-is", "zlib-grant"],
+    "BSL-1.0": ["boost-grant"],
+    "Unlicense": ["unlicense"],
+}
+
+
+def test_full_texts(spark):
+    names, texts = [], []
+    for name, ids in FULL.items():
+        for width in (30, 76):
+            names.append(name)
+            texts.append("int x;\n\n" + textwrap.fill(" ".join(S[i] if S[i][-1] in ".;" else S[i] + "." for i in ids), width) + "\n\nint y;")
+    got = scanned(spark, texts)
+    assert [(g[0].split(","), g[1]) for g in got] == [(FULL[n], n) for n in names]
+
+
+def test_every_known_sentence_passes_the_word_filter(spark):
+    assert all(any(w in x.lower() for w in license_scan.WORDS) for x in S.values())
+    got = scanned(spark, ["# " + textwrap.fill(x, 20).replace("\n", "\n# ") for x in S.values()])
+    assert [g[0] for g in got] == list(S)
+    used = {i for _, need in license_scan.RULES for i in need}
+    assert used <= set(S)
+
+
+def test_rules_against_a_plain_matcher():
+    """Every rule alone gives its licence unless one before it takes all its sentences."""
+    for name, need in license_scan.RULES:
+        assert license_scan.match_rules(list(need))[0] in {n for n, _ in license_scan.RULES} and name in license_scan.match_rules([x for i in need for x in (i, "other")])
