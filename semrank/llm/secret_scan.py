@@ -2,8 +2,8 @@
 
 Base patterns find assigned credentials, access key ids and long hex runs. Beside them, values that
 are assigned in a sensitive context (a name with a word of authentication anywhere in it) are candidates.
-Each candidate is compressed with a dictionary primed from the text around it and its identifiers, where
-other occurrences of the candidate are blanks, so that a secret written twice does not prime itself;
+Each candidate is compressed with a dictionary primed from the text around it and from the identifiers of the whole text (the
+``IDENTIFIERS`` most frequent ones), without the candidate's own other occurrences, so that a secret written twice does not prime itself;
 its novelty is the bytes that this adds, less an empty frame, per byte. A random string stays
 incompressible under any dictionary, a word or a name from the surroundings does not. Candidates
 of a novelty of ``NOVEL`` or more become spans of kind ``novel`` unless a base span overlaps them.
@@ -19,6 +19,7 @@ from __future__ import annotations
 
 import hashlib
 import re
+from collections import Counter
 from collections.abc import Iterator
 
 import pandas as pd
@@ -45,17 +46,31 @@ SENSITIVE = re.compile("|".join(NAMES), re.I | re.A)
 CONTEXT = re.compile(r"""([A-Za-z0-9_-]++)(?=["']?\x20*(?:[:=]\x20*|\x20)["']?([A-Za-z0-9+/_=-]{16,}))""", re.A)
 IDENTIFIER = re.compile(r"[A-Za-z_][A-Za-z0-9_]{2,}")
 AROUND, NOVEL = 2000, 0.55
+#: A dictionary's size bounds what compressing one candidate costs.
+IDENTIFIERS = 2000
 
 
-def novelty(text: str, start: int, end: int) -> float:
-    """Marginal compressed bytes per byte of text[start:end], with its surroundings as dictionary."""
+def names_of(text: str) -> Counter:
+    return Counter(IDENTIFIER.findall(text))
+
+
+def dictionary(names: Counter, text: str, value: str) -> str:
+    """The most frequent identifiers of a text, less those that stand in occurrences of ``value`` alone."""
+    inside = Counter(IDENTIFIER.findall(value))
+    times = text.count(value) if inside else 0
+    left = ((w, n - times * inside[w]) for w, n in names.items())
+    return " ".join(sorted(w for _, w in sorted((-n, w) for w, n in left if n > 0)[:IDENTIFIERS]))
+
+
+def novelty(text: str, start: int, end: int, names: Counter | None = None) -> float:
+    """Marginal compressed bytes per byte of text[start:end], with its surroundings and the text's identifiers as dictionary."""
     value = text[start:end].encode()
     # wider by one value, so that an occurrence across the edge is seen whole
     wide, blank = AROUND + end - start, " " * (end - start)
     before = text[max(0, start - wide) : start].replace(text[start:end], blank)[-AROUND:]
     after = text[end : end + wide].replace(text[start:end], blank)[:AROUND]
-    names = " ".join(sorted(set(IDENTIFIER.findall(before + " " + after))))
-    primer = (names + "\n" + after + before).encode("utf-8", "replace")
+    known = dictionary(names_of(text) if names is None else names, text, text[start:end])
+    primer = (known + "\n" + after + before).encode("utf-8", "replace")
     if len(primer) < 8:
         primer = primer.ljust(8)
     packer = zstandard.ZstdCompressor(level=19, dict_data=zstandard.ZstdCompressionDict(primer, dict_type=zstandard.DICT_TYPE_RAWCONTENT), write_content_size=False, write_dict_id=False)
@@ -72,17 +87,20 @@ def base_spans(text: str) -> list[tuple[int, int, int]]:
 
 def scan(text: str) -> dict:
     base = base_spans(text)
-    more, value_of = [], {}
+    more, value_of, names = [], {}, None
     for m in CONTEXT.finditer(text):
         s, e = m.span(2)
         if not SENSITIVE.search(m[1]) or any(a < e and s < b for a, _, b in base):
             continue
-        if re.search("[0-9]", m[2]) and re.search("[A-Za-z]", m[2]) and (x := novelty(text, s, e)) >= NOVEL:
-            more.append((s, 3, e))
-            value_of[s, 3] = x
+        if re.search("[0-9]", m[2]) and re.search("[A-Za-z]", m[2]):
+            names = names or names_of(text)
+            if (x := novelty(text, s, e, names)) >= NOVEL:
+                more.append((s, 3, e))
+                value_of[s, 3] = x
+    names = names or (names_of(text) if base else None)
     for s, k, e in base:
         inner = ASSIGN.match(text, s).span(2) if k == 0 else (s, e)
-        value_of[s, k] = novelty(text, *inner)
+        value_of[s, k] = novelty(text, *inner, names)
     written = lambda spans: ",".join(f"{KINDS[k]}:{s}:{e}" for s, k, e in spans)
     every = sorted(base + more)
     return {
