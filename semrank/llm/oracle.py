@@ -12,10 +12,11 @@ def words(t: str = "text") -> str:
 
 
 OP1 = f"""
-WITH c AS (
-  SELECT source, lang, 'words-1' AS version, len({words()}) AS tokens FROM documents WHERE length(coalesce(text, '')) > 0
+WITH d AS (SELECT source, lang, len({words()}) AS n, strlen(text) AS bytes FROM documents),
+c AS (
+  SELECT source, lang, 'words-1' AS version, n AS tokens FROM d WHERE n >= 10
   UNION ALL
-  SELECT source, lang, 'bytes-4', CAST(ceil(strlen(text) / 4.0) AS BIGINT) FROM documents WHERE length(coalesce(text, '')) > 0)
+  SELECT source, lang, 'bytes-4', CAST(ceil(bytes / 4.0) AS BIGINT) FROM d WHERE n >= 10)
 SELECT source, lang, version, count(*) AS n_docs, CAST(sum(tokens) AS BIGINT) AS n_tokens FROM c GROUP BY ALL
 """
 

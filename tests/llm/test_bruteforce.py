@@ -256,6 +256,40 @@ def test_counts_are_idempotent_and_compact(spark):
     assert sorted(map(str, map(tuple, store.totals().collect()))) == sorted(map(str, [("a", "en", "v1", 4, 32), (None, "en", "v1", 1, 7)]))
 
 
+class Stop(Exception):
+    pass
+
+
+@pytest.mark.parametrize("step", ["totals", "rename", "clean"])
+def test_a_compaction_that_stops_loses_nothing(spark, monkeypatch, step):
+    root = Scratch(spark, "t").root
+    store = token_counts.TokenCounts(spark, root)
+    store.commit("b1", change(spark, [("insert", "a", "en", "v1", 10, None)]))
+    store.commit("b2", change(spark, [("insert", "b", "en", "v1", 5, None), ("delete", "a", "en", "v1", 4, None)]))
+    want = [("a", "en", "v1", 0, 6), ("b", "en", "v1", 1, 5)]
+
+    def stop(*args):
+        raise Stop
+
+    with monkeypatch.context() as m:
+        if step == "rename":
+            real = token_counts.file_system
+            m.setattr(token_counts, "file_system", lambda s, p: stop() if "/making-" in p else real(s, p))
+        else:
+            m.setattr(token_counts.TokenCounts, step, stop)
+        with pytest.raises(Stop):
+            store.compact("c1")
+    again = token_counts.TokenCounts(spark, root)
+    assert sorted(tuple(r) for r in again.totals().collect()) == want
+    assert not again.commit("b1", change(spark, [("insert", "a", "en", "v1", 10, None)]))
+    again.compact("c1")
+    again.clean()
+    assert sorted(tuple(r) for r in again.totals().collect()) == want and len(again._folders()) == 1
+    again.commit("b3", change(spark, [("delete", "b", "en", "v1", 5, None)]))
+    again.compact("c2")
+    assert [tuple(r) for r in again.totals().collect()] == want[:1] and not again.commit("b2", change(spark, [("insert", "a", "en", "v1", 1, None)]))
+
+
 def test_classifier_on_held_out_rows(spark):
     import __spark_entry__ as entry
 
