@@ -65,7 +65,9 @@ MASS = 1 << 22
 HOT = 2000
 #: Shingles per matrix product in a cell; elements per block of minwise hashes.
 SLICE, BLOCK = 4096, 1 << 18
-CACHE, LONGEST = 300_000, 256
+CACHE, LONGEST = 100_000, 256
+#: Texts that are Python objects at once.
+AT_ONCE = 512
 #: Odd multipliers of the shingle hash and of its last mixing steps.
 ODD = np.array([0x9E3779B97F4A7C15, 0xC2B2AE3D27D4EB4F, 0x165667B19E3779F9, 0xD6E8FEB86659FD93, 0xFF51AFD7ED558CCD], dtype=np.uint64)
 MIX = np.uint64(0xC4CEB9FE1A85EC53)
@@ -147,10 +149,22 @@ def jaccard_holds(a: np.ndarray, b: np.ndarray) -> bool:
     return MATCH[0] * (len(a) + len(b) - union) >= MATCH[1] * union
 
 
+def sliced(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+    for batch in batches:
+        for at in range(0, batch.num_rows, AT_ONCE):
+            yield batch.slice(at, AT_ONCE)
+
+
+def hand_back(hashes: WordHashes) -> None:
+    """Workers outlive tasks: what this one no longer needs goes back to the system."""
+    hashes.clear()
+    pa.default_memory_pool().release_unused()
+
+
 def sketches(trees: int, depth: int):
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         hashes = WordHashes()
-        for batch in batches:
+        for batch in sliced(batches):
             ns, fa, fb, steps = [], [], [], []
             for text in batch.column("text").cast(pa.binary()).to_pylist():
                 s = shingles(text, hashes)
@@ -163,6 +177,7 @@ def sketches(trees: int, depth: int):
                 [batch.column("id"), batch.column("row"), pa.array(ns, pa.int64()), pa.array(fa, pa.int64()), pa.array(fb, pa.int64()), pa.array(steps, pa.list_(pa.int64()))],
                 ["id", "row", "n", "fa", "fb", "steps"],
             )
+        hand_back(hashes)
 
     return run
 
@@ -180,6 +195,7 @@ def confirm(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
             hold.append(jaccard_holds(own, shingles(bt[i].as_py(), hashes)))
         keep = [i for i, x in enumerate(hold) if x]
         yield pa.RecordBatch.from_arrays([pa.array([a[i] for i in keep], pa.int64()), pa.array([b[i] for i in keep], pa.int64())], ["a", "b"])
+    hand_back(hashes)
 
 
 def components(links: DataFrame, scratch: Scratch, label: str) -> DataFrame:

@@ -22,6 +22,7 @@ from collections.abc import Iterator
 
 import numpy as np
 import pandas as pd
+import pyarrow as pa
 import xxhash
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
@@ -35,7 +36,7 @@ ALPHA, BETA, L1, L2 = 0.5, 1.0, 0.01, 1.0
 SCALE = 10.0
 CUT = 0.3
 PIECE = re.compile(r"[^\W_]+|[^\w\s]+|_+")
-CACHE, LONGEST = 300_000, 256
+CACHE, LONGEST = 100_000, 256
 ODD = np.array([0x9E3779B97F4A7C15, 0xC2B2AE3D27D4EB4F, 0x165667B19E3779F9], dtype=np.uint64)
 
 
@@ -115,6 +116,9 @@ def train(docs: DataFrame, labels: DataFrame, *, doc_id: str = "doc_id", text: s
         for f in frames:
             found = [sparse(t, pieces) for t in f["_t"]]
             yield pd.DataFrame({"_id": f["_id"], "_y": f["_y"], "ids": [a.tobytes() for a, _ in found], "values": [b.tobytes() for _, b in found]})
+        # workers outlive tasks: what this one no longer needs goes back to the system
+        pieces.clear()
+        pa.default_memory_pool().release_unused()
 
     got = rows.mapInPandas(counts, "_id bigint, _y int, ids binary, values binary").toPandas()
     got["order"] = [xxhash.xxh64_intdigest(str(i)) for i in got["_id"]]
@@ -134,6 +138,8 @@ def scorer(spark: SparkSession, weights: np.ndarray):
                 x = w[DIM] + sum(SCALE * w[k].mean() for k in feature_ids(t, pieces))
                 out.append(1 / (1 + np.exp(-min(max(x, -30), 30))))
             yield pd.Series(out, dtype=float)
+        pieces.clear()
+        pa.default_memory_pool().release_unused()
 
     return score
 
