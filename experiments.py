@@ -8,21 +8,34 @@ import sys
 sys.path.insert(0, os.path.dirname(os.path.abspath(__file__)))
 
 TABLES = (
-    ("study_w1_tau", "Attribute ranking: tau by path, factual profile, with grounded scores"),
+    ("study_w1", "Attribute ranking, a task per nation: tau by path, factual profile, with grounded scores"),
+    ("study_w2", "Nations by their customers' orders: tau by path, factual profile, with grounded scores"),
     ("study_w3", "Passages, LIMIT 10, reasoning profile: nDCG@10 with 80% interval, calls, dollars per query"),
+    ("study_w4", "Passages for half a question, LIMIT 10, reasoning profile"),
     ("study_w5b", "Reviews, criterion reversed, LIMIT 10, reasoning profile"),
     ("study_w6", "Few relevant among many, LIMIT 10, reasoning profile"),
     ("study_w7", "Shared pool of continuations, LIMIT 10, reasoning profile"),
     ("floors_w5b", "Input order and random order on the reviews"),
+    ("spread_w3", "Spread over queries by path"),
+    ("log_fit_w4", "Quality against the log of dollars over static paths"),
+    ("main_table_w4", "Three best static paths and the best of each policy, three tiers"),
+    ("budget_sweep_w3", "Both policies over rising budgets: passages"),
+    ("budget_sweep_w4", "Both policies over rising budgets: passages for half a question"),
+    ("budget_sweep_w5b", "Both policies over rising budgets: reviews"),
+    ("budget_sweep_w6", "Both policies over rising budgets: few relevant among many"),
+    ("budget_sweep_w7", "Both policies over rising budgets: shared pool"),
+    ("pareto_w4", "Points that no cheaper one reaches"),
+    ("dips_w4", "How often quality falls as the budget rises, six budgets"),
     ("call_ratios_w3", "Calls of full sorts, relative"),
-    ("latency_w3", "Sequential depth and simulated seconds, LIMIT 10, N = 100"),
+    ("latency_w4", "Sequential depth and simulated seconds, LIMIT 10, N = 100"),
     ("cost_error_w3", "Mean absolute error of cost estimates from 20 items, in percent"),
+    ("cost_error_w4", "The same on passages for half a question, three tiers"),
     ("cost_error_w6", "The same on few relevant among many"),
     ("cost_error_w7", "The same on the shared pool"),
-    ("budget_sweep_w5b", "Both policies over rising budgets"),
-    ("judge_ablation_w5b", "Share of tasks that match or beat the best static path, by the judge's tier"),
-    ("sample_size_w5b", "Quality and probe spend by sample size"),
-    ("inquiry_accuracy", "Inquiry accuracy on a balanced set"),
+    ("judge_ablation_w4", "Share of tasks that match or beat the best static path, ranker of the small tier, by judge and budget"),
+    ("sample_size_w4", "Quality and probe spend by sample size"),
+    ("inquiry_accuracy", "Inquiry accuracy"),
+    ("proxy_ndcg_w14", "Light ranker over vectors"),
 )
 
 

@@ -1,15 +1,18 @@
 """The one place where wave jobs talk to a model: requests in, responses out, each paid once.
 
-requests:  req_hash, task_id, path_id, wave, op, keys array<struct<item_id, chars, lat, fact>>, extra (batch number or max_point)
+requests:  req_hash, task_id, path_id, wave, op, keys array<struct<item_id, chars, lat, fact, text>>, extra (batch number)
 responses: req_hash, reply array<bigint>, in_tok, out_tok, lookups, repairs
 
 Cached responses are joined, misses are sent in Arrow batches, and the wave is written before anyone reads it. Requests are spread evenly, not
-by segment, so a hot task keeps all workers busy; ``max_in_flight`` bounds the number of workers that call at once.
+by segment, so a hot task keeps all workers busy; a partition is one worker, which has as many calls in flight as the backend has threads,
+so ``max_in_flight`` bounds the calls at once, and a provider's limit per minute is dealt out to so many workers.
 """
 
 from __future__ import annotations
 
+import math
 from collections.abc import Iterator
+from dataclasses import replace
 
 import pandas as pd
 from pyspark.sql import Column, DataFrame, SparkSession
@@ -18,21 +21,20 @@ from pyspark.sql import functions as F
 from semrank.exec.packed import answer
 from semrank.exec.scratch import Scratch, path_exists
 from semrank.plans.spec import PathConfig
-from semrank.sources.model import Key, SimBackend
+from semrank.sources.model import Key, ModelBackend, each
 
-KEYS = "array<struct<item_id:bigint,chars:int,lat:bigint,fact:bigint>>"
+KEYS = "array<struct<item_id:bigint,chars:int,lat:bigint,fact:bigint,text:string>>"
 RESPONSES = "req_hash string, reply array<bigint>, in_tok bigint, out_tok bigint, lookups bigint, repairs bigint"
 
 
 def key_struct() -> Column:
-    fact = F.col("fact").cast("bigint")
-    return F.struct(F.col("item_id").cast("bigint").alias("item_id"), F.length("key").alias("chars"), F.col("lat").cast("bigint").alias("lat"), fact.alias("fact"))
+    """Of columns as ``packed.shown`` gives them."""
+    return F.struct(F.col("item_id").cast("bigint").alias("item_id"), "chars", "lat", "fact", "text")
 
 
 def request_hash(op: str | Column, keys: Column, *more: Column) -> Column:
-    """Of everything that decides the reply."""
-    ids = F.array_join(F.transform(keys, lambda k: k["item_id"].cast("string")), ",")
-    return F.sha2(F.concat_ws("|", F.lit(op) if isinstance(op, str) else op, "task_id", ids, *[c.cast("string") for c in more]), 256)
+    """Of everything that decides the reply; ``more`` holds the backend's identity and the path's settings."""
+    return F.sha2(F.to_json(F.struct(F.lit(op) if isinstance(op, str) else op, F.col("task_id"), keys.alias("keys"), *[c.cast("string").alias(f"m{i}") for i, c in enumerate(more)])), 256)
 
 
 class ResponseCache:
@@ -50,23 +52,26 @@ class ResponseCache:
         responses.withColumn("head", F.substring("req_hash", 1, 1)).write.mode("append").partitionBy("head").parquet(self.path)
 
 
-def call_model(requests: DataFrame, path: PathConfig, backend: SimBackend, scratch: Scratch, name: str, *, cache: ResponseCache | None = None, max_in_flight: int = 100) -> DataFrame:
+def call_model(requests: DataFrame, path: PathConfig, backend: ModelBackend, scratch: Scratch, name: str, *, cache: ResponseCache | None = None, max_in_flight: int = 100) -> DataFrame:
     """Responses to all requests, written once; with a cache, ``hit`` tells which were not paid again."""
     requests = scratch.write(f"{name}-requests", requests)
     known = cache.read() if cache else None
     todo = requests if known is None else requests.join(known.select("req_hash"), "req_hash", "left_anti")
     # equal requests within a wave are asked once
-    todo = todo.dropDuplicates(["req_hash"]).repartition(max_in_flight, "req_hash")
+    workers = max(1, math.floor(max_in_flight / backend.threads))
+    todo = todo.dropDuplicates(["req_hash"]).repartition(workers, "req_hash")
+    limit = getattr(backend, "per_minute", None)
+    model = replace(backend, per_minute=limit / workers) if limit else backend
+
+    def one(row: tuple) -> tuple:
+        h, task, op, keys, extra = row
+        made = [Key(int(k["item_id"]), int(k["chars"]), int(k["lat"]), None if k["fact"] is None else int(k["fact"]), k["text"]) for k in keys]
+        reply, used, repairs = answer(model, task, (op, int(extra), *made) if op == "score_many" else (op, *made), path)
+        return h, reply if isinstance(reply, list) else [reply], used.in_tok, used.out_tok, used.lookups, repairs
 
     def ask(frames: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
         for f in frames:
-            rows = []
-            for h, task, op, keys, extra in zip(f["req_hash"], f["task_id"], f["op"], f["keys"], f["extra"], strict=True):
-                made = [Key(int(k["item_id"]), int(k["chars"]), int(k["lat"]), None if k["fact"] is None else int(k["fact"])) for k in keys]
-                request = (op, int(extra), *made) if op == "score_many" else (op, *made)
-                reply, used, repairs = answer(backend, task, request, path)
-                reply = reply if isinstance(reply, list) else [reply]
-                rows.append((h, reply, used.in_tok, used.out_tok, used.lookups, repairs))
+            rows = each(model, one, list(zip(f["req_hash"], f["task_id"], f["op"], f["keys"], f["extra"], strict=True)))
             yield pd.DataFrame(rows, columns=[c.split()[0] for c in RESPONSES.split(", ")])
 
     got = scratch.write(f"{name}-responses", todo.select("req_hash", "task_id", "op", "keys", "extra").mapInPandas(ask, RESPONSES))

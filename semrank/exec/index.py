@@ -24,3 +24,10 @@ def indexed(df: DataFrame, order: list[str], scratch: Scratch, name: str = "pos"
     offsets = counts.select("_part", (F.sum("_n").over(W.orderBy("_part")) - F.col("_n")).alias("_from"))
     out = ranged.withColumn("_part", part).join(F.broadcast(offsets), "_part")  # as many rows as partitions
     return out.withColumn(name, F.col("_from") + F.col("_mono").bitwiseAND(F.lit((1 << 33) - 1))).drop("_part", "_mono", "_from")
+
+
+def placed_by(df: DataFrame, order: list[str], scratch: Scratch, name: str) -> DataFrame:
+    """``df`` with ``name``: places from 1 by ``order`` within each task, by range partitions and counts."""
+    d = indexed(df, ["task_id", *order], scratch, name)
+    start = d.groupBy("task_id").agg(F.min(name).alias("_start"))
+    return d.join(start, "task_id").withColumn(name, F.col(name) - F.col("_start") + 1).drop("_start")

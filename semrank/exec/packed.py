@@ -1,12 +1,16 @@
 """Packed execution: each (task, path) runs whole in one worker; tasks run in parallel.
 
 Its result is one written table with a ``part`` column: 'rank' rows (the ranking), 'usage' rows (calls, tokens and
-nano-dollars by operation and wave). It is written exactly once, because running it again would pay again.
+nano-dollars by operation and wave) and, on request, 'reply' rows (what was asked and answered, for reuse). It is written exactly
+once, because running it again would pay again. A key's text travels only for backends that read it.
 """
 
 from __future__ import annotations
 
-from collections.abc import Callable, Sequence
+import hashlib
+import json
+import math
+from collections.abc import Callable, Mapping, Sequence
 
 import pandas as pd
 from pyspark.sql import DataFrame
@@ -16,14 +20,15 @@ from semrank.exec import generators
 from semrank.exec.scratch import Scratch
 from semrank.plans.complexity import candidates_frame
 from semrank.plans.spec import PathConfig
-from semrank.sources.model import Key, SimBackend, Usage, nano_usd, repair_order, repair_scores
+from semrank.sources.model import Key, ModelBackend, Usage, each, nano_usd, repair_order, repair_scores
 
-RESULT = "part string, task_id string, path_id string, item_id bigint, rnk bigint, op string, wave int, calls bigint, in_tok bigint, out_tok bigint, lookups bigint, nano_usd bigint, repairs bigint"
+RESULT = "part string, task_id string, path_id string, item_id bigint, rnk bigint, op string, wave int, calls bigint, in_tok bigint, out_tok bigint, lookups bigint, nano_usd bigint, repairs bigint, hits bigint, req string, reply string"
+NUMBERS = ("item_id", "rnk", "calls", "in_tok", "out_tok", "lookups", "nano_usd", "repairs", "hits")
 #: Beyond so many items a task should run in waves (semrank.exec.waves).
 PACKED_MAX = 5000
 
 
-def answer(backend, task: str, request: tuple, path: PathConfig) -> tuple[object, Usage, int]:
+def answer(backend: ModelBackend, task: str, request: tuple, path: PathConfig) -> tuple[object, Usage, int]:
     """One call: reply, usage, repairs."""
     op, *args = request
     more = {"lookup": True} if path.lookup else {}
@@ -40,56 +45,109 @@ def answer(backend, task: str, request: tuple, path: PathConfig) -> tuple[object
     return order, used, repairs
 
 
-def run_path(keys: Sequence[Key], path: PathConfig, k: int | None, backend, task: str) -> tuple[list[int], dict[tuple[str, int], list[int]]]:
-    """A ranking, and per (op, wave): calls, tokens in, tokens out, lookups, repairs."""
-    steps, usage, wave, reply = generators.PATHS[path.kind](keys, path, k), {}, 0, None
+def request_key(backend: ModelBackend, task: str, request: tuple, path: PathConfig) -> str:
+    """A hash of everything that decides the reply: the model and criterion, the operation, its settings and the keys shown."""
+    op, *args = request
+    settings = [path.max_point, path.lookup] if op.startswith("score") else []
+    keys = [[k.item_id, k.text, k.chars, k.latent, k.fact] if isinstance(k, Key) else k for k in args]
+    return hashlib.sha256(json.dumps([backend.identity(), task, op, settings, keys]).encode()).hexdigest()
+
+
+def run_path(
+    keys: Sequence[Key], path: PathConfig, k: int | None, backend: ModelBackend, task: str, *, known: Mapping[str, str] | None = None, kept: dict[str, str] | None = None
+) -> tuple[list[int], dict[tuple[str, int], list[int]]]:
+    """A ranking, and per (op, wave): calls, tokens in, tokens out, lookups, repairs, hits.
+
+    ``known``: replies by request that are not paid again. ``kept`` receives the replies of this run.
+    """
+    steps, usage, wave = generators.PATHS[path.kind](keys, path, k), {}, 0
     try:
         request = next(steps)
         while True:
-            reply = []
-            for r in request:
-                got, used, repairs = answer(backend, task, r, path)
-                reply.append(got)
-                u = usage.setdefault((r[0], wave), [0, 0, 0, 0, 0])
+            names = [request_key(backend, task, r, path) for r in request] if known or kept is not None else [""] * len(request)
+            had = [json.loads(known[n]) if known and n in known else None for n in names]
+            asked = iter(each(backend, lambda r: answer(backend, task, r, path), [r for r, h in zip(request, had, strict=True) if h is None]))
+            replies = []
+            for r, name, h in zip(request, names, had, strict=True):
+                u = usage.setdefault((r[0], wave), [0, 0, 0, 0, 0, 0])
+                if h is not None:
+                    u[5] += 1
+                    replies.append(h)
+                    continue
+                got, used, repairs = next(asked)
                 for i, x in enumerate((1, used.in_tok, used.out_tok, used.lookups, repairs)):
                     u[i] += x
+                replies.append(got)
+                if kept is not None:
+                    kept[name] = json.dumps(got)
             wave += bool(request)
-            request = steps.send(reply)
+            request = steps.send(replies)
     except StopIteration as end:
         return end.value, usage
 
 
-def _runner(backend: SimBackend) -> Callable[[pd.DataFrame], pd.DataFrame]:
-    def run(f: pd.DataFrame) -> pd.DataFrame:
+def keys_of(f: pd.DataFrame) -> list[Key]:
+    return [Key(int(i), int(c), int(x), None if pd.isna(y) else int(y), t) for i, c, x, y, t in zip(f["item_id"], f["chars"], f["lat"], f["fact"], f["text"], strict=True)]
+
+
+def _runner(backend: ModelBackend, keep: bool) -> Callable[..., pd.DataFrame]:
+    def run(f: pd.DataFrame, cached: pd.DataFrame | None = None) -> pd.DataFrame:
+        names = [c.split()[0] for c in RESULT.split(", ")]
+        if f.empty:
+            return pd.DataFrame(columns=names)
         f = f.sort_values(["pos", "item_id"])
         p = f.iloc[0]
         task, k = p["task_id"], (None if pd.isna(p["k"]) else int(p["k"]))
         path = PathConfig(p["kind"], int(p["m"]), int(p["v"]), bool(p["lookup"]), int(p["max_point"]), p["pivot"], bool(p["rescan"]), bool(p["stop_when_stable"]), bool(p["peer_override"]))
-        keys = [Key(int(i), int(c), int(x), None if pd.isna(y) else int(y)) for i, c, x, y in zip(f["item_id"], f["chars"], f["lat"], f["fact"], strict=True)]
-        ranked, usage = run_path(keys, path, k, backend, task)
-        rows = [("rank", task, p["path_id"], i, r, None, None, None, None, None, None, None, None) for r, i in enumerate(ranked, 1)]
-        rows += [("usage", task, p["path_id"], None, None, op, w, *u[:4], nano_usd(u[1], u[2], u[3], backend.tier), u[4]) for (op, w), u in usage.items()]
-        out = pd.DataFrame(rows, columns=[c.split()[0] for c in RESULT.split(", ")])
-        return out.astype({c: "Int64" for c in ("item_id", "rnk", "calls", "in_tok", "out_tok", "lookups", "nano_usd", "repairs")} | {"wave": "Int32"})
+        model = backend.about(p["criterion"], backend.descending) if p["criterion"] else backend
+        kept = {} if keep else None
+        known = None if cached is None or cached.empty else dict(zip(cached["req"], cached["reply"], strict=True))
+        ranked, usage = run_path(keys_of(f), path, k, model, task, known=known, kept=kept)
+        blank = dict.fromkeys(names)
+        rows = [{**blank, "part": "rank", "item_id": i, "rnk": r} for r, i in enumerate(ranked, 1)]
+        rows += [
+            {**blank, "part": "usage", "op": op, "wave": w, "calls": u[0], "in_tok": u[1], "out_tok": u[2], "lookups": u[3], "nano_usd": nano_usd(u[1], u[2], u[3], backend.tier), "repairs": u[4], "hits": u[5]}
+            for (op, w), u in usage.items()
+        ]
+        rows += [{**blank, "part": "reply", "req": r, "reply": x} for r, x in (kept or {}).items()]
+        out = pd.DataFrame(rows, columns=names)
+        out["task_id"], out["path_id"] = task, p["path_id"]
+        return out.astype(dict.fromkeys(NUMBERS, "Int64") | {"wave": "Int32"})
 
     return run
 
 
-def run_paths(items: DataFrame, paths: list[PathConfig] | DataFrame, backend: SimBackend, *, scratch: Scratch | None = None, name: str = "run") -> DataFrame:
-    """Run each path on each task. ``items``: task_id, item_id, pos, key, lat, and optional k and fact.
+def shown(items: DataFrame, backend: ModelBackend) -> DataFrame:
+    """task_id, item_id, pos, chars, lat, k, fact, text, criterion of items with a key; text is empty where the backend reads none."""
+    optional = {"k": "bigint", "fact": "bigint", "criterion": "string"}
+    more = [(F.col(c) if c in items.columns else F.lit(None)).cast(t).alias(c) for c, t in optional.items()]
+    text = F.col("key") if backend.reads_text else F.lit("")
+    return items.where("key is not null and key <> ''").select("task_id", "item_id", "pos", F.length("key").alias("chars"), F.col("lat").cast("bigint").alias("lat"), text.alias("text"), *more)
+
+
+def run_paths(
+    items: DataFrame, paths: list[PathConfig] | DataFrame, backend: ModelBackend, *, scratch: Scratch | None = None, name: str = "run", keep: bool = False, cached: DataFrame | None = None, max_in_flight: int | None = None
+) -> DataFrame:
+    """Run each path on each task. ``items``: task_id, item_id, pos, key, lat, and optional k, fact and criterion (of the task).
 
-    ``paths`` is a list (every path on every task) or a table (task_id, path_id) joined with its configuration.
+    ``paths`` is a list (every path on every task) or a table (task_id, path_id) joined with its configuration. ``keep`` adds the replies;
+    ``cached`` (task_id, path_id, req, reply) holds replies that are not paid again. ``max_in_flight`` bounds the calls of all workers at once.
     Keys that are null or empty are not sent to a model: see ``operators.frame`` for where they are put.
     """
     spark = items.sparkSession
     scratch = scratch or Scratch(spark, "paths")
-    d = items.where("key is not null and key <> ''")
-    d = d.select("task_id", "item_id", "pos", F.length("key").alias("chars"), "lat", *[(F.col(c) if c in items.columns else F.lit(None).cast("bigint")).cast("bigint").alias(c) for c in ("k", "fact")])
+    d = shown(items, backend)
     if isinstance(paths, DataFrame):
         d = d.join(paths, "task_id")
     else:
         d = d.crossJoin(F.broadcast(candidates_frame(spark, paths)))  # a few rows by construction
-    return scratch.write(name, d.groupBy("task_id", "path_id").applyInPandas(_runner(backend), RESULT))
+    if max_in_flight is not None:
+        # a partition is one task, which has as many calls in flight as the backend has threads
+        d = d.repartition(max(1, math.floor(max_in_flight / backend.threads)), "task_id", "path_id")
+    run, groups = _runner(backend, keep), d.groupBy("task_id", "path_id")
+    if cached is None:
+        return scratch.write(name, groups.applyInPandas(lambda f: run(f), RESULT))
+    return scratch.write(name, groups.cogroup(cached.groupBy("task_id", "path_id")).applyInPandas(lambda f, c: run(f, c), RESULT))
 
 
 def rankings_of(result: DataFrame) -> DataFrame:
@@ -97,4 +155,9 @@ def rankings_of(result: DataFrame) -> DataFrame:
 
 
 def usage_of(result: DataFrame) -> DataFrame:
-    return result.where("part = 'usage'").select("task_id", "path_id", "op", "wave", "calls", "in_tok", "out_tok", "lookups", "nano_usd", "repairs")
+    return result.where("part = 'usage'").select("task_id", "path_id", "op", "wave", "calls", "in_tok", "out_tok", "lookups", "nano_usd", "repairs", "hits")
+
+
+def replies_of(result: DataFrame) -> DataFrame:
+    """(task_id, req, reply): each request of a task once, whichever path asked it."""
+    return result.where("part = 'reply'").select("task_id", "req", "reply").dropDuplicates(["task_id", "req"])

@@ -18,17 +18,16 @@ _OWN: dict[str, str] = {}
 
 
 def shared_dir(spark: SparkSession) -> str:
-    """spark.checkpoint.dir; where it is unset, a temporary folder in local mode and the warehouse otherwise."""
+    """spark.checkpoint.dir; where it is unset, a temporary folder in local mode, and an error on a cluster, whose machines share no such folder."""
     found = spark.conf.get("spark.checkpoint.dir", None) or spark.sparkContext.getCheckpointDir()
     if found:
         return found.rstrip("/")
     app = spark.sparkContext.applicationId
     if app not in _OWN:
-        if spark.sparkContext.master.startswith("local[") or spark.sparkContext.master == "local":
-            _OWN[app] = tempfile.mkdtemp(prefix="semrank-")
-            atexit.register(shutil.rmtree, _OWN[app], ignore_errors=True)
-        else:
-            _OWN[app] = spark.conf.get("spark.sql.warehouse.dir").rstrip("/") + "/semrank-scratch"
+        if not (spark.sparkContext.master.startswith("local[") or spark.sparkContext.master == "local"):
+            raise RuntimeError("set spark.checkpoint.dir to a folder that driver and executors share")
+        _OWN[app] = tempfile.mkdtemp(prefix="semrank-")
+        atexit.register(shutil.rmtree, _OWN[app], ignore_errors=True)
     return _OWN[app]
 
 

@@ -1,61 +1,87 @@
-"""A full sort of a very large task without one long chain of merges: split by sampled items, sort the parts apart.
+"""A full sort of very large tasks without one long chain of merges: split by sampled items, sort the parts apart.
 
-Not one of the studied paths, an extra candidate: with p parts it costs N log2(p) parallel comparisons and p sorts of N/p items, where
-the last merges of an external merge are one sequential chain of some N calls.
+Not one of the studied paths, an extra one for full orders: with p parts it costs N log2(p) parallel comparisons and p merges of N/p
+items, where the last merge of an external merge is one sequential chain of some N calls in one worker.
 """
 
 from __future__ import annotations
 
+import pandas as pd
 from pyspark.sql import DataFrame
+from pyspark.sql import Window as W
 from pyspark.sql import functions as F
 
-from semrank.exec.packed import rankings_of, run_path, run_paths
+from semrank.exec.index import placed_by
+from semrank.exec.packed import keys_of, run_path, shown
 from semrank.exec.scratch import Scratch
+from semrank.exec.waves import SPENT, _key, merge_waves
 from semrank.plans.spec import EXT_MERGE, PathConfig
-from semrank.sources.model import Key, SimBackend
+from semrank.sources.model import Key, ModelBackend
 
-#: Splitters travel to every task: so many at most.
-MOST_PARTS = 4096
+#: Splitters travel with the items of their task: so many at most.
+MOST_PARTS = 256
+CUTS = "task_id string, cuts array<struct<item_id:bigint,chars:int,lat:bigint,text:string>>, calls bigint, in_tok bigint, out_tok bigint"
 
 
-def split_merge(items: DataFrame, backend: SimBackend, parts: int = 8, path: PathConfig = EXT_MERGE, oversample: int = 4, scratch: Scratch | None = None) -> DataFrame:
-    """(task_id, item_id, rnk) of one task."""
+def split_merge(items: DataFrame, backend: ModelBackend, parts: int = 8, path: PathConfig = EXT_MERGE, oversample: int = 4, scratch: Scratch | None = None) -> tuple[DataFrame, DataFrame]:
+    """((task_id, path_id, item_id, rnk), usage) of full orders of any number of tasks."""
     if not 2 <= parts <= MOST_PARTS:
         raise ValueError(f"parts is 2 to {MOST_PARTS}")
-    scratch = scratch or Scratch(items.sparkSession, "split")
-    d = items.where("key is not null and key <> ''")
     from semrank.plans.optimizer import sample_items
 
-    drawn = sample_items(d, parts * oversample).select("task_id", "item_id", F.length("key").alias("chars"), "lat").collect()  # a few per part
-    if not drawn:
-        return d.select("task_id", "item_id", F.lit(1).cast("bigint").alias("rnk"))
-    keys = [Key(r["item_id"], r["chars"], r["lat"]) for r in sorted(drawn, key=lambda r: r["item_id"])]
-    by_id = {k.item_id: k for k in keys}
-    ordered, _ = run_path(keys, path, None, backend, drawn[0]["task_id"])
-    cuts = [by_id[i] for i in ordered[oversample - 1 :: oversample]][: parts - 1]
+    scratch = scratch or Scratch(items.sparkSession, "split")
+    drawn = shown(sample_items(items.where("key is not null and key <> ''"), parts * oversample), backend)
+
+    def choose(f: pd.DataFrame) -> pd.DataFrame:
+        task, keys = f["task_id"].iloc[0], keys_of(f.sort_values("item_id"))
+        by_id = {x.item_id: x for x in keys}
+        ordered, usage = run_path(keys, path, None, backend, task)
+        cuts = [by_id[i] for i in ordered[oversample - 1 :: oversample]][: parts - 1]
+        spent = [sum(u[i] for u in usage.values()) for i in range(3)]
+        return pd.DataFrame([(task, [{"item_id": x.item_id, "chars": x.chars, "lat": x.latent, "text": x.text} for x in cuts], *spent)], columns=["task_id", "cuts", *SPENT])
+
+    cuts = scratch.write("cuts", drawn.groupBy("task_id").applyInPandas(choose, CUTS))
 
     def place(frames):
         for f in frames:
-            found = []
-            for t, i, c, x in zip(f["task_id"], f["item_id"], f["chars"], f["lat"], strict=True):
-                key, lo, hi = Key(int(i), int(c), int(x)), 0, len(cuts)
-                while lo < hi:
-                    mid = (lo + hi) // 2
-                    if cuts[mid].item_id == key.item_id or backend.compare(t, key, cuts[mid])[0] > 0:
-                        hi = mid
-                    else:
-                        lo = mid + 1
-                found.append(lo)
-            yield f.assign(part=found)
-
-    placed = d.select("task_id", "item_id", "pos", "key", "lat", F.length("key").alias("chars")).mapInPandas(place, "task_id string, item_id bigint, pos bigint, key string, lat bigint, chars int, part int")
-    placed = scratch.write("placed", placed)
+            keys, found, spent, known = [_key(*x) for x in zip(f["item_id"], f["chars"], f["lat"], f["text"], strict=True)], [], [], {}
+            for task, key, own in zip(f["task_id"], keys, f["cuts"], strict=True):
+                if task not in known:
+                    known[task] = [_key(c["item_id"], c["chars"], c["lat"], c["text"]) for c in own]
+                n, used = _place(backend, task, key, known[task])
+                found.append(n)
+                spent.append(used)
+            f = f.drop(columns=["cuts"]).assign(part=found)
+            yield f.assign(**{c: [u[i] for u in spent] for i, c in enumerate(SPENT)})
+
+    full = shown(items, backend).select("task_id", "item_id", F.col("pos").cast("bigint").alias("pos"), "chars", "lat", "text")
+    schema = "task_id string, item_id bigint, pos bigint, chars int, lat bigint, text string, part int, calls bigint, in_tok bigint, out_tok bigint"
+    # a row per task: Catalyst broadcasts it while it is small
+    placed = scratch.write("placed", full.join(cuts.select("task_id", "cuts"), "task_id").mapInPandas(place, schema))
     sizes = placed.groupBy("task_id", "part").agg(F.count("*").alias("n"))
-    from pyspark.sql import Window as W
-
-    before = sizes.select("part", (F.sum("n").over(W.partitionBy("task_id").orderBy("part")) - F.col("n")).alias("before"))
-    sub = placed.withColumn("real", F.col("task_id")).withColumn("task_id", F.concat_ws("#", "task_id", "part"))
-    ranks = rankings_of(run_paths(sub, [path], backend, scratch=scratch, name="parts"))
-    part = F.element_at(F.split("task_id", "#"), -1).cast("int")
-    out = ranks.withColumn("part", part).join(F.broadcast(before), "part")  # a row per part
-    return out.select(F.expr("substring_index(task_id, '#', 1)").alias("task_id"), "item_id", (F.col("rnk") + F.col("before")).alias("rnk"))
+    sub_id = F.concat_ws("#", "task_id", "part")
+    before = scratch.write("before", sizes.select("task_id", sub_id.alias("sub"), (F.sum("n").over(W.partitionBy("task_id").orderBy("part")) - F.col("n")).alias("before")))
+    # the text that a backend reads is the key itself; for the others any key that is not empty will do
+    key = F.col("text") if backend.reads_text else F.lpad(F.lit("x"), F.col("chars"), "x")
+    sub = placed.select(sub_id.alias("task_id"), "item_id", "pos", key.alias("key"), "lat")
+    sub = placed_by(sub, ["pos"], scratch, "at").withColumn("pos", F.col("at") - 1).drop("at")
+    ranks, merged = merge_waves(sub, path, backend, scratch=Scratch(items.sparkSession, "split-parts"))
+    out = ranks.withColumnRenamed("task_id", "sub").join(before, "sub")
+    out = out.select("task_id", "path_id", "item_id", (F.col("rnk") + F.col("before")).alias("rnk"))
+    spent = [cuts.select("task_id", *SPENT), placed.select("task_id", *SPENT), merged.withColumnRenamed("task_id", "sub").join(before, "sub").select("task_id", *SPENT)]
+    usage = spent[0].unionByName(spent[1]).unionByName(spent[2]).groupBy("task_id").agg(*[F.sum(c).alias(c) for c in SPENT])
+    return out, usage.select("task_id", F.lit(path.path_id).alias("path_id"), *SPENT, F.lit(0).cast("bigint").alias("lookups"))
+
+
+def _place(backend: ModelBackend, task: str, key: Key, cuts: list[Key]) -> tuple[int, list[int]]:
+    """The part of a key by a binary search, and what it cost."""
+    lo, hi, spent = 0, len(cuts), [0, 0, 0]
+    while lo < hi:
+        mid = (lo + hi) // 2
+        ahead = cuts[mid].item_id == key.item_id
+        if not ahead:
+            verdict, used = backend.compare(task, key, cuts[mid])
+            spent = [spent[0] + 1, spent[1] + used.in_tok, spent[2] + used.out_tok]
+            ahead = verdict > 0
+        lo, hi = (lo, mid) if ahead else (mid + 1, hi)
+    return lo, spent

@@ -125,7 +125,7 @@ def latency(usage: DataFrame, in_flight: int = IN_FLIGHT, base_ms: int = 800, ms
     """Seconds and sequential depth per (task, path): waves follow one another, a wave runs ``in_flight`` calls at once."""
     wave = usage.groupBy(*KEY, "wave").agg(F.sum("calls").alias("calls"), F.sum("out_tok").alias("out_tok"))
     turns = F.ceil(F.col("calls") / in_flight)
-    each = base_ms + ms_per_token * F.col("out_tok") / F.col("calls")
+    each = base_ms + F.coalesce(F.try_divide(ms_per_token * F.col("out_tok"), F.col("calls")), F.lit(0.0))
     return wave.groupBy(*KEY).agg((F.sum(turns * each) / 1000).alias("seconds"), F.sum(turns).alias("depth"))
 
 

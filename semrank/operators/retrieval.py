@@ -6,6 +6,9 @@ from pyspark.sql import Column, DataFrame
 from pyspark.sql import Window as W
 from pyspark.sql import functions as F
 
+from semrank.exec.index import placed_by
+from semrank.exec.scratch import Scratch
+
 NOT_WORD = r"[^\p{L}\p{N}]+"
 K1, B = 0.9, 0.4
 
@@ -17,15 +20,19 @@ def terms(text: Column) -> Column:
 def bm25_topn(corpus: DataFrame, queries: DataFrame, n: int = 100, k1: float = K1, b: float = B) -> DataFrame:
     """(query_id, doc_id, score, rnk): each query's n best documents; ties (scores rounded to 6 places) by id.
 
-    Documents are cut to the terms that some query has before anything is shuffled; the window keeps n rows per
-    query on each partition first (WindowGroupLimit).
+    One pass over the corpus: documents are cut to the terms that some query has and written as postings, from which document
+    frequencies and scores are derived; lengths come along on a row per document. The window keeps n rows per query on each partition
+    first (WindowGroupLimit).
     """
-    q = queries.select("query_id", F.explode(F.array_distinct(terms(F.col("text")))).alias("term"))
-    wanted = q.select("term").distinct()
-    d = corpus.select("doc_id", terms(F.col("text")).alias("w"))
-    size = d.select("doc_id", F.size("w").alias("dl"))
-    whole = size.agg(F.count("*").alias("docs"), F.avg("dl").alias("avgdl"))
-    tf = d.select("doc_id", F.size("w").alias("dl"), F.explode("w").alias("term")).join(wanted, "term").groupBy("term", "doc_id", "dl").agg(F.count("*").alias("tf"))
+    scratch = Scratch(corpus.sparkSession, "bm25")
+    q = scratch.write("queries", queries.select("query_id", F.explode(F.array_distinct(terms(F.col("text")))).alias("term")))
+    d = corpus.select("doc_id", terms(F.col("text")).alias("w")).select("doc_id", F.size("w").alias("dl"), "w")
+    # an empty term marks the document itself, so that documents without a wanted term are counted too
+    wanted = q.select("term").distinct().unionByName(q.sparkSession.createDataFrame([("",)], "term string"))
+    tf = d.select("doc_id", "dl", F.explode(F.concat(F.array(F.lit("")), F.coalesce("w", F.array().cast("array<string>")))).alias("term")).join(wanted, "term")
+    tf = scratch.write("postings", tf.groupBy("term", "doc_id", "dl").agg(F.count("*").alias("tf")))
+    whole = tf.where("term = ''").agg(F.count("*").alias("docs"), F.avg("dl").alias("avgdl"))
+    tf = tf.where("term <> ''")
     df = tf.groupBy("term").agg(F.count("*").alias("df"))
     idf = F.ln(1 + (F.col("docs") - F.col("df") + 0.5) / (F.col("df") + 0.5))
     part = idf * F.col("tf") * (k1 + 1) / (F.col("tf") + k1 * (1 - b + b * F.col("dl") / F.col("avgdl")))
@@ -37,29 +44,43 @@ def bm25_topn(corpus: DataFrame, queries: DataFrame, n: int = 100, k1: float = K
 
 def cosine(a: Column, b: Column) -> Column:
     dot = lambda x, y: F.aggregate(F.zip_with(x, y, lambda p, q: p.cast("double") * q.cast("double")), F.lit(0.0), lambda s, v: s + v)
-    return dot(a, b) / F.sqrt(dot(a, a) * dot(b, b))
+    return F.try_divide(dot(a, b), F.sqrt(dot(a, a) * dot(b, b)))
+
+
+#: What may be broadcast: vectors of so many numbers in all.
+MOST_NUMBERS = 4_000_000
+
+
+def _against(vectors: DataFrame, few: DataFrame, column: str, most: int) -> DataFrame:
+    """Every vector beside every row of ``few``, which holds an array ``column``: broadcast up to ``most`` numbers, beyond that in blocks of both."""
+    numbers = few.agg(F.sum(F.size(column))).first()[0] or 0
+    if numbers <= most:
+        return vectors.crossJoin(F.broadcast(few))
+    blocks = -(-numbers // most)
+    spread = int(vectors.sparkSession.conf.get("spark.sql.shuffle.partitions"))
+    a = vectors.withColumn("_b", F.explode(F.sequence(F.lit(0), F.lit(blocks - 1)))).withColumn("_s", F.pmod(F.xxhash64("vec_id"), F.lit(spread)).cast("int"))
+    b = few.withColumn("_b", F.pmod(F.xxhash64(column), F.lit(blocks)).cast("int")).withColumn("_s", F.explode(F.sequence(F.lit(0), F.lit(spread - 1))))
+    return a.join(b, ["_b", "_s"]).drop("_b", "_s")
 
 
-def vector_topn(vectors: DataFrame, queries: DataFrame, n: int = 100, most_queries: int = 10_000) -> DataFrame:
-    """(query_id, vec_id, score, rnk) by cosine, the query itself left out. The stated query set meets all vectors: it
-    is broadcast, and its size is checked."""
-    if queries.limit(most_queries + 1).count() > most_queries:
-        raise ValueError(f"more than {most_queries} queries: run them in blocks")
+def vector_topn(vectors: DataFrame, queries: DataFrame, n: int = 100, most: int = MOST_NUMBERS) -> DataFrame:
+    """(query_id, vec_id, score, rnk) by cosine, the query itself left out: the stated query set against all vectors, exactly."""
     q = queries.select(F.col("vec_id").alias("query_id"), F.col("embedding").alias("qe"))
-    s = vectors.crossJoin(F.broadcast(q)).where("vec_id <> query_id").select("query_id", "vec_id", F.round(cosine(F.col("embedding"), F.col("qe")), 6).alias("score"))
+    s = _against(vectors, q, "qe", most).where("vec_id <> query_id").select("query_id", "vec_id", F.round(cosine(F.col("embedding"), F.col("qe")), 6).alias("score"))
     w = W.partitionBy("query_id").orderBy(F.col("score").desc(), "vec_id")
     return s.withColumn("rnk", F.row_number().over(w).cast("bigint")).where(F.col("rnk") <= n)
 
 
-def proxy_rank(vectors: DataFrame, seeds: DataFrame) -> DataFrame:
+def proxy_rank(vectors: DataFrame, seeds: DataFrame, most: int = MOST_NUMBERS) -> DataFrame:
     """A light model fitted on a few scored items ranks all: items by cosine with the score-weighted centroid.
 
-    ``seeds``: (task_id, vec_id, score). One centroid row per task is broadcast-sized by construction.
+    ``seeds``: (task_id, vec_id, score). A task is one centroid row. A task of equal scores says nothing: its items go by id.
     """
+    scratch = Scratch(vectors.sparkSession, "proxy")
     s = seeds.join(vectors, "vec_id").select("task_id", F.posexplode("embedding").alias("i", "x"), "score")
     mean = s.groupBy("task_id").agg(F.avg("score").alias("base"))
     c = s.join(mean, "task_id").groupBy("task_id", "i").agg(F.sum((F.col("score") - F.col("base")) * F.col("x")).alias("x"))
-    c = c.groupBy("task_id").agg(F.transform(F.array_sort(F.collect_list(F.struct("i", "x"))), lambda e: e["x"]).alias("centre"))
-    out = vectors.crossJoin(F.broadcast(c)).select("task_id", F.col("vec_id").alias("item_id"), F.round(cosine(F.col("embedding"), F.col("centre")), 6).alias("score"))
-    w = W.partitionBy("task_id").orderBy(F.col("score").desc(), "item_id")
-    return out.withColumn("rnk", F.row_number().over(w).cast("bigint"))
+    c = scratch.write("centres", c.groupBy("task_id").agg(F.transform(F.array_sort(F.collect_list(F.struct("i", "x"))), lambda e: e["x"]).alias("centre")))
+    near = F.coalesce(F.round(cosine(F.col("embedding"), F.col("centre")), 6), F.lit(0.0))
+    out = _against(vectors, c, "centre", most).select("task_id", F.col("vec_id").alias("item_id"), near.alias("score"))
+    return placed_by(out.withColumn("_behind", -F.col("score")), ["_behind", "item_id"], scratch, "rnk").select("task_id", "item_id", "score", "rnk")

@@ -1,17 +1,22 @@
 """Model calls of each access path: growth functions, exact counts, and cost estimates from a probe.
 
 Growth functions have unit constants, so only their ratios for one path mean anything; estimates
-use the ratio of the full input to the sample, in which constants cancel.
+use the ratio of the full input to the sample, in which constants cancel. Where the answers decide the number of calls,
+it can be found without a model by running the path on items in random order with a perfect comparator.
 """
 
 from __future__ import annotations
 
 import math
+import random
 
+import pandas as pd
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
+from semrank.exec.generators import PATHS
 from semrank.plans.spec import PathConfig
+from semrank.sources.model import Key
 
 
 def calls(path: PathConfig, n: int, k: int | None = None) -> float:
@@ -82,39 +87,99 @@ def candidates_frame(spark: SparkSession, paths: list[PathConfig]) -> DataFrame:
     return spark.createDataFrame(rows, "path_id string, kind string, m int, v int, lookup boolean, max_point int, pivot string, rescan boolean, stop_when_stable boolean, peer_override boolean")
 
 
+#: Expected calls are found by runs up to so many items, beyond them by the growth function from there.
+MOST_RUN, TRIALS = 2000, 3
+
+
+#: What ``expected_calls`` has found; a few numbers per shape of task.
+_FOUND: dict[tuple, float] = {}
+
+
+def expected_calls(kind: str, m: int, v: int, n: int, k: int | None = None) -> float:
+    """Mean calls over seeded random orders with a perfect comparator."""
+    shape = (kind, m, v, n, k)
+    if shape not in _FOUND:
+        _FOUND[shape] = _expected_calls(PathConfig(kind, m, v), n, k)
+    return _FOUND[shape]
+
+
+def _expected_calls(path: PathConfig, n: int, k: int | None) -> float:
+    exact = exact_calls(path, n, k)
+    if exact is not None:
+        return float(exact)
+    size, total = min(n, MOST_RUN), 0
+    for seed in range(TRIALS):
+        keys = [Key(i, 1, x) for i, x in enumerate(random.Random(seed).sample(range(size), size))]
+        value, steps = [x.latent for x in keys], PATHS[path.kind](keys, path, k)
+        reply = None
+        try:
+            while True:
+                wave = steps.send(reply)
+                total += len(wave)
+                reply = [(1 if value[r[1].item_id] > value[r[2].item_id] else -1) if r[0] == "compare" else sorted((x.item_id for x in r[1:]), key=lambda i: -value[i]) for r in wave]
+        except StopIteration:
+            pass
+    base = calls(path, size, k)
+    return total / TRIALS * (calls(path, n, k) / base if base else 1.0)
+
+
 def extrapolate(sample_cost: float, path: PathConfig, s: int, n: int, k: int | None = None, *, form: str = "ratio", sample_calls: int | None = None) -> float:
     """Cost at n items from the cost of a sample of s.
 
     ``ratio``: by the growth function, with the limit on the sample too. ``per_call``: the sample's cost per call
-    times the exact calls at n, where n decides them, else times the sample's calls grown by the ratio.
+    times the calls at n: exact ones where n and k decide them, else the sample's, grown as expected calls grow.
     """
     ks = None if k is None else min(k, s)
-    base = calls(path, s, ks)
-    grown = calls(path, n, k) / base if base else 0.0
     if form == "ratio":
-        return sample_cost * grown
+        base = calls(path, s, ks)
+        return sample_cost * (calls(path, n, k) / base if base else 0.0)
     if form != "per_call" or not sample_calls:
         raise ValueError("form is ratio, or per_call with the sample's calls")
-    exact = exact_calls(path, n, k)
+    exact, base = exact_calls(path, n, k), expected_calls(path.kind, path.m, path.v, s, ks)
+    grown = expected_calls(path.kind, path.m, path.v, n, k) / base if base else 0.0
     return sample_cost / sample_calls * (sample_calls * grown if exact is None else exact)
 
 
-def estimate(probe_costs: DataFrame, sizes: DataFrame, candidates: DataFrame, form: str = "ratio") -> DataFrame:
+def estimate(probe_costs: DataFrame, sizes: DataFrame, candidates: DataFrame, form: str = "ratio", nano_per_token: int | None = None) -> DataFrame:
     """(task_id, path_id, nano_usd, and calls for the second form) of the sample -> est_nano for the full task; sizes: (task_id, s, n, k).
 
-    ``ratio``: by the growth functions. ``per_call``: by the sample's cost per call and the exact calls of the full task, where n and k
-    decide them; the other paths keep the ratio.
+    ``ratio``: by the growth functions. ``per_call``: by the sample's cost per call and the calls of the full task, see ``extrapolate``; with
+    the price of a token and mean key lengths (sizes: chars, sample_chars), which cost nothing to know, a call's keys are
+    priced at their length in the full task.
     """
     if form not in ("ratio", "per_call"):
         raise ValueError("form is ratio or per_call")
     d = probe_costs.join(F.broadcast(candidates.select("path_id", "kind", "m", "v")), "path_id").join(sizes, "task_id")
     c = F.col
-    ks = F.when(c("k").isNotNull(), F.least("k", "s"))
-    full, part = calls_expr(c("kind"), c("m"), c("v"), c("n"), c("k")), calls_expr(c("kind"), c("m"), c("v"), c("s"), ks)
-    est = F.when(part > 0, c("nano_usd") * full / part).otherwise(F.lit(0.0))
-    if form == "per_call":
-        exact = exact_calls_expr(c("kind"), c("m"), c("n"), c("k"))
-        est = F.when(exact.isNotNull() & (c("calls") > 0), c("nano_usd") / c("calls") * exact).otherwise(est)
+    d = d.withColumn("_ks", F.when(c("k").isNotNull(), F.least("k", "s")))
+    if form == "ratio":
+        full, part = calls_expr(c("kind"), c("m"), c("v"), c("n"), c("k")), calls_expr(c("kind"), c("m"), c("v"), c("s"), c("_ks"))
+        est = F.when(part > 0, c("nano_usd") * full / part).otherwise(F.lit(0.0))
+    else:
+        shape = ["kind", "m", "v", "n", "k", "s", "_ks"]
+
+        def count(frames):
+            for f in frames:
+                whole = lambda x: None if pd.isna(x) else int(x)
+                rows = [(expected_calls(r.kind, int(r.m), int(r.v), int(r.n), whole(r.k)), expected_calls(r.kind, int(r.m), int(r.v), int(r.s), whole(r.ks))) for r in f.itertuples()]
+                yield f.assign(full=[x for x, _ in rows], part=[x for _, x in rows])
+
+        shapes = d.select(*shape).distinct().withColumnRenamed("_ks", "ks")
+        schema = "kind string, m int, v int, n bigint, k bigint, s bigint, ks bigint, full double, part double"
+        grown = shapes.select("kind", "m", "v", *[c(x).cast("bigint").alias(x) for x in ("n", "k", "s", "ks")]).mapInPandas(count, schema).withColumnRenamed("ks", "_ks")
+        grown = grown.select(*[c(x).alias(f"_{x}_") for x in shape], "full", "part")
+        same = [d[x].eqNullSafe(grown[f"_{x}_"]) if x in ("k", "_ks") else d[x] == grown[f"_{x}_"] for x in shape]
+        condition = same[0]
+        for x in same[1:]:
+            condition = condition & x
+        d = d.join(grown, condition)
+        # exact calls are counted as such; for the others the answers of the sample say how far they are from expected
+        at_n = F.when(c("kind").isin("score_each", "score_batch", "slide_window") | (c("part") == 0), c("full")).otherwise(c("calls") * c("full") / c("part"))
+        each = F.try_divide(c("nano_usd"), c("calls"))
+        if nano_per_token is not None and "sample_chars" in sizes.columns:
+            shown = F.when(c("kind") == "score_each", 1).when(c("kind") == "pivot_split", 2).otherwise(F.least("m", "s"))
+            each = F.greatest(each + shown * (c("chars") - c("sample_chars")) / 4 * nano_per_token, F.lit(0.0))
+        est = F.coalesce(each * at_n, F.lit(0.0))
     # a sample that holds the whole task is the full run
     return d.select("task_id", "path_id", "nano_usd", F.when(c("n") <= c("s"), c("nano_usd").cast("double")).otherwise(est).alias("est_nano"))
 

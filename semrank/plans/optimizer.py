@@ -1,26 +1,33 @@
 """The budgeted optimizer: sample, inquire, probe, estimate, choose, execute, fuse.
 
 Decisions are rows, one or a few per task: thousands of tasks are decided in the same jobs. Nothing about items is
-collected; every job that calls a model is written once.
+collected; every job that calls a model is written once. Inquiry and judge are calls of the backend like all others.
 """
 
 from __future__ import annotations
 
+import math
 from dataclasses import dataclass
 
+import pandas as pd
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import Window as W
 from pyspark.sql import functions as F
+from pyspark.sql import types as T
 
-from semrank.exec.packed import rankings_of, run_paths, usage_of
+from semrank.exec.packed import PACKED_MAX, rankings_of, replies_of, run_paths, shown, usage_of
 from semrank.exec.scratch import Scratch
-from semrank.functions.metrics import kendall_tau, total_cost
+from semrank.exec.split import MOST_PARTS, split_merge
+from semrank.exec.waves import merge_waves, quick_waves, score_waves
+from semrank.functions.metrics import latency, ndcg_at, total_cost
 from semrank.operators.fuse import fuse_rrf
 from semrank.plans.complexity import candidates_frame, estimate, within_budget
 from semrank.plans.spec import POINT_SEARCH, PathConfig, candidate_grid
-from semrank.sources.model import PER_ITEM, PRICES, PROFILES, REPLY, TEMPLATE, TIERS, SimBackend
+from semrank.sources.model import PER_ITEM, PRICES, REASONING, REPLY, TEMPLATE, Key, ModelBackend, SimBackend, nano_usd
 
 SAMPLE, INQUIRY_SAMPLE, SEED = 20, 5, 7
+#: A full order of a larger task by merges is split first, so that its last merge is not one chain of calls.
+SPLIT_FROM = 200_000
 
 
 def md5_number(*parts: Column | str | int, digits: int = 8) -> Column:
@@ -47,58 +54,127 @@ def sample_upstream(plan, s: int, seed: int = SEED, over: int = 50) -> DataFrame
     return sample_items(plan().limit(over * s), s, seed)
 
 
-def route_by_inquiry(tasks: DataFrame, profile: str = "reasoning", tier: str = "medium", seed: int = SEED) -> DataFrame:
-    """One inquiry per task: is it answered by world knowledge? -> answer and route ('lookup' or 'pool')."""
-    error = PROFILES[profile].inquiry * TIERS[tier] // 100
-    flipped = md5_number(seed, F.col("task_id")) % 1000 < error
-    answer = F.when(flipped, F.when(F.col("kind") == "factual", "reasoning").otherwise("factual")).otherwise(F.col("kind"))
-    return tasks.withColumn("answer", answer).withColumn("route", F.when(F.col("answer") == "factual", "lookup").otherwise("pool"))
+def _sample_keys(sample: DataFrame, backend: ModelBackend) -> DataFrame:
+    """(task_id, criterion, keys): a sample's keys as one array per task, in input order. Samples are small by construction."""
+    e = F.struct("pos", "item_id", "chars", "lat", "text")
+    return shown(sample, backend).groupBy("task_id").agg(F.first("criterion", ignorenulls=True).alias("criterion"), F.array_sort(F.collect_list(e)).alias("keys"))
 
 
-def judge_choice(sample: DataFrame, rankings: DataFrame, fits: DataFrame, judge: SimBackend, seed: int = SEED) -> DataFrame:
-    """(task_id, path_id): the surviving candidate whose sample ranking is closest to the judge's own noisy order; ties by a seeded numbering."""
-    value = F.col("lat") + noise_column(judge.amplitude("judge"), judge.seed, F.lit("j"), "task_id", F.col("item_id").cast("string"))
-    own = sample.where("key is not null and key <> ''").select("task_id", "item_id", value.alias("grade"))
-    near = kendall_tau(rankings, own).join(fits.where("fits"), ["task_id", "path_id"])
-    number = md5_number(seed, "task_id", "path_id")
-    best = near.groupBy("task_id").agg(F.max_by("path_id", F.struct(F.col("tau"), -number)).alias("path_id"))
-    # a task that the judge can't tell anything about (one item) takes its dearest survivor
-    dearest = fits.where("fits").groupBy("task_id").agg(F.max_by("path_id", F.struct("est_nano", "path_id")).alias("dear"))
-    return dearest.join(best, "task_id", "left").select("task_id", F.coalesce("path_id", "dear").alias("path_id"))
+def _keys(found) -> list[Key]:
+    return [] if found is None else [Key(int(k["item_id"]), int(k["chars"]), int(k["lat"]), None, k["text"]) for k in found]
+
+
+def _bound(backend: ModelBackend, criterion) -> ModelBackend:
+    return backend.about(criterion, backend.descending) if isinstance(criterion, str) and criterion else backend
+
+
+CALL = "in_tok bigint, out_tok bigint, nano_usd bigint"
+
+
+def route_by_inquiry(tasks: DataFrame, backend: ModelBackend | None = None, sample: DataFrame | None = None) -> DataFrame:
+    """One call per task: does world knowledge settle it? Adds answer, route ('lookup' or 'pool') and what the call cost.
+
+    ``tasks``: task_id, kind (the truth, for the simulator) and optional criterion. The call is shown the keys of ``sample``, of which there should
+    be ``INQUIRY_SAMPLE`` a task.
+    """
+    model = backend or SimBackend("reasoning")
+    d = tasks if "criterion" in tasks.columns else tasks.withColumn("criterion", F.lit(None).cast("string"))
+    if sample is None:
+        d = d.withColumn("keys", F.lit(None).cast("array<struct<pos:int,item_id:bigint,chars:int,lat:bigint,text:string>>"))
+    else:
+        d = d.join(_sample_keys(sample, model).select("task_id", "keys", F.col("criterion").alias("_crit")), "task_id", "left").withColumn("criterion", F.coalesce("criterion", "_crit")).drop("_crit")
+    schema = T.StructType([*(f for f in d.schema.fields if f.name != "keys"), *T._parse_datatype_string("answer string, " + CALL).fields])
+
+    def ask(frames):
+        for f in frames:
+            got = [_bound(model, c).inquire(t, _keys(k), kind) for t, k, c, kind in zip(f["task_id"], f["keys"], f["criterion"], f["kind"], strict=True)]
+            f = f.drop(columns=["keys"]).assign(answer=[a for a, _ in got], in_tok=[u.in_tok for _, u in got], out_tok=[u.out_tok for _, u in got])
+            yield f.assign(nano_usd=[nano_usd(u.in_tok, u.out_tok, u.lookups, model.tier) for _, u in got])
+
+    out = d.mapInPandas(ask, schema)
+    return out.withColumn("route", F.when(F.col("answer") == "factual", "lookup").otherwise("pool"))
+
+
+def judge_choice(sample: DataFrame, rankings: DataFrame, fits: DataFrame, judge: ModelBackend) -> DataFrame:
+    """(task_id, path_id, and what the call cost): one call per task, which is shown the sample and the surviving candidates' rankings of it."""
+    ids = rankings.join(fits.where("fits").select("task_id", "path_id"), ["task_id", "path_id"])
+    ids = ids.groupBy("task_id", "path_id").agg(F.transform(F.array_sort(F.collect_list(F.struct("rnk", "item_id"))), lambda x: x["item_id"]).alias("ids"))
+    lists = ids.groupBy("task_id").agg(F.array_sort(F.collect_list(F.struct("path_id", "ids"))).alias("results"))
+
+    def ask(frames):
+        for f in frames:
+            rows = []
+            for t, results, keys, criterion in zip(f["task_id"], f["results"], f["keys"], f["criterion"], strict=True):
+                path_id, u = _bound(judge, criterion).judge(t, _keys(keys), {r["path_id"]: [int(i) for i in r["ids"]] for r in results})
+                rows.append((t, path_id, u.in_tok, u.out_tok, nano_usd(u.in_tok, u.out_tok, u.lookups, judge.tier)))
+            yield pd.DataFrame(rows, columns=["task_id", "path_id", "in_tok", "out_tok", "nano_usd"])
+
+    return lists.join(_sample_keys(sample, judge), "task_id").mapInPandas(ask, "task_id string, path_id string, " + CALL)
 
 
 def agreement(rankings: DataFrame, proxy: DataFrame, how: str = "tau") -> DataFrame:
-    """(task_id, path_id, agreement) of candidates' sample rankings with the proxy ranking."""
+    """(task_id, path_id, agreement) of candidates' sample rankings with the proxy ranking.
+
+    An item that a candidate leaves out (its ranking was cut by a limit) counts as behind all that it lists; two such items
+    tell nothing, but are counted: tau is (right pairs - wrong pairs) / all pairs of the proxy.
+    """
     n = proxy.groupBy("task_id").agg(F.max("rnk").alias("n"))
-    grade = proxy.join(n, "task_id").select("task_id", "item_id", (F.col("n") - F.col("rnk")).alias("grade"))
+    p = proxy.join(n, "task_id").select("task_id", "item_id", F.col("rnk").alias("p"), "n")
+    full = p.join(rankings.select("task_id", "path_id").distinct(), "task_id").join(rankings.select("task_id", "path_id", "item_id", "rnk"), ["task_id", "path_id", "item_id"], "left")
+    key = ["task_id", "path_id"]
     if how == "tau":
-        return kendall_tau(rankings, grade).withColumnRenamed("tau", "agreement")
+        a = full.select(*key, "p", F.coalesce("rnk", F.col("n") + 1).alias("r"))
+        b = a.select(*key, F.col("p").alias("p2"), F.col("r").alias("r2"))
+        s = a.join(b, key).where("p < p2").groupBy(*key).agg(F.avg(F.signum(F.col("r2") - F.col("r"))).alias("agreement"))
+        return s.select(*key, "agreement")
     if how == "ndcg":
-        from semrank.functions.metrics import ndcg_at
-
-        return ndcg_at(rankings, grade).select("task_id", "path_id", F.col("ndcg").alias("agreement"))
+        grade = p.select("task_id", "item_id", (F.col("n") - F.col("p")).alias("grade"))
+        return ndcg_at(rankings, grade).select(*key, F.col("ndcg").alias("agreement"))
     if how == "footrule":
-        p = proxy.select("task_id", "item_id", F.col("rnk").alias("p"))
-        d = rankings.join(p, ["task_id", "item_id"]).groupBy("task_id", "path_id").agg(F.sum(F.abs(F.col("rnk") - F.col("p"))).alias("d"), F.count("*").alias("c"))
+        # those left out share the places behind the listed ones
+        listed = rankings.groupBy(*key).agg(F.count("*").alias("listed"))
+        d = full.join(listed, key).withColumn("r", F.coalesce(F.col("rnk").cast("double"), (F.col("listed") + 1 + F.col("n")) / 2))
+        d = d.groupBy(*key).agg(F.sum(F.abs(F.col("r") - F.col("p"))).alias("d"), F.count("*").alias("c"))
         worst = F.greatest(F.floor(F.col("c") * F.col("c") / 2), F.lit(1))
-        return d.select("task_id", "path_id", (1 - F.col("d") / worst).alias("agreement"))
+        return d.select(*key, (1 - F.col("d") / worst).alias("agreement"))
     raise ValueError("agreement is tau, ndcg or footrule")
 
 
-def greedy_fit(scored: DataFrame, budget_nano: int, on_overflow: str = "skip") -> DataFrame:
+def run_in_waves(items: DataFrame, path: PathConfig, backend: ModelBackend, k: int | None, scratch: Scratch) -> tuple[DataFrame, DataFrame]:
+    """((task_id, item_id, rnk), (task_id, path_id, calls, in_tok, out_tok, lookups)) of tasks too large for one worker; items: with dense places ``pos``."""
+    if path.kind == "slide_window":
+        raise ValueError("a sliding window is one sequential chain: for tasks this large take another path")
+    own = Scratch(scratch.spark, "waves")
+    if path.kind == "run_merge":
+        most = items.groupBy("task_id").agg(F.count("*").alias("n")).agg(F.max("n")).first()[0] or 0
+        if k is None and most > SPLIT_FROM:
+            out, usage = split_merge(items, backend, min(MOST_PARTS, math.ceil(most / PACKED_MAX)), path, scratch=own)
+        else:
+            out, usage = merge_waves(items, path, backend, k, scratch=own)
+    elif path.kind == "pivot_split":
+        out, usage = quick_waves(items, path, backend, k, scratch=own)
+    else:
+        out, got = score_waves(items, path, backend, scratch=own)
+        usage = got.groupBy("task_id", "path_id").agg(F.count("*").alias("calls"), *[F.sum(c).alias(c) for c in ("in_tok", "out_tok", "lookups")])
+    out = out.select("task_id", "item_id", "rnk")
+    return (out if k is None else out.where(F.col("rnk") <= k)), usage
+
+
+def greedy_fit(scored: DataFrame, budget_nano: int | None = None, on_overflow: str = "skip") -> DataFrame:
     """Candidates (task_id, path_id, agreement, est_nano) by falling agreement while their estimates fit jointly.
 
-    'skip' passes over one that is too dear and goes on; 'stop' ends there. The candidates of a task are few, so the
+    The budget is one for all tasks, or (None) the column ``left_nano`` of each. 'skip' passes over one that is too dear and goes on; 'stop' ends there. The candidates of a task are few, so the
     greedy walk is a fold over one sorted array.
     """
     if on_overflow not in ("skip", "stop"):
         raise ValueError("on_overflow is skip or stop")
     entry = F.struct((-F.col("agreement")).alias("order"), F.col("path_id").alias("path_id"), F.col("est_nano").alias("est"))
-    lists = scored.groupBy("task_id").agg(F.array_sort(F.collect_list(entry)).alias("c"))
+    left = F.lit(budget_nano) if budget_nano is not None else F.first("left_nano")
+    lists = scored.groupBy("task_id").agg(F.array_sort(F.collect_list(entry)).alias("c"), left.cast("double").alias("left"))
     start = F.struct(F.lit(0.0).alias("spent"), F.lit(False).alias("over"), F.array().cast("array<string>").alias("took"))
 
     def walk(a: Column, x: Column) -> Column:
-        fits = (a["spent"] + x["est"] <= budget_nano) & (~a["over"] if on_overflow == "stop" else F.lit(True))
+        fits = (a["spent"] + x["est"] <= F.col("left")) & (~a["over"] if on_overflow == "stop" else F.lit(True))
         return F.struct(
             F.when(fits, a["spent"] + x["est"]).otherwise(a["spent"]).alias("spent"),
             (a["over"] | ~fits).alias("over"),
@@ -110,7 +186,7 @@ def greedy_fit(scored: DataFrame, budget_nano: int, on_overflow: str = "skip") -
 
 @dataclass
 class RankResult:
-    """ranking: (task_id, item_id, rnk). ledger: nano-dollars by phase. estimates, choices: why."""
+    """ranking: (task_id, item_id, rnk). ledger: calls, replies reused and nano-dollars by phase. estimates, choices: why."""
 
     ranking: DataFrame
     ledger: DataFrame
@@ -122,101 +198,126 @@ def optimize(
     items: DataFrame,
     tasks: DataFrame,
     budget_nano: int,
-    backend: SimBackend,
+    backend: ModelBackend,
     *,
     policy: str = "consensus",
     candidates: list[PathConfig] | None = None,
-    judge: SimBackend | None = None,
+    judge: ModelBackend | None = None,
     sample: int = SAMPLE,
     inquiry: bool = True,
+    grounded: PathConfig = POINT_SEARCH,
     agreement_by: str = "tau",
     on_overflow: str = "skip",
     on_infeasible: str = "error",
     budget_covers: str = "ranking",
-    estimate_form: str = "ratio",
+    estimate_form: str = "per_call",
     max_latency_s: float | None = None,
+    packed_max: int = PACKED_MAX,
+    max_in_flight: int | None = None,
     seed: int = SEED,
     scratch: Scratch | None = None,
 ) -> RankResult:
     """Rank every task within a budget of nano-dollars per task.
 
-    ``items``: task_id, item_id, pos, key, lat and optional fact. ``tasks``: task_id, kind, k (null: full order).
-    The budget covers the ranking calls; with budget_covers='all' the probe counts against it too. A task for which
+    ``items``: task_id, item_id, pos, key, lat and optional fact and criterion. ``tasks``: task_id, kind, k (null: full order).
+    The budget covers the ranking calls; with budget_covers='all' the inquiry, the probe and the judge count against it too. A task for which
     nothing fits is an error, or takes its cheapest path (on_infeasible='cheapest'). Tasks that an inquiry calls factual are
-    ranked by grounded scores at once.
+    ranked by ``grounded`` at once. The final run does not pay again for what the probe asked. Tasks of more than ``packed_max`` items run in
+    waves; a sliding window is no candidate for them.
     """
     if policy not in ("judge", "consensus") or on_infeasible not in ("error", "cheapest") or budget_covers not in ("ranking", "all"):
         raise ValueError("policy is judge or consensus; on_infeasible is error or cheapest; budget_covers is ranking or all")
     spark = items.sparkSession
     scratch = scratch or Scratch(spark, "optimize")
-    candidates = candidates or candidate_grid()
-    table = candidates_frame(spark, [*candidates, POINT_SEARCH])
-    routed = route_by_inquiry(tasks, backend.profile, backend.tier, seed) if inquiry else tasks.withColumn("route", F.lit("pool"))
+    candidates, judge = candidates or candidate_grid(), judge or backend
+    # one path id can stand for several settings only if they differ in nothing that it names
+    table = candidates_frame(spark, list({p.path_id: p for p in [grounded, *candidates]}.values()))
+    routed = route_by_inquiry(tasks, backend, sample_items(items.where("key is not null and key <> ''"), INQUIRY_SAMPLE, seed)) if inquiry else tasks.withColumn("route", F.lit("pool")).withColumn("nano_usd", F.lit(0).cast("bigint"))
     routed = scratch.write("routed", routed)
     full = items.drop("k").join(routed.select("task_id", "k", "route"), "task_id")
-    pool = full.where("route = 'pool'").drop("route")
+    pool = full.where("route = 'pool' and key is not null and key <> ''").drop("route")
     s_items = scratch.write("sample", sample_items(pool, sample, seed))
-    probe = run_paths(s_items, candidates, backend, scratch=scratch, name="probe")
-    sizes = pool.groupBy("task_id").agg(F.count("*").alias("n"), F.first("k").alias("k")).join(s_items.groupBy("task_id").agg(F.count("*").alias("s")), "task_id")
+    probe = run_paths(s_items, candidates, backend, scratch=scratch, name="probe", keep=True, max_in_flight=max_in_flight)
+    lengths = lambda d, n, chars: d.groupBy("task_id").agg(F.count("*").alias(n), F.avg(F.length("key")).alias(chars))
+    sizes = lengths(pool, "n", "chars").join(routed.select("task_id", "k"), "task_id").join(lengths(s_items, "s", "sample_chars"), "task_id")
+    sizes = scratch.write("sizes", sizes)
     spent = total_cost(usage_of(probe))
-    est = estimate(spent.select("task_id", "path_id", "nano_usd", "calls"), sizes, table, estimate_form)
-    limit: Column | int = F.lit(budget_nano)
+    est = estimate(spent.select("task_id", "path_id", "nano_usd", "calls"), sizes, table, estimate_form, PRICES[backend.tier][0])
+    p_in, p_out, _ = PRICES[judge.tier]
+    # what the judge may cost: the sample once, and each candidate's ranking of it
+    judging = F.ceil((TEMPLATE["judge"] + F.col("s") * (F.col("sample_chars") + 4 * len(candidates))) / 4 + 1) * p_in + (REPLY["judge"] + REASONING + PER_ITEM["order"] * F.col("s")) * p_out
+    left = F.lit(budget_nano)
     if budget_covers == "all":
-        est = est.join(spent.groupBy("task_id").agg(F.sum("nano_usd").alias("probe_nano")), "task_id")
-        limit = budget_nano - F.col("probe_nano")
-    fits = within_budget(est, limit)
+        est = est.join(spent.groupBy("task_id").agg(F.sum("nano_usd").alias("probe_nano")), "task_id").join(routed.select("task_id", F.col("nano_usd").alias("asked_nano")), "task_id").join(sizes.select("task_id", "s", "sample_chars"), "task_id")
+        left = budget_nano - F.col("probe_nano") - F.col("asked_nano") - (judging if policy == "judge" else 0)
+    est = est.withColumn("left_nano", left.cast("double"))
+    fits = within_budget(est, F.col("left_nano")).join(sizes.select("task_id", "n"), "task_id").join(F.broadcast(table.select("path_id", "kind")), "path_id")
+    fits = fits.withColumn("fits", F.col("fits") & ~((F.col("kind") == "slide_window") & (F.col("n") > packed_max)))
     if max_latency_s is not None:
-        from semrank.functions.metrics import latency
-
         lat = latency(usage_of(probe)).join(sizes, "task_id").join(F.broadcast(table.select("path_id", "kind")), "path_id")
         # value paths stay one wave deep; the others deepen no faster than their calls
         grown = F.when(F.col("kind").startswith("score"), F.col("seconds")).otherwise(F.col("seconds") * F.col("n") / F.col("s"))
         slow = lat.where(grown > max_latency_s).select("task_id", "path_id")
         fits = fits.join(slow.withColumn("slow", F.lit(True)), ["task_id", "path_id"], "left").withColumn("fits", F.col("fits") & F.col("slow").isNull()).drop("slow")
-    fits = scratch.write("fits", fits)
+    fits = scratch.write("fits", fits.select("task_id", "path_id", "nano_usd", "est_nano", "left_nano", "fits", (F.col("n") > packed_max).alias("large"), "kind"))
     none = fits.groupBy("task_id").agg(F.max("fits").alias("any")).where("not any").select("task_id")
     if on_infeasible == "error":
         lost = [r["task_id"] for r in none.limit(3).collect()]
         if lost:
             raise ValueError(f"no access path fits a budget of {budget_nano} nano-dollars for {', '.join(lost)}")
-    cheapest = fits.join(none, "task_id", "left_semi").groupBy("task_id").agg(F.min_by("path_id", F.struct("est_nano", "path_id")).alias("path_id"))
-    sample_ranks = rankings_of(probe)
+    cheap = F.min_by("path_id", F.struct("est_nano", "path_id")).alias("path_id")
+    cheapest = fits.where("not large or kind <> 'slide_window'").join(none, "task_id", "left_semi").groupBy("task_id").agg(cheap)
+    within = fits.where("fits")
+    # what does not fit has no voice: the proxy fuses the sample rankings of the others
+    sample_ranks = scratch.write("sample-ranks", rankings_of(probe).join(within.select("task_id", "path_id"), ["task_id", "path_id"]))
+    judged = None
     if policy == "judge":
-        chosen = judge_choice(s_items, sample_ranks, fits, judge or backend, seed)
+        judged = scratch.write("judged", judge_choice(s_items, sample_ranks, fits, judge))
+        chosen = judged.select("task_id", "path_id")
     else:
         proxy = fuse_rrf(sample_ranks)
-        scored = agreement(sample_ranks, proxy, agreement_by).join(fits.where("fits"), ["task_id", "path_id"])
-        chosen = greedy_fit(scored, budget_nano, on_overflow)
+        scored = agreement(sample_ranks, proxy, agreement_by).join(within, ["task_id", "path_id"])
+        chosen = greedy_fit(scored, None, on_overflow)
         # a task of one item agrees with everything: take the cheapest
-        bare = fits.where("fits").join(chosen, "task_id", "left_anti").groupBy("task_id").agg(F.min_by("path_id", F.struct("est_nano", "path_id")).alias("path_id"))
-        chosen = chosen.unionByName(bare)
+        chosen = chosen.unionByName(within.join(chosen, "task_id", "left_anti").groupBy("task_id").agg(cheap))
     choices = chosen.unionByName(cheapest)
     if inquiry:
-        choices = choices.unionByName(routed.where("route = 'lookup'").select("task_id", F.lit(POINT_SEARCH.path_id).alias("path_id")))
+        choices = choices.unionByName(routed.where("route = 'lookup'").select("task_id", F.lit(grounded.path_id).alias("path_id")))
     choices = scratch.write("choices", choices)
-    final = run_paths(full.drop("route"), choices.join(F.broadcast(table.dropDuplicates(["path_id"])), "path_id"), backend, scratch=scratch, name="final")
+    sized = lengths(full.where("key is not null and key <> ''"), "n", "chars").where(F.col("n") > packed_max).select("task_id")
+    big = scratch.write("big", choices.join(sized, "task_id"))
+    packed = choices.join(big.select("task_id").distinct(), "task_id", "left_anti")
+    known = scratch.write("known", replies_of(probe).join(packed, "task_id").select("task_id", "path_id", "req", "reply"))
+    final = run_paths(full.drop("route"), packed.join(F.broadcast(table), "path_id"), backend, scratch=scratch, name="final", cached=known, max_in_flight=max_in_flight)
+    ranks = [rankings_of(final)]
+    paid = [total_cost(usage_of(final), ("task_id",)).select("task_id", "calls", "nano_usd")]
+    by_id = {p.path_id: p for p in [grounded, *candidates]}
+    # large tasks: one run in waves per path and limit that any of them takes, a few by construction
+    for row in big.join(routed.select("task_id", "k"), "task_id").select("path_id", "k").distinct().orderBy("path_id", "k").collect():
+        mine = big.where(F.col("path_id") == row["path_id"]).join(routed.select("task_id", "k").where(F.col("k").eqNullSafe(F.lit(row["k"]))), "task_id").select("task_id")
+        r, u = run_in_waves(full.drop("route", "k").join(mine, "task_id"), by_id[row["path_id"]], backend, row["k"], scratch)
+        ranks.append(r.select("task_id", F.lit(row["path_id"]).alias("path_id"), "item_id", "rnk"))
+        a, b, fee = PRICES[backend.tier]
+        paid.append(u.select("task_id", "calls", (F.col("in_tok") * a + F.col("out_tok") * b + F.col("lookups") * fee * 1000).alias("nano_usd")))
+    every, cost = ranks[0], paid[0]
+    for r, u in zip(ranks[1:], paid[1:], strict=True):
+        every, cost = every.unionByName(r), cost.unionByName(u)
     # one ranking fuses to itself
-    fused = fuse_rrf(rankings_of(final)).join(routed.select("task_id", "k"), "task_id")
+    fused = fuse_rrf(every, wide=len(ranks) > 1).join(routed.select("task_id", "k"), "task_id")
     ranking = fused.where(F.col("k").isNull() | (F.col("rnk") <= F.col("k"))).select("task_id", "item_id", "rnk")
-    ledger = _ledger(probe, final, routed if inquiry else None, s_items if policy == "judge" else None, judge or backend, len(candidates))
-    return RankResult(ranking, ledger, fits, choices)
-
-
-def _ledger(probe: DataFrame, final: DataFrame, asked: DataFrame | None, judged: DataFrame | None, judge: SimBackend, n_candidates: int) -> DataFrame:
-    """(task_id, phase, calls, nano_usd): probe, ranking, inquiry and judge spend kept apart."""
-    p_in, p_out, _ = PRICES[judge.tier]
-
-    def one_call(d: DataFrame, phase: str, op: str, chars: Column, items: Column) -> DataFrame:
-        tokens = F.ceil((TEMPLATE[op] + chars) / 4) * p_in + (REPLY[op] + PER_ITEM.get(op, 0) * items) * p_out
-        return d.select("task_id", F.lit(phase).alias("phase"), F.lit(1).cast("bigint").alias("calls"), tokens.cast("bigint").alias("nano_usd"))
-
-    phase = lambda d, name: total_cost(usage_of(d), ("task_id",)).select("task_id", F.lit(name).alias("phase"), "calls", "nano_usd")
-    out = phase(probe, "probe").unionByName(phase(final, "ranking"))
-    if asked is not None:
-        out = out.unionByName(one_call(asked, "inquiry", "inquiry", F.lit(0), F.lit(0)))
-    if judged is not None:
-        shown = judged.groupBy("task_id").agg(F.sum(F.length("key")).alias("chars"), F.count("*").alias("n"))
-        out = out.unionByName(one_call(shown, "judge", "judge", F.col("chars") + 4 * n_candidates * F.col("n"), F.col("n")))
+    ledger = _ledger(probe, final, cost, routed if inquiry else None, judged)
+    return RankResult(ranking, ledger, fits.select("task_id", "path_id", "nano_usd", "est_nano", "left_nano", "fits"), choices)
+
+
+def _ledger(probe: DataFrame, final: DataFrame, cost: DataFrame, asked: DataFrame | None, judged: DataFrame | None) -> DataFrame:
+    """(task_id, phase, calls, hits, nano_usd): probe, ranking, inquiry and judge spend kept apart; hits are replies of the probe that were not paid again."""
+    one = lambda d, name: d.select("task_id", F.lit(name).alias("phase"), F.lit(1).cast("bigint").alias("calls"), F.lit(0).cast("bigint").alias("hits"), "nano_usd")
+    hits = usage_of(final).groupBy("task_id").agg(F.sum("hits").alias("hits"))
+    ranking = cost.groupBy("task_id").agg(F.sum("calls").alias("calls"), F.sum("nano_usd").alias("nano_usd")).join(hits, "task_id", "left")
+    ranking = ranking.select("task_id", F.lit("ranking").alias("phase"), "calls", F.coalesce("hits", F.lit(0)).alias("hits"), "nano_usd")
+    out = total_cost(usage_of(probe), ("task_id",)).select("task_id", F.lit("probe").alias("phase"), "calls", F.lit(0).cast("bigint").alias("hits"), "nano_usd").unionByName(ranking)
+    for d, name in ((asked, "inquiry"), (judged, "judge")):
+        out = out if d is None else out.unionByName(one(d, name))
     return out
 
 

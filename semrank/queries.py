@@ -31,7 +31,8 @@ from semrank.plans.spec import (
     EXT_BUBBLE, EXT_MERGE, EXT_POINT, EXT_POINT_SEARCH, POINT, POINT_SEARCH, QUICK, QUICK_3, PathConfig, candidate_grid,
 )
 from semrank.sources import tables as T
-from semrank.sources.model import PROFILES, TIERS, SimBackend
+from semrank.sources.lookup import with_facts
+from semrank.sources.model import PRICES, PROFILES, TIERS, SimBackend
 from semrank.streaming.topk import stream_sessions, stream_topk
 
 Query = Callable[[SparkSession, str], DataFrame]
@@ -63,7 +64,7 @@ dw AS (SELECT doc_id, {_WORDS} AS w FROM documents),
 de AS (SELECT doc_id, unnest({_PAIRS}) AS pair FROM dw),
 cover AS (SELECT query_id, doc_id, count(*) / any_value(n) AS share FROM de JOIN be USING (pair) GROUP BY ALL)"""
 BM25 = f"""
-qt AS (SELECT DISTINCT query_id, unnest(w) AS term FROM (SELECT item_id AS query_id, {_WORDS} AS w FROM benchmark)),
+qt AS (SELECT DISTINCT query_id, unnest(WORDS) AS term FROM (SELECT item_id AS query_id, {_WORDS} AS w FROM benchmark)),
 dt AS (SELECT doc_id, {_WORDS} AS w FROM documents),
 st AS (SELECT count(*) AS docs, avg(len(w)) AS avgdl FROM dt),
 tf AS (SELECT term, doc_id, dl, count(*) AS tf FROM (SELECT doc_id, len(w) AS dl, unnest(w) AS term FROM dt) WHERE term IN (SELECT term FROM qt) GROUP BY ALL),
@@ -74,25 +75,30 @@ sc AS (
 top AS (SELECT *, row_number() OVER (PARTITION BY query_id ORDER BY score DESC, doc_id) AS rnk FROM sc QUALIFY rnk <= 100)"""
 _GRADE = "CASE WHEN coalesce(share, 0) >= 0.95 THEN 3 WHEN coalesce(share, 0) >= 0.10 THEN 2 WHEN coalesce(share, 0) >= 0.05 THEN 1 ELSE 0 END"
 _TURNS = """
-us AS (SELECT u.conv_id, u.turn FROM conversations u JOIN conversations a ON a.conv_id = u.conv_id AND a.turn = u.turn + 1 AND a.role = 'assistant' WHERE u.role = 'user' ORDER BY u.conv_id, u.turn LIMIT 100),
-po AS (SELECT conv_id, turn, text FROM conversations WHERE role = 'assistant' ORDER BY conv_id, turn LIMIT 400)"""
+us AS (SELECT u.conv_id, u.turn FROM conversations u JOIN conversations a ON a.conv_id = u.conv_id AND a.turn = u.turn + 1 AND a.role = 'assistant' WHERE u.role = 'user'),
+po AS (SELECT conv_id, turn, text FROM conversations WHERE role = 'assistant')"""
+
+
+def _passages(name: str, words: str) -> str:
+    return f"""{COVER}, {BM25.replace('WORDS', words)},
+g AS (SELECT '{name}-' || t.query_id AS task_id, t.doc_id AS item_id, d.text AS key, CAST({_GRADE} AS BIGINT) AS grade, t.rnk AS ord
+      FROM top t JOIN documents d USING (doc_id) LEFT JOIN cover c ON c.query_id = t.query_id AND c.doc_id = t.doc_id)"""
+
+
 GOLD = {
-    "w1": "g AS (SELECT 'w1' AS task_id, c_custkey AS item_id, c_name AS key, CAST(round(c_acctbal * 100) AS BIGINT) AS grade, c_custkey AS ord FROM customer WHERE c_custkey < 200)",
+    "w1": "g AS (SELECT 'w1-' || c_nationkey AS task_id, c_custkey AS item_id, c_name AS key, CAST(round(c_acctbal * 100) AS BIGINT) AS grade, c_custkey AS ord FROM customer)",
     "w2": """oc AS (SELECT c_nationkey, sum(CAST(round(o_totalprice * 100) AS BIGINT)) AS cents FROM orders JOIN customer ON c_custkey = o_custkey GROUP BY ALL),
 g AS (SELECT 'w2' AS task_id, CAST(n_nationkey AS BIGINT) AS item_id, n_name AS key, CAST(coalesce(cents, 0) AS BIGINT) AS grade, n_nationkey AS ord FROM nation LEFT JOIN oc ON c_nationkey = n_nationkey)""",
-    "w3": f"""{COVER}, {BM25},
-g AS (SELECT 'w3-' || t.query_id AS task_id, t.doc_id AS item_id, d.text AS key, CAST({_GRADE} AS BIGINT) AS grade, t.rnk AS ord
-      FROM top t JOIN documents d USING (doc_id) LEFT JOIN cover c ON c.query_id = t.query_id AND c.doc_id = t.doc_id)""",
-    "w5": """ld AS (SELECT d.doc_id, d.source, d.text, l.quality, l.toxic FROM documents d JOIN labels l USING (doc_id) WHERE source IS NOT NULL),
-ts AS (SELECT source FROM ld GROUP BY source ORDER BY count(*) DESC, source LIMIT 5),
-g AS (SELECT 'w5-' || source AS task_id, doc_id AS item_id, text AS key, CAST(2 * quality + 1 - toxic AS BIGINT) AS grade, doc_id AS ord FROM ld WHERE source IN (SELECT source FROM ts))""",
+    "w3": _passages("w3", "w"),
+    "w4": _passages("w4", "w[len(w) // 2 + 1:]"),
+    "w5": """g AS (SELECT 'w5-' || coalesce(source, '') AS task_id, doc_id AS item_id, text AS key, CAST(2 * quality + 1 - toxic AS BIGINT) AS grade, doc_id AS ord FROM documents JOIN labels USING (doc_id))""",
     "w6": f"""{COVER},
 fq AS (SELECT DISTINCT query_id FROM cover WHERE share >= 0.95 ORDER BY query_id LIMIT 3),
 g AS (SELECT 'w6-' || f.query_id AS task_id, d.doc_id AS item_id, d.text AS key, CAST({_GRADE} AS BIGINT) AS grade, d.doc_id AS ord
-      FROM documents d, fq f LEFT JOIN cover c ON c.query_id = f.query_id AND c.doc_id = d.doc_id WHERE d.doc_id < 4000)""",
+      FROM documents d, fq f LEFT JOIN cover c ON c.query_id = f.query_id AND c.doc_id = d.doc_id)""",
     "w7": f"""{_TURNS},
 g AS (SELECT 'w7-' || us.conv_id || '-' || us.turn AS task_id, po.conv_id * 1000 + po.turn AS item_id, po.text AS key,
-      CAST(CASE WHEN po.conv_id = us.conv_id AND po.turn = us.turn + 1 THEN 2 WHEN po.conv_id = us.conv_id THEN 1 ELSE 0 END AS BIGINT) AS grade, po.conv_id * 1000 + po.turn AS ord FROM us, po)""",
+      CAST(CASE WHEN po.conv_id = us.conv_id AND po.turn = us.turn + 1 THEN 2 WHEN po.conv_id = us.conv_id THEN 1 ELSE 0 END AS BIGINT) AS grade, po.conv_id * 1000 + po.turn AS ord FROM us JOIN po ON us.conv_id // 100 = po.conv_id // 100)""",
 }
 GOLD["w5b"] = GOLD["w5"].replace("'w5-'", "'w5b-'").replace("2 * quality + 1 - toxic", "3 - (2 * quality + 1 - toxic)")
 ITEMS = """i AS (SELECT *, row_number() OVER (PARTITION BY task_id ORDER BY ord) - 1 AS pos, count(*) OVER (PARTITION BY task_id) AS n,
@@ -124,7 +130,7 @@ def ranked(spark: SparkSession, sf: str, w: str, path: PathConfig, k: int | None
 
 # ---- gold ------------------------------------------------------------------------------------------------------
 
-for _w in ("w1", "w2", "w3", "w5", "w5b", "w6", "w7"):
+for _w in ("w1", "w2", "w3", "w4", "w5", "w5b", "w6", "w7"):
     query(f"gold_{_w}", items_sql(_w, "SELECT task_id, item_id, grade, lat FROM i"))(lambda s, d, w=_w: T.workload(s, d, w).select("task_id", "item_id", "grade", "lat"))
 
 # ---- access paths ----------------------------------------------------------------------------------------------
@@ -140,8 +146,6 @@ for _n, _p in (("rank_point_lookup_w2", PathConfig("score_each", lookup=True, **
 
     @query(_n, exact_sql("w2"))
     def _lookup(s, d, p=_p):
-        from semrank.sources.lookup import with_facts
-
         items = T.workload(s, d, "w2")
         return rankings_of(run_paths(with_facts(items, items.select("key", F.col("lat").alias("value"))), [p], SimBackend("factual"))).drop("path_id")
 
@@ -149,13 +153,15 @@ for _n, _p in (("rank_point_lookup_w2", PathConfig("score_each", lookup=True, **
 for _n, _p in (("quick", QUICK), ("votes", QUICK_3), ("bubble", EXT_BUBBLE), ("merge", EXT_MERGE), ("point", PathConfig("score_each", **FINE))):
     query(f"topk_{_n}_w5", exact_sql("w5", 10))(lambda s, d, p=_p: ranked(s, d, "w5", p, 10))
 query("topk_merge_w3", exact_sql("w3", 10))(lambda s, d: ranked(s, d, "w3", EXT_MERGE, 10))
-query("topk_merge_w6", exact_sql("w6", 10))(lambda s, d: ranked(s, d, "w6", EXT_MERGE, 10))
+query("topk_merge_w4", exact_sql("w4", 10))(lambda s, d: ranked(s, d, "w4", EXT_MERGE, 10))
+# tasks as large as the corpus run in waves
+query("topk_merge_w6", exact_sql("w6", 10))(lambda s, d: merge_waves(T.workload(s, d, "w6"), EXT_MERGE, SimBackend(), 10)[0].drop("path_id"))
 query("topk_bubble_w7", exact_sql("w7", 10))(lambda s, d: ranked(s, d, "w7", EXT_BUBBLE, 10))
 query("topk_quick_w5b", exact_sql("w5b", 10))(lambda s, d: ranked(s, d, "w5b", QUICK, 10))
 query("rank_merge_w3_full", exact_sql("w3"))(lambda s, d: ranked(s, d, "w3", EXT_MERGE))
 for _n, _p in (("quick", QUICK), ("quick_votes", QUICK_3), ("merge", EXT_MERGE), ("bubble", EXT_BUBBLE)):
     query(f"noisy_{_n}_w1")(lambda s, d, p=_p: ranked(s, d, "w1", p, profile="reasoning"))
-query("rank_ascending_w1", items_sql("w1", "SELECT task_id, item_id, row_number() OVER (ORDER BY lat, item_id) AS rnk FROM i"))(
+query("rank_ascending_w1", items_sql("w1", "SELECT task_id, item_id, row_number() OVER (PARTITION BY task_id ORDER BY lat, item_id) AS rnk FROM i"))(
     lambda s, d: rankings_of(run_paths(T.reverse(T.workload(s, d, "w1")), [EXT_MERGE], SimBackend())).drop("path_id")
 )
 for _n, _p in (("random_pivot", PathConfig("pivot_split", pivot="random")), ("median_pivot", PathConfig("pivot_split", pivot="median3")), ("bubble_stable", PathConfig("slide_window", stop_when_stable=True)), ("bubble_rescan", PathConfig("slide_window", rescan=True))):
@@ -164,8 +170,8 @@ for _n, _p in (("random_pivot", PathConfig("pivot_split", pivot="random")), ("me
 # waves
 query("wave_point_w1", exact_sql("w1"))(lambda s, d: score_waves(T.workload(s, d, "w1"), PathConfig("score_each", **FINE), SimBackend())[0].select("task_id", "item_id", "rnk"))
 query("wave_merge_w1", exact_sql("w1"))(lambda s, d: merge_waves(T.workload(s, d, "w1"), EXT_MERGE, SimBackend(), local=2)[0].drop("path_id"))
-query("wave_votes_w2_top3", exact_sql("w2", 3))(lambda s, d: quick_waves(T.workload(s, d, "w2"), QUICK_3, SimBackend(), 3)[0].drop("path_id"))
-query("wave_quick_w1_top10", exact_sql("w1", 10))(lambda s, d: quick_waves(T.workload(s, d, "w1"), QUICK, SimBackend(), 10)[0].drop("path_id"))
+query("wave_votes_w2_top3", exact_sql("w2", 3))(lambda s, d: quick_waves(T.workload(s, d, "w2"), QUICK_3, SimBackend(), 3, finish=8)[0].drop("path_id"))
+query("wave_quick_w1_top10", exact_sql("w1", 10))(lambda s, d: quick_waves(T.workload(s, d, "w1"), QUICK, SimBackend(), 10, finish=16)[0].drop("path_id"))
 
 
 LINE_KEY = ["l_orderkey", "l_linenumber", "l_partkey", "l_suppkey", "l_extendedprice"]
@@ -181,6 +187,20 @@ _LINES = f"x AS (SELECT *, row_number() OVER (ORDER BY {', '.join(LINE_KEY)}) -
 query("w16_merge_top10", f"WITH {_LINES} SELECT 'w16' AS task_id, item_id, row_number() OVER (ORDER BY CAST(round(l_extendedprice * 100) AS BIGINT) DESC, item_id) AS rnk FROM x QUALIFY rnk <= 10")(
     lambda s, d: merge_waves(lineitem_items(s, d), EXT_MERGE, SimBackend(), 10)[0].drop("path_id")
 )
+_FULL = f"WITH {_LINES} SELECT 'w16' AS task_id, item_id, row_number() OVER (ORDER BY {{}} DESC, item_id) AS rnk FROM x"
+query("w16_point_full", _FULL.format("least(CAST(round(l_extendedprice * 100) AS BIGINT) // 1200, 10000)"))(
+    lambda s, d: score_waves(lineitem_items(s, d).withColumn("lat", F.floor(F.col("lat") / 1200)), PathConfig("score_each", **FINE), SimBackend())[0].select("task_id", "item_id", "rnk")
+)
+query("w16_merge_full", _FULL.format("CAST(round(l_extendedprice * 100) AS BIGINT)"))(lambda s, d: split_merge(lineitem_items(s, d), SimBackend(), 24)[0].drop("path_id"))
+
+
+@query("w16_optimized_top10", f"WITH {_LINES} SELECT 'all' AS task_id, item_id, row_number() OVER (ORDER BY CAST(round(l_extendedprice * 100) AS BIGINT) DESC, item_id) AS rnk FROM x QUALIFY rnk <= 10")
+def w16_optimized(spark, sf):
+    """A budgeted ordering of a task far beyond one worker: probe on a sample, final runs in waves, fused by ranges."""
+    out = llm_order_by(lineitem_items(spark, sf).drop("task_id"), "key", "the dearest line", id_col="item_id", latent="lat", limit=10, budget_nano=10**15, backend=SimBackend())
+    return out.select(F.lit("all").alias("task_id"), "item_id", F.col("rnk").cast("bigint").alias("rnk"))
+
+
 query("w16_index", f"WITH {_LINES} SELECT l_orderkey, l_linenumber, l_partkey, item_id AS pos FROM x")(lambda s, d: lineitem_items(s, d).select("l_orderkey", "l_linenumber", "l_partkey", "pos"))
 
 # ---- calls, cost ---------------------------------------------------------------------------------------------------
@@ -252,9 +272,9 @@ def grid(spark, sf):
 
 
 _INQ = "CAST('0x' || substr(md5('7|' || task_id), 1, 8) AS BIGINT) % 1000 < 100"
-_W8 = """us AS (SELECT 'r-' || conv_id || '-' || turn AS task_id, 'reasoning' AS kind FROM conversations WHERE role = 'user' ORDER BY conv_id, turn LIMIT 137),
-fa AS (SELECT 'f-nation-' || n_nationkey AS task_id FROM nation UNION ALL SELECT 'f-region-' || r_regionkey FROM region UNION ALL SELECT 'f-part-' || p_partkey FROM part UNION ALL SELECT 'f-supplier-' || s_suppkey FROM supplier),
-q AS (SELECT * FROM us UNION ALL SELECT * FROM (SELECT task_id, 'factual' AS kind FROM fa ORDER BY task_id LIMIT (SELECT count(*) FROM us))),
+_W8 = """q AS (SELECT 'r-' || conv_id || '-' || turn AS task_id, 'reasoning' AS kind FROM conversations WHERE role = 'user'
+      UNION ALL SELECT 'f-nation-' || n_nationkey, 'factual' FROM nation UNION ALL SELECT 'f-region-' || r_regionkey, 'factual' FROM region
+      UNION ALL SELECT 'f-part-' || p_partkey, 'factual' FROM part UNION ALL SELECT 'f-supplier-' || s_suppkey, 'factual' FROM supplier),
 a AS (SELECT *, CASE WHEN {f} THEN CASE kind WHEN 'factual' THEN 'reasoning' ELSE 'factual' END ELSE kind END AS answer FROM q)""".replace("{f}", _INQ)
 query("inquiry_route", f"WITH {_W8} SELECT task_id, answer, CASE answer WHEN 'factual' THEN 'lookup' ELSE 'pool' END AS route FROM a")(lambda s, d: O.route_by_inquiry(T.tasks_w8(s, d)).select("task_id", "answer", "route"))
 query("inquiry_accuracy", f"WITH {_W8} SELECT avg(CASE WHEN answer = kind THEN 1.0 ELSE 0.0 END) AS accuracy, count(*) AS n FROM a")(lambda s, d: M.accuracy(O.route_by_inquiry(T.tasks_w8(s, d)), "answer", "kind"))
@@ -312,17 +332,67 @@ query("optimize_ledger_w5")(lambda s, d: optimized(s, d, "w5", "consensus").ledg
 query("explain_rank_w5")(lambda s, d: O.explain_rank(optimized(s, d, "w5", "consensus", BUDGET // 4)))
 
 
+_SAMPLED = f"""s AS (SELECT * FROM i WHERE key <> '' QUALIFY row_number() OVER (PARTITION BY task_id ORDER BY CAST('0x' || substr(md5('7|' || item_id), 1, 12) AS BIGINT), item_id) <= 20),
+b AS (SELECT *, (row_number() OVER (PARTITION BY task_id ORDER BY pos) - 1) // 4 AS bt FROM s),
+z AS (SELECT *, {score_sql('reasoning', False)} AS s1, {score_sql('reasoning', True).replace('(pos // 4)', 'bt')} AS s2, lat + {noise_sql("'7|j|' || task_id || '|' || item_id", PROFILES['reasoning'].judge)} AS v FROM b),
+r AS (SELECT task_id, item_id, v, 'point' AS path_id, row_number() OVER (PARTITION BY task_id ORDER BY s1 DESC, item_id) AS rnk FROM z
+      UNION ALL SELECT task_id, item_id, v, 'ext_point_4', row_number() OVER (PARTITION BY task_id ORDER BY s2 DESC, item_id) FROM z),
+tau AS (SELECT a.task_id, a.path_id, sum(sign(a.v - c.v)) / count(*) AS tau FROM r a JOIN r c ON a.task_id = c.task_id AND a.path_id = c.path_id AND a.rnk < c.rnk GROUP BY ALL)"""
+
+
+@query("judge_choice_value_w3", items_sql("w3", _SAMPLED + " SELECT task_id, path_id FROM tau QUALIFY row_number() OVER (PARTITION BY task_id ORDER BY tau DESC, CAST('0x' || substr(md5('7|' || task_id || '|' || path_id), 1, 8) AS BIGINT), path_id) = 1"))
+def judge_choice_value(spark, sf):
+    """The judge between the two value paths, on full sample rankings."""
+    items = T.workload(spark, sf, "w3")
+    r = O.optimize(items, T.tasks_of(items), 10**12, SimBackend("reasoning"), policy="judge", candidates=[POINT, EXT_POINT], inquiry=False)
+    return r.choices.select("task_id", "path_id")
+
+
+@query("optimize_consensus_value_w5", items_sql("w5", f"""z AS (SELECT *, {score_sql('reasoning', False)} AS s1, {score_sql('reasoning', True)} AS s2 FROM i WHERE key <> ''),
+r AS (SELECT task_id, item_id, row_number() OVER (PARTITION BY task_id ORDER BY s1 DESC, item_id) AS rnk FROM z
+      UNION ALL SELECT task_id, item_id, row_number() OVER (PARTITION BY task_id ORDER BY s2 DESC, item_id) FROM z),
+fu AS (SELECT task_id, item_id, sum(1000000000000 // (60 + rnk)) AS fused FROM r WHERE rnk <= 10 GROUP BY ALL)
+SELECT task_id, item_id, row_number() OVER (PARTITION BY task_id ORDER BY fused DESC, item_id) AS rnk FROM fu QUALIFY rnk <= 10"""))
+def optimize_consensus_value(spark, sf):
+    """Both value paths fit the budget: their cut rankings are fused."""
+    return optimized(spark, sf, "w5", "consensus", 10**12, candidates=[POINT, EXT_POINT]).ranking
+
+
 @query("optimize_factual_w2", exact_sql("w2"))
 def optimize_factual(spark, sf):
-    """An inquiry sends a factual task to grounded scores."""
-    from semrank.sources.lookup import with_facts
-
+    """An inquiry sends a factual task to grounded scores, here fine ones, so that they make no ties."""
     items = T.workload(spark, sf, "w2")
     items = with_facts(items, items.select("key", F.col("lat").alias("value")))
-    r = O.optimize(items, T.tasks_of(items, "factual"), BUDGET, SimBackend("clean"), candidates=[PathConfig("run_merge"), PathConfig("pivot_split")])
-    # ten buckets make ties: re-rank within the grounded score is not asked for, so compare the fine order
-    fine = rankings_of(run_paths(items, [PathConfig("score_each", lookup=True, **FINE)], SimBackend()))
-    return fine.join(r.choices.where("path_id = 'point_search'").select("task_id"), "task_id").select("task_id", "item_id", "rnk")
+    grounded = PathConfig("score_each", lookup=True, **FINE)
+    return O.optimize(items, T.tasks_of(items, "factual"), BUDGET, SimBackend("clean"), candidates=[EXT_MERGE, QUICK], grounded=grounded).ranking
+
+
+@query("llm_order_by_lookup_w1", "SELECT c_custkey, c_nationkey, row_number() OVER (PARTITION BY c_nationkey ORDER BY c_custkey % 1000, c_custkey) AS rnk FROM customer")
+def order_by_lookup(spark, sf):
+    """The surface with facts: ascending by a value that only the lookup source knows."""
+    c = T.load(spark, sf, "customer").select("c_custkey", "c_nationkey", "c_name")
+    facts = c.select(F.col("c_name").alias("key"), (F.col("c_custkey") % 1000).alias("value"))
+    out = llm_order_by(c, "c_name", "account number", id_col="c_custkey", desc=False, partition_by="c_nationkey", facts=facts, path=PathConfig("score_each", lookup=True, **FINE), backend=SimBackend("factual"))
+    return out.select("c_custkey", "c_nationkey", "rnk")
+
+
+_ASC = {"point": PathConfig("score_each", **FINE), "batch": PathConfig("score_batch", **FINE), "quick": QUICK, "votes": QUICK_3, "bubble": EXT_BUBBLE, "merge": EXT_MERGE}
+for _n, _p in _ASC.items():
+
+    @query(f"llm_order_by_ascending_{_n}", "SELECT c_custkey, c_nationkey, row_number() OVER (PARTITION BY c_nationkey ORDER BY (CAST(floor(c_acctbal) AS BIGINT) + 1000) // 2, c_custkey) AS rnk FROM customer")
+    def _ascending(spark, sf, path=_p):
+        c = T.load(spark, sf, "customer").select("c_custkey", "c_nationkey", "c_name", F.expr("(cast(floor(c_acctbal) as bigint) + 1000) div 2").alias("known"))
+        out = llm_order_by(c, "c_name", "account balance", id_col="c_custkey", desc=False, partition_by="c_nationkey", latent="known", path=path)
+        return out.select("c_custkey", "c_nationkey", "rnk")
+
+
+@query("criteria_decide", "SELECT c_custkey, row_number() OVER (PARTITION BY c_nationkey, c_mktsegment ORDER BY (CAST(floor(c_acctbal) AS BIGINT) + 1000) // 2 DESC, c_custkey) AS by_balance, row_number() OVER (PARTITION BY c_nationkey, c_mktsegment ORDER BY length(c_name) DESC, c_custkey) AS by_name FROM customer")
+def criteria_decide(spark, sf):
+    """Two criteria over one key column give two orders."""
+    c = T.load(spark, sf, "customer").select("c_custkey", "c_nationkey", "c_mktsegment", "c_name", F.expr("(cast(floor(c_acctbal) as bigint) + 1000) div 2").alias("balance"), F.length("c_name").alias("size"))
+    known = {"account balance": "balance", "length of the name": "size"}
+    by = lambda criterion, to: llm_order_by(c, "c_name", criterion, id_col="c_custkey", partition_by=["c_nationkey", "c_mktsegment"], latent=known).select("c_custkey", F.col("rnk").alias(to))
+    return by("account balance", "by_balance").join(by("length of the name", "by_name"), "c_custkey")
 
 
 # ---- measures --------------------------------------------------------------------------------------------------------
@@ -379,7 +449,11 @@ def quality_points(spark: SparkSession, sf: str) -> tuple[DataFrame, DataFrame]:
 
 
 query("ndcg_mean_ci", _ND5 + " SELECT path_id, count(*) AS n, round(avg(ndcg), 6) AS mean, round(avg(ndcg) - 1.2815515655446004 * coalesce(stddev_samp(ndcg), 0) / sqrt(count(*)), 6) AS lo, round(avg(ndcg) + 1.2815515655446004 * coalesce(stddev_samp(ndcg), 0) / sqrt(count(*)), 6) AS hi FROM nd GROUP BY path_id")(lambda s, d: _rounded(M.mean_ci(quality_points(s, d)[0], "ndcg"), "mean", "lo", "hi"))
-query("bootstrap_ci")(lambda s, d: M.bootstrap_ci(quality_points(s, d)[0], "ndcg"))
+query("bootstrap_ci", _ND5 + """, d AS (SELECT path_id, task_id, ndcg, unnest(range(1, 201)) AS round FROM nd),
+u AS (SELECT *, CAST('0x' || substr(md5('7|' || round || '|' || task_id), 1, 8) AS BIGINT) / 4294967296.0 AS u FROM d),
+w AS (SELECT *, CASE WHEN u < 0.367879 THEN 0 WHEN u < 0.735759 THEN 1 WHEN u < 0.919699 THEN 2 WHEN u < 0.981012 THEN 3 WHEN u < 0.996340 THEN 4 ELSE 5 END AS w FROM u),
+m AS (SELECT path_id, round, sum(ndcg * w) / nullif(sum(w), 0) AS m FROM w GROUP BY ALL)
+SELECT path_id, round(quantile_cont(m, 0.1), 6) AS lo, round(quantile_cont(m, 0.9), 6) AS hi FROM m GROUP BY path_id""")(lambda s, d: _rounded(M.bootstrap_ci(quality_points(s, d)[0], "ndcg"), "lo", "hi"))
 query("spread", _ND5 + ", be AS (SELECT *, ndcg = max(ndcg) OVER (PARTITION BY task_id) AS b FROM nd), al AS (SELECT *, b AND count(*) FILTER (b) OVER (PARTITION BY task_id) = 1 AS alone FROM be) SELECT path_id, round(min(ndcg), 6) AS lo, round(quantile_cont(ndcg, 0.25), 6) AS q1, round(quantile_cont(ndcg, 0.5), 6) AS median, round(quantile_cont(ndcg, 0.75), 6) AS q3, round(max(ndcg), 6) AS hi, round(avg(ndcg), 6) AS mean, count(*) FILTER (alone) AS wins FROM al GROUP BY path_id")(
     lambda s, d: _rounded(M.spread(quality_points(s, d)[0], "ndcg"), "lo", "q1", "median", "q3", "hi", "mean")
 )
@@ -442,74 +516,186 @@ def floors(spark, sf):
 
 # ---- experiments --------------------------------------------------------------------------------------------------------
 
+#: Workload -> noise profile and limit, as the experiments run it.
+SETUPS = {"w1": ("factual", None), "w2": ("factual", None), "w3": ("reasoning", 10), "w4": ("reasoning", 10), "w5b": ("reasoning", 10), "w6": ("reasoning", 10), "w7": ("reasoning", 10)}
+
 
-def static_study(spark: SparkSession, sf: str, w: str, profile: str, k: int | None = 10, tier: str = "medium") -> tuple[DataFrame, DataFrame, DataFrame]:
-    """All static paths on a workload: (items, nDCG, usage)."""
+def static_study(spark: SparkSession, sf: str, w: str, tier: str = "medium", paths: list[PathConfig] | None = None) -> tuple[DataFrame, DataFrame]:
+    """All static paths on a workload: (items, result). Factual workloads have grounded value paths too."""
+    profile, k = SETUPS[w]
     items = T.workload(spark, sf, w, k=k)
-    res = run_paths(items, list(PATHS.values()), SimBackend(profile, tier))
-    return items, M.ndcg_at(rankings_of(res), T.truth_of(items)), usage_of(res)
+    if profile == "factual":
+        items = with_facts(items, items.select("key", F.col("lat").alias("value")))
+    paths = paths or [*PATHS.values(), *([POINT_SEARCH, EXT_POINT_SEARCH] if profile == "factual" else [])]
+    return items, run_paths(items, paths, SimBackend(profile, tier))
 
 
-def _study(w: str, profile: str) -> Query:
-    def run(spark, sf):
-        _, nd, us = static_study(spark, sf, w, profile)
-        cost = M.total_cost(us).groupBy("path_id").agg(F.avg("calls").alias("calls"), (F.avg("nano_usd") / 1e9).alias("usd"))
-        return M.mean_ci(nd.where("relevant"), "ndcg").join(cost, "path_id")
+def quality(w: str, rankings: DataFrame, items: DataFrame) -> DataFrame:
+    """(task_id, path_id, quality): tau for attribute orders, nDCG@10 elsewhere, over tasks that have a relevant item."""
+    if w in ("w1", "w2"):
+        return M.kendall_tau(rankings, T.truth_of(items)).withColumnRenamed("tau", "quality")
+    return M.ndcg_at(rankings, T.truth_of(items)).where("relevant").select("task_id", "path_id", F.col("ndcg").alias("quality"))
 
-    return run
 
+def study(spark: SparkSession, sf: str, w: str) -> DataFrame:
+    """Per static path: mean quality with its interval, calls and dollars per task."""
+    items, res = static_study(spark, sf, w)
+    cost = M.total_cost(usage_of(res)).groupBy("path_id").agg(F.avg("calls").alias("calls"), (F.avg("nano_usd") / 1e9).alias("usd"))
+    return M.mean_ci(quality(w, rankings_of(res), items), "quality").join(cost, "path_id")
 
-for _w in ("w3", "w5b", "w6", "w7"):
-    query(f"study_{_w}")(_study(_w, "reasoning"))
 
+for _w in SETUPS:
+    query(f"study_{_w}")(lambda s, d, w=_w: study(s, d, w))
+query("log_fit_w4")(lambda s, d: M.log_fit(study(s, d, "w4"), "mean", "usd"))
+query("spread_w3")(lambda s, d: (lambda x: M.spread(quality("w3", rankings_of(x[1]), x[0]), "quality"))(static_study(s, d, "w3")))
 
-@query("study_w1_tau")
-def study_tau(spark, sf):
-    """W1: tau of each path on a factual profile, with grounded scores."""
-    from semrank.sources.lookup import with_facts
 
-    items = T.workload(spark, sf, "w1")
-    items = with_facts(items, items.select("key", F.col("lat").alias("value")))
-    res = run_paths(items, [*PATHS.values(), POINT_SEARCH, EXT_POINT_SEARCH], SimBackend("factual"))
-    return M.kendall_tau(rankings_of(res), T.truth_of(items))
+def cells(d: DataFrame, *names: str) -> DataFrame:
+    """Task ids that hold the setting too, so that all settings are decided in the same jobs."""
+    return d.withColumn("task_id", F.concat_ws("|", *names, "task_id"))
+
 
+def sweep(spark: SparkSession, sf: str, w: str, tier: str = "medium", budgets: int | list[int] = 4, judges: dict[str, SimBackend] | None = None, samples: tuple[int, ...] = (O.SAMPLE,), policies: tuple[str, ...] = ("judge", "consensus")) -> tuple[DataFrame, DataFrame]:
+    """Both policies over a grid of budgets: (static (task_id, path_id, quality, nano_usd), chosen (policy, sample, budget_nano, task_id, quality, nano_usd, probe_nano)).
 
-@query("budget_sweep_w5b")
-def budget_sweep(spark, sf):
-    """Quality and spend of both policies as the budget rises from the cheapest path to the sum of all."""
-    items = T.workload(spark, sf, "w5b", k=10)
+    The simulator answers a request the same way whenever it is asked, so a path's full run is the same under every budget: it is made
+    once, as is the probe; what differs is which runs a budget and a policy take, and their fusion. ``budgets``: nano-dollars per task, or how many, on a log
+    grid from the cheapest path's mean estimate to the sum of all.
+    """
+    profile, k = SETUPS[w]
+    scratch, backend, paths = Scratch(spark, "sweep"), SimBackend(profile, tier), list(PATHS.values())
+    items = scratch.write("items", T.workload(spark, sf, w, k=k))
+    full = run_paths(items, paths, backend, scratch=scratch, name="full")
+    truth, table = T.truth_of(items), candidates_frame(spark, paths)
+    length = F.avg(F.length("key")).alias
     out = None
-    for policy in ("judge", "consensus"):
-        for budget in (15_000_000, 60_000_000, 240_000_000):
-            r = optimized(spark, sf, "w5b", policy, budget)
-            nd = M.ndcg_at(r.ranking.withColumn("path_id", F.lit(policy)), T.truth_of(items)).agg(F.avg("ndcg").alias("ndcg"))
-            spent = r.ledger.groupBy().agg((F.sum(F.when(F.col("phase") == "ranking", F.col("nano_usd"))) / 1e9).alias("usd"))
-            row = nd.crossJoin(spent).select(F.lit(policy).alias("policy"), F.lit(budget).cast("bigint").alias("budget_nano"), "ndcg", "usd")  # one row each
-            out = row if out is None else out.unionByName(row)
+    for n in samples:
+        own = Scratch(spark, "sweep-sample")
+        sample = own.write("sample", O.sample_items(items, n))
+        probe = run_paths(sample, paths, backend, scratch=own, name="probe")
+        sizes = items.groupBy("task_id").agg(F.count("*").alias("n"), F.first("k").alias("k"), length("chars")).join(sample.groupBy("task_id").agg(F.count("*").alias("s"), length("sample_chars")), "task_id")
+        spent = M.total_cost(usage_of(probe))
+        est = own.write("est", estimate(spent, sizes, table, "per_call", PRICES[tier][0]).select("task_id", "path_id", "est_nano"))
+        if isinstance(budgets, int):
+            # two numbers
+            g = est.groupBy("path_id").agg(F.avg("est_nano").alias("e")).agg(F.min("e").alias("lo"), F.sum("e").alias("hi")).first()
+            budgets = [int(g["lo"] * (1.05 * g["hi"] / g["lo"]) ** (i / (budgets - 1)) * 1.02) for i in range(budgets)]
+        grid = spark.createDataFrame([(b,) for b in budgets], "budget_nano bigint")
+        fits = est.crossJoin(F.broadcast(grid)).withColumn("left_nano", F.col("budget_nano").cast("double"))  # a few budgets
+        fits = own.write("fits", cells(fits.withColumn("fits", F.col("est_nano") <= F.col("left_nano")), "budget_nano").drop("budget_nano"))
+        spread_out = lambda d: cells(d.crossJoin(F.broadcast(grid)), "budget_nano").drop("budget_nano")
+        shown = own.write("shown", spread_out(sample))
+        ranks = own.write("ranks", spread_out(rankings_of(probe)).join(fits.where("fits").select("task_id", "path_id"), ["task_id", "path_id"]))
+        choices = {}
+        for policy in policies:
+            if policy == "judge":
+                for name, judge in (judges or {"judge": backend}).items():
+                    choices[name] = O.judge_choice(shown, ranks, fits, judge).select("task_id", "path_id")
+            else:
+                scored = O.agreement(ranks, fuse_rrf(ranks)).join(fits.where("fits"), ["task_id", "path_id"])
+                choices[policy] = O.greedy_fit(scored)
+        every = None
+        for name, c in choices.items():
+            c = c.select(F.lit(name).alias("policy"), "task_id", "path_id")
+            every = c if every is None else every.unionByName(c)
+        # where nothing fits a task takes its cheapest path
+        cheapest = fits.groupBy("task_id").agg(F.min_by("path_id", F.struct("est_nano", "path_id")).alias("path_id"), F.max("fits").alias("any")).where("not any").drop("any")
+        every = every.unionByName(cheapest.crossJoin(F.broadcast(spark.createDataFrame([(n,) for n in choices], "policy string"))).select("policy", "task_id", "path_id"))
+        every = own.write("choices", every.withColumn("budget_nano", F.substring_index("task_id", "|", 1).cast("bigint")).withColumn("task", F.expr("substr(task_id, instr(task_id, '|') + 1)")))
+        runs = rankings_of(full).withColumnRenamed("task_id", "task").join(every, ["task", "path_id"])
+        fused = fuse_rrf(runs.withColumn("task_id", F.concat_ws("|", "policy", "task_id")))
+        cell_truth = truth.withColumnRenamed("task_id", "task").join(every.select("policy", "task_id", "task").distinct(), "task").select(F.concat_ws("|", "policy", "task_id").alias("task_id"), "item_id", "grade")
+        got = quality(w, fused if k is None else fused.where(F.col("rnk") <= k), cell_truth).drop("path_id")
+        cost = every.join(M.total_cost(usage_of(full)).withColumnRenamed("task_id", "task"), ["task", "path_id"]).groupBy("policy", "budget_nano", "task", "task_id").agg(F.sum("nano_usd").alias("nano_usd"))
+        probe_cost = spent.groupBy(F.col("task_id").alias("task")).agg(F.sum("nano_usd").alias("probe_nano"))
+        part = cost.withColumn("task_id", F.concat_ws("|", "policy", "task_id")).join(got, "task_id").join(probe_cost, "task")
+        part = own.write("chosen", part.select("policy", F.lit(n).alias("sample"), "budget_nano", F.col("task").alias("task_id"), "quality", "nano_usd", "probe_nano"))
+        out = part if out is None else out.unionByName(part)
+    static = quality(w, rankings_of(full), items).join(M.total_cost(usage_of(full)).select("task_id", "path_id", "nano_usd"), ["task_id", "path_id"])
+    return static, out
+
+
+def curve(chosen: DataFrame) -> DataFrame:
+    """Per policy, sample size and budget: mean quality with its interval, dollars per task for ranking and for the probe."""
+    by = ("policy", "sample", "budget_nano")
+    return M.mean_ci(chosen, "quality", by).join(chosen.groupBy(*by).agg((F.avg("nano_usd") / 1e9).alias("usd"), (F.avg("probe_nano") / 1e9).alias("probe_usd")), list(by))
+
+
+for _w in ("w3", "w4", "w5b", "w6", "w7"):
+    query(f"budget_sweep_{_w}")(lambda s, d, w=_w: curve(sweep(s, d, w)[1]).drop("sample"))
+
+
+@query("pareto_w4")
+def pareto_w4(spark, sf):
+    """Measured points, static paths and both policies' budgets, and which of them no cheaper one reaches."""
+    static, chosen = sweep(spark, sf, "w4")
+    points = static.groupBy(F.col("path_id").alias("name")).agg(F.avg("quality").alias("quality"), (F.avg("nano_usd") / 1e9).alias("usd"))
+    more = chosen.groupBy(F.concat_ws("@", "policy", "budget_nano").alias("name")).agg(F.avg("quality").alias("quality"), (F.avg("nano_usd") / 1e9).alias("usd"))
+    return M.pareto(points.unionByName(more).withColumn("all", F.lit("w4")), "quality", "usd", "all").drop("all")
+
+
+query("dips_w4")(lambda s, d: M.dips(curve(sweep(s, d, "w4", budgets=6)[1]), "mean", "budget_nano", "policy"))
+
+
+@query("main_table_w4")
+def main_table(spark, sf):
+    """Per tier: the three best static paths and the best of each policy over the budgets."""
+    out = None
+    for tier in TIERS:
+        static, chosen = sweep(spark, sf, "w4", tier)
+        three = M.leaderboard(static.select(F.lit("w4").alias("dataset"), F.lit(tier).alias("model"), "path_id", "quality"), "quality").select("model", F.concat(F.lit("static "), "place").alias("what"), F.col("path_id").alias("name"), "mean")
+        best = curve(chosen).groupBy("policy").agg(F.max("mean").alias("mean"), F.max_by("budget_nano", "mean").alias("b")).select(F.lit(tier).alias("model"), F.col("policy").alias("what"), F.concat(F.lit("budget "), "b").alias("name"), "mean")
+        rows = three.unionByName(best)
+        out = rows if out is None else out.unionByName(rows)
     return out
 
 
+def cost_error(spark: SparkSession, sf: str, w: str, tier: str = "medium") -> DataFrame:
+    """Mean absolute error of the estimates from 20 items, per path and form."""
+    profile, k = SETUPS[w]
+    items = T.workload(spark, sf, w, k=k)
+    backend, paths, scratch = SimBackend(profile, tier), list(PATHS.values()), Scratch(spark, "cost")
+    items = scratch.write("items", items)
+    sample = O.sample_items(items)
+    probe = M.total_cost(usage_of(run_paths(sample, paths, backend)))
+    actual = M.total_cost(usage_of(run_paths(items, paths, backend)))
+    length = F.avg(F.length("key"))
+    sizes = items.groupBy("task_id").agg(F.count("*").alias("n"), F.first("k").alias("k"), length.alias("chars")).join(sample.groupBy("task_id").agg(F.count("*").alias("s"), length.alias("sample_chars")), "task_id")
+    out = [M.mape(estimate(probe, sizes, candidates_frame(spark, paths), form, PRICES[tier][0]), actual).withColumn("form", F.lit(form)) for form in ("ratio", "per_call")]
+    return out[0].unionByName(out[1]).withColumn("tier", F.lit(tier))
+
+
 for _w in ("w3", "w6", "w7"):
+    query(f"cost_error_{_w}")(lambda s, d, w=_w: cost_error(s, d, w))
+
+
+@query("cost_error_w4")
+def cost_error_w4(spark, sf):
+    out = None
+    for tier in TIERS:
+        part = cost_error(spark, sf, "w4", tier)
+        out = part if out is None else out.unionByName(part)
+    return out
+
 
-    @query(f"cost_error_{_w}")
-    def _cost_error(spark, sf, w=_w):
-        """Mean absolute error of the estimates from 20 items, per path and form."""
-        items = T.workload(spark, sf, w, k=10)
-        backend, paths = SimBackend("reasoning"), list(PATHS.values())
-        sample = O.sample_items(items)
-        probe = M.total_cost(usage_of(run_paths(sample, paths, backend)))
-        actual = M.total_cost(usage_of(run_paths(items, paths, backend)))
-        sizes = items.groupBy("task_id").agg(F.count("*").alias("n"), F.first("k").alias("k")).join(sample.groupBy("task_id").agg(F.count("*").alias("s")), "task_id")
-        out = [M.mape(estimate(probe, sizes, candidates_frame(spark, paths), form), actual).withColumn("form", F.lit(form)) for form in ("ratio", "per_call")]
-        return out[0].unionByName(out[1])
+@query("latency_w4")
+def latency_w4(spark, sf):
+    """Mean depth in sequential calls and seconds: each path, and both policies at the third of four budgets (their runs go side by side)."""
+    items, res = static_study(spark, sf, "w4")
+    lat = M.latency(usage_of(res))
+    out = lat.groupBy("path_id").agg(F.avg("depth").alias("depth"), F.avg("seconds").alias("seconds"))
+    for policy in ("judge", "consensus"):
+        r = O.optimize(items, T.tasks_of(items, k=10), BUDGET, SimBackend("reasoning"), policy=policy, inquiry=False, on_infeasible="cheapest")
+        own = r.choices.join(lat, ["task_id", "path_id"]).groupBy("task_id").agg(F.max("depth").alias("depth"), F.max("seconds").alias("seconds"))
+        out = out.unionByName(own.agg(F.avg("depth").alias("depth"), F.avg("seconds").alias("seconds")).select(F.lit(policy).alias("path_id"), "depth", "seconds"))
+    return out
 
 
-@query("latency_w3")
-def latency_w3(spark, sf):
-    """Mean depth in sequential calls and seconds per path."""
-    items = T.workload(spark, sf, "w3", k=10)
-    us = usage_of(run_paths(items, list(PATHS.values()), SimBackend("clean")))
-    return M.latency(us).groupBy("path_id").agg(F.avg("depth").alias("depth"), F.avg("seconds").alias("seconds"))
+@query("latency_bound_w5")
+def latency_bound(spark, sf):
+    """What a bound on waiting time leaves to choose from."""
+    r = optimized(spark, sf, "w5", "consensus", 10**12, max_latency_s=60)
+    return r.estimates.where("fits").groupBy("path_id").agg(F.count("*").alias("tasks"))
 
 
 @query("call_ratios_w3")
@@ -520,54 +706,48 @@ def call_ratios(spark, sf):
     return M.ratio(c, "quick_3", "quick").unionByName(M.ratio(c, "ext_bubble_4", "ext_merge_4"))
 
 
-@query("judge_ablation_w5b")
+@query("judge_ablation_w4")
 def judge_ablation(spark, sf):
-    """Match-or-beat share by the judge's tier."""
-    items = T.workload(spark, sf, "w5b", k=10)
-    truth = T.truth_of(items)
-    static = M.ndcg_at(rankings_of(run_paths(items, list(PATHS.values()), SimBackend("reasoning"))), truth)
-    out = None
-    for tier in TIERS:
-        r = optimized(spark, sf, "w5b", "judge", BUDGET, judge=SimBackend("reasoning", tier))
-        row = M.match_rate(M.ndcg_at(r.ranking.withColumn("path_id", F.lit("judge")), truth), static).withColumn("judge", F.lit(tier))
-        out = row if out is None else out.unionByName(row)
-    return out
+    """Share of tasks that match or beat the best static path, by judge and budget, beside rank fusion."""
+    static, chosen = sweep(spark, sf, "w4", "small", judges={f"judge {t}": SimBackend("reasoning", t) for t in TIERS})
+    best = static.groupBy("path_id").agg(F.avg("quality").alias("m")).orderBy(F.col("m").desc(), "path_id").limit(1)
+    ref = static.join(F.broadcast(best.select("path_id")), "path_id").select("task_id", F.col("quality").alias("ref"))
+    return chosen.join(ref, "task_id").groupBy("policy", "budget_nano").agg(F.avg((F.col("quality") >= F.col("ref")).cast("double")).alias("share"), F.avg("quality").alias("mean"), F.count("*").alias("n"))
 
 
-@query("sample_size_w5b")
-def sample_size(spark, sf):
-    """Quality and probe spend by sample size."""
-    items = T.workload(spark, sf, "w5b", k=10)
-    out = None
-    for s in (16, 20, 24, 28):
-        r = optimized(spark, sf, "w5b", "consensus", BUDGET, sample=s)
-        nd = M.ndcg_at(r.ranking.withColumn("path_id", F.lit("consensus")), T.truth_of(items)).agg(F.avg("ndcg").alias("ndcg"))
-        probe = r.ledger.where("phase = 'probe'").agg((F.sum("nano_usd") / 1e9).alias("probe_usd"))
-        row = nd.crossJoin(probe).select(F.lit(s).alias("sample"), "ndcg", "probe_usd")  # one row each
-        out = row if out is None else out.unionByName(row)
-    return out
+query("sample_size_w4")(lambda s, d: curve(sweep(s, d, "w4", budgets=[BUDGET], samples=(16, 20, 24, 28))[1]).drop("budget_nano"))
 
 
 # ---- retrieval, surfaces, streams ---------------------------------------------------------------------------------------
 
-query("bm25_top100", f"WITH {BM25} SELECT query_id, doc_id, score, rnk FROM top")(lambda s, d: bm25_topn(T.load(s, d, "documents").select("doc_id", "text"), T.load(s, d, "benchmark").select(F.col("item_id").alias("query_id"), "text")))
+query("bm25_top100", f"WITH {BM25.replace('WORDS', 'w')} SELECT query_id, doc_id, score, rnk FROM top")(lambda s, d: bm25_topn(T.load(s, d, "documents").select("doc_id", "text"), T.load(s, d, "benchmark").select(F.col("item_id").alias("query_id"), "text")))
 _COS = "round(list_dot_product({a}::DOUBLE[], {b}::DOUBLE[]) / sqrt(list_dot_product({a}::DOUBLE[], {a}::DOUBLE[]) * list_dot_product({b}::DOUBLE[], {b}::DOUBLE[])), 6)"
-query("vector_top100", f"WITH x AS (SELECT q.vec_id AS query_id, e.vec_id, {_COS.format(a='e.embedding', b='q.embedding')} AS score FROM embeddings e, embeddings q WHERE q.vec_id < 10 AND e.vec_id <> q.vec_id) SELECT *, row_number() OVER (PARTITION BY query_id ORDER BY score DESC, vec_id) AS rnk FROM x QUALIFY rnk <= 100")(
-    lambda s, d: (lambda e: vector_topn(e, e.where("vec_id < 10")))(T.load(s, d, "embeddings"))
+query("vector_top100", f"WITH x AS (SELECT q.vec_id AS query_id, e.vec_id, {_COS.format(a='e.embedding', b='q.embedding')} AS score FROM embeddings e, embeddings q WHERE q.vec_id % 100 = 0 AND e.vec_id <> q.vec_id) SELECT *, row_number() OVER (PARTITION BY query_id ORDER BY score DESC, vec_id) AS rnk FROM x QUALIFY rnk <= 100")(
+    lambda s, d: (lambda e: vector_topn(e, e.where("vec_id % 100 = 0")))(T.load(s, d, "embeddings"))
 )
 
 
 def proxy_w14(spark: SparkSession, sf: str) -> DataFrame:
-    """Rank all vectors for each of ten labels from the scores (same label: 10, else 0) of 50 of them."""
+    """Rank all vectors for each of ten labels from the scores (same label: 10, else 0) of every tenth."""
     e = T.load(spark, sf, "embeddings")
     labels = spark.range(10).select(F.concat(F.lit("label-"), "id").alias("task_id"), F.col("id").alias("want"))
-    seeds = e.where("vec_id < 50").crossJoin(labels).select("task_id", "vec_id", F.when(F.col("label") == F.col("want"), 10).otherwise(0).alias("score"))  # ten tasks
+    seeds = e.where("vec_id % 10 = 0").crossJoin(labels).select("task_id", "vec_id", F.when(F.col("label") == F.col("want"), 10).otherwise(0).alias("score"))  # ten tasks
     return proxy_rank(e.select("vec_id", "embedding"), seeds)
 
 
 query("proxy_rank_w14")(lambda s, d: proxy_w14(s, d).select("task_id", "item_id", "rnk"))
 
 
+@query("proxy_ndcg_w14")
+def proxy_ndcg(spark, sf):
+    """nDCG@10 of the light ranker and of the input order; relevant: the same label."""
+    r = proxy_w14(spark, sf).select("task_id", F.lit("proxy").alias("path_id"), "item_id", "rnk")
+    e = T.load(spark, sf, "embeddings")
+    truth = r.select("task_id", "item_id").join(e.select(F.col("vec_id").alias("item_id"), "label"), "item_id").select("task_id", "item_id", (F.concat(F.lit("label-"), "label") == F.col("task_id")).cast("bigint").alias("grade"))
+    plain = r.select("task_id", F.lit("input").alias("path_id"), "item_id", (F.col("item_id") + 1).alias("rnk"))
+    return M.mean_ci(M.ndcg_at(r.unionByName(plain), truth), "ndcg")
+
+
 @query("example1_sql", "SELECT doc_id, row_number() OVER (ORDER BY n_chars DESC, doc_id) AS rnk FROM documents WHERE lang = 'en' AND n_chars BETWEEN 200 AND 4000 QUALIFY rnk <= 10")
 def example1(spark, sf):
     """Filter first, then the semantic order with a limit."""
@@ -598,41 +778,50 @@ def scalar_score(spark, sf):
     return T.workload(spark, sf, "w5").select("task_id", "item_id", score("task_id", "item_id", "key", "lat").alias("score"))
 
 
-_NULLED = "x AS (SELECT c_custkey AS item_id, CASE WHEN c_custkey % 7 = 0 THEN NULL WHEN c_custkey % 11 = 0 THEN '' ELSE c_name END AS key, CAST(round(c_acctbal) AS BIGINT) AS lat FROM customer WHERE c_custkey <= 60)"
+_NULLED = "x AS (SELECT c_custkey AS item_id, c_nationkey, CASE WHEN c_custkey % 7 = 0 THEN NULL WHEN c_custkey % 11 = 0 THEN '' ELSE c_name END AS key, CAST(round(c_acctbal) AS BIGINT) AS lat FROM customer)"
 for _n in ("last", "first"):
     _flag = "(coalesce(key, '') = '')" if _n == "last" else "(coalesce(key, '') <> '')"
 
-    @query(f"null_keys_{_n}", f"WITH {_NULLED} SELECT item_id, row_number() OVER (ORDER BY {_flag}, CASE WHEN coalesce(key, '') <> '' THEN lat END DESC, item_id) AS rnk FROM x QUALIFY rnk <= 55")
+    @query(f"null_keys_{_n}", f"WITH {_NULLED} SELECT item_id, c_nationkey, row_number() OVER (PARTITION BY c_nationkey ORDER BY {_flag}, CASE WHEN coalesce(key, '') <> '' THEN lat END DESC, item_id) AS rnk FROM x QUALIFY rnk <= 55")
     def _nulls(spark, sf, where=_n):
         c = F.col("c_custkey")
-        d = T.load(spark, sf, "customer").where(c <= 60)
-        d = d.select(c.alias("item_id"), F.when(c % 7 == 0, F.lit(None)).when(c % 11 == 0, F.lit("")).otherwise(F.col("c_name")).alias("key"), F.round("c_acctbal").cast("bigint").alias("lat"))
-        out = llm_order_by(d, "key", "account balance", id_col="item_id", latent="lat", nulls=where, limit=55)
-        return out.select("item_id", "rnk")
+        d = T.load(spark, sf, "customer")
+        d = d.select(c.alias("item_id"), "c_nationkey", F.when(c % 7 == 0, F.lit(None)).when(c % 11 == 0, F.lit("")).otherwise(F.col("c_name")).alias("key"), F.round("c_acctbal").cast("bigint").alias("lat"))
+        out = llm_order_by(d, "key", "account balance", id_col="item_id", partition_by="c_nationkey", latent="lat", nulls=where, limit=55)
+        return out.select("item_id", "c_nationkey", "rnk")
 
 
-@query("ties_by_id", "SELECT c_custkey AS item_id, row_number() OVER (ORDER BY c_custkey) AS rnk FROM customer WHERE c_custkey <= 50")
+@query("ties_by_id", "SELECT c_custkey AS item_id, row_number() OVER (PARTITION BY c_nationkey, c_mktsegment ORDER BY c_custkey) AS rnk FROM customer")
 def ties_by_id(spark, sf):
-    d = T.load(spark, sf, "customer").where("c_custkey <= 50").select(F.col("c_custkey").alias("item_id"), F.col("c_name").alias("key"), F.lit(5).alias("lat"))
-    return llm_order_by(d, "key", "nothing tells them apart", id_col="item_id", latent="lat", path=QUICK_3).select("item_id", "rnk")
+    d = T.load(spark, sf, "customer").select(F.col("c_custkey").alias("item_id"), "c_nationkey", "c_mktsegment", F.col("c_name").alias("key"), F.lit(5).alias("lat"))
+    return llm_order_by(d, "key", "nothing tells them apart", id_col="item_id", partition_by=["c_nationkey", "c_mktsegment"], latent="lat", path=QUICK_3).select("item_id", "rnk")
 
 
-@query("dedup_keys", "WITH x AS (SELECT c_custkey AS item_id, c_mktsegment AS key FROM customer WHERE c_custkey <= 60), k AS (SELECT key, length(key) AS lat, min(item_id) AS f FROM x GROUP BY key) SELECT item_id, row_number() OVER (ORDER BY lat DESC, f, item_id) AS rnk FROM x JOIN k USING (key)")
+@query("dedup_keys", "WITH x AS (SELECT c_custkey AS item_id, c_nationkey, c_mktsegment AS key FROM customer), k AS (SELECT c_nationkey, key, length(key) AS lat, min(item_id) AS f FROM x GROUP BY ALL) SELECT item_id, row_number() OVER (PARTITION BY c_nationkey ORDER BY lat DESC, f, item_id) AS rnk FROM x JOIN k USING (c_nationkey, key)")
 def dedup_keys(spark, sf):
-    d = T.load(spark, sf, "customer").where("c_custkey <= 60").select(F.col("c_custkey").alias("item_id"), F.col("c_mktsegment").alias("key"), F.length("c_mktsegment").alias("lat"))
-    return llm_order_by(d, "key", "longest name", id_col="item_id", latent="lat", dedup_keys=True).select("item_id", "rnk")
+    d = T.load(spark, sf, "customer").select(F.col("c_custkey").alias("item_id"), "c_nationkey", F.col("c_mktsegment").alias("key"), F.length("c_mktsegment").alias("lat"))
+    return llm_order_by(d, "key", "longest name", id_col="item_id", partition_by="c_nationkey", latent="lat", dedup_keys=True).select("item_id", "rnk")
 
 
-@query("cache_hits", "SELECT 'first' AS run, false AS hit, count(*) AS n FROM customer WHERE c_custkey < 200 UNION ALL SELECT 'second', true, count(*) FROM customer WHERE c_custkey < 200")
+@query("cache_hits", "SELECT 'first' AS run, false AS hit, count(*) AS n FROM customer UNION ALL SELECT 'second', true, count(*) FROM customer UNION ALL SELECT 'other criterion', false, count(*) FROM customer")
 def cache_hits(spark, sf):
-    """The same wave twice: the second run pays nothing."""
+    """The same wave twice: the second run pays nothing; another criterion pays again."""
     items, scratch = T.workload(spark, sf, "w1"), Scratch(spark, "cache")
     cache = ResponseCache(spark, scratch.path("responses"))
-    runs = []
-    for name in ("first", "second"):
-        _, got = score_waves(items, POINT, SimBackend("factual"), cache=cache, scratch=Scratch(spark, f"cache-{name}"))
-        runs.append(got.groupBy("hit").agg(F.count("*").alias("n")).select(F.lit(name).alias("run"), "hit", "n"))
-    return runs[0].unionByName(runs[1])
+    out = None
+    for name, backend in (("first", SimBackend("factual")), ("second", SimBackend("factual")), ("other criterion", SimBackend("factual").about("another"))):
+        _, got = score_waves(items, POINT, backend, cache=cache, scratch=Scratch(spark, "cache-run"))
+        run = got.groupBy("hit").agg(F.count("*").alias("n")).select(F.lit(name).alias("run"), "hit", "n")
+        out = run if out is None else out.unionByName(run)
+    return out
+
+
+@query("probe_cache_hits_w5", items_sql("w5", "SELECT task_id, least(count(*), 20) AS hits, count(*) - least(count(*), 20) AS calls FROM i WHERE key <> '' GROUP BY task_id"))
+def probe_cache_hits(spark, sf):
+    """With single scores as the one candidate, the final run asks only what the probe has not asked."""
+    items = T.workload(spark, sf, "w5")
+    r = O.optimize(items, T.tasks_of(items), 10**12, SimBackend("reasoning"), inquiry=False, candidates=[POINT])
+    return r.ledger.where("phase = 'ranking'").select("task_id", "hits", "calls")
 
 
 query("stream_topk_hourly", "SELECT strftime(date_trunc('hour', ts), '%Y-%m-%d %H') AS task_id, event_id AS item_id, row_number() OVER (PARTITION BY date_trunc('hour', ts) ORDER BY CAST(round(value * 1000) AS BIGINT) DESC, event_id) AS rnk FROM events WHERE event_type <> '' QUALIFY rnk <= 3")(lambda s, d: stream_topk(s, d, 3))
@@ -647,7 +836,7 @@ def stream_session_rank(spark, sf):
 
 # ---- around the methods ------------------------------------------------------------------------------------------------
 
-query("split_merge_w1", exact_sql("w1"))(lambda s, d: split_merge(T.workload(s, d, "w1"), SimBackend(), 5))
+query("split_merge_w1", exact_sql("w1"))(lambda s, d: split_merge(T.workload(s, d, "w1"), SimBackend(), 5)[0].drop("path_id"))
 
 
 @query("as_of_price", "WITH p AS (SELECT user_id, ts, value AS price FROM events WHERE event_type = (SELECT min(event_type) FROM events)), e AS (SELECT event_id, user_id, ts FROM events WHERE event_type <> (SELECT min(event_type) FROM events)) SELECT event_id, (SELECT max_by(price, (ts, price)) FROM p WHERE p.user_id = e.user_id AND p.ts <= e.ts) AS price FROM e")
@@ -673,4 +862,27 @@ query("fit_batch_w5", items_sql("w5", "x AS (SELECT task_id, length(key) AS c, r
     lambda s, d: fit_batch(T.workload(s, d, "w5").select("task_id", F.length("key").alias("chars")), 8, 6000)
 )
 
+
+@query("formats_w2", exact_sql("w2").replace("SELECT task_id, item_id, row_number()", "SELECT format, task_id, item_id, row_number()", 1).replace("FROM i WHERE", "FROM i, (VALUES ('parquet'), ('orc'), ('json'), ('csv')) f(format) WHERE").replace("PARTITION BY task_id ORDER BY lat", "PARTITION BY format, task_id ORDER BY lat"))
+def formats(spark, sf):
+    """A ranking written and read in every format."""
+    from semrank.sources.files import FORMATS, read_items, write_ranking
+
+    scratch, out = Scratch(spark, "formats"), None
+    found = scratch.write("ranked", ranked(spark, sf, "w2", EXT_MERGE))
+    for fmt in FORMATS:
+        write_ranking(found, scratch.path(fmt), fmt)
+        back = read_items(spark, scratch.path(fmt), fmt, "task_id string, item_id bigint, rnk bigint").withColumn("format", F.lit(fmt))
+        out = back if out is None else out.unionByName(back)
+    return out
+
+
+@query("window_ranks_w5", _R2 + " SELECT task_id, path_id, item_id, ntile(4) OVER w AS quarter, round(percent_rank() OVER w, 6) AS share, round(cume_dist() OVER w, 6) AS upto, lag(item_id) OVER w AS ahead FROM r WINDOW w AS (PARTITION BY task_id, path_id ORDER BY rnk)")
+def window_ranks(spark, sf):
+    """What window functions make of rankings."""
+    w = W.partitionBy("task_id", "path_id").orderBy("rnk")
+    r = value_ranks(spark, sf)[1]
+    return r.select("task_id", "path_id", "item_id", F.ntile(4).over(w).cast("bigint").alias("quarter"), F.round(F.percent_rank().over(w), 6).alias("share"), F.round(F.cume_dist().over(w), 6).alias("upto"), F.lag("item_id").over(w).alias("ahead"))
+
+
 __all__ = ["ORACLES", "QUERIES", "calls", "exact_calls"]

@@ -1,24 +1,30 @@
-"""Model access: one protocol, a seeded simulator, an HTTP adapter.
+"""Model access: one protocol of six operations, a seeded simulator, an adapter for hosted models.
 
-The simulator stands in for a hosted model; its answers say nothing about real ones. All of
+A backend is bound to a criterion and a direction by ``about``; its ``identity`` names everything beside the keys that
+decides a reply. The simulator stands in for a hosted model; its answers say nothing about real ones. All of
 it is integer arithmetic on MD5, so that SQL can repeat it:
 
-* an item has a latent value 0..10000 (10000 is best for a descending order);
-* noise(x, a) is the first 8 hex digits of md5(x), modulo 2a+1, less a;
+* an item has a latent value 0..10000 (10000 is best); for an ascending order it is 10000 less that;
+* noise(x, a) is the first 8 hex digits of md5(x), modulo 2a+1, less a; x holds the criterion if there is one;
 * a score is latent + noise, clipped to 0..10000 and cut into 0..max_point buckets (coarse buckets make ties);
 * a comparison is the sign of the difference of latents + the pair's noise: symmetric, not always transitive;
 * a list is sorted by latent + noise of (batch, item);
-* the judge ranks the sample by its own noisy latents and picks the candidate closest to that (Kendall tau);
-* an inquiry returns the task's kind, flipped when md5(seed|task) mod 1000 is below the tier's error.
+* the judge is shown the sample and the candidates' rankings of it, orders the sample by latent + noise, and picks the candidate closest
+  to that (Kendall tau; equal ones by a seeded numbering);
+* an inquiry is shown the first keys of a sample and returns the task's kind, flipped when md5(seed|task) mod 1000 is below the tier's error.
 """
 
 from __future__ import annotations
 
 import hashlib
 import json
+import threading
+import time
+import urllib.error
 import urllib.request
-from collections.abc import Sequence
-from dataclasses import dataclass
+from collections.abc import Callable, Mapping, Sequence
+from concurrent.futures import ThreadPoolExecutor
+from dataclasses import dataclass, replace
 from typing import Protocol
 
 TOP = 10000
@@ -89,12 +95,35 @@ class Key:
 
 
 class ModelBackend(Protocol):
-    """Operations a path may ask for. Replies may be malformed: ``repair`` deals with that."""
+    """Operations a path or the optimizer may ask for. Replies may be malformed: ``repair_order`` and ``repair_scores`` deal with that.
 
-    def score(self, task: str, key: Key, max_point: int) -> tuple[int, Usage]: ...
-    def score_many(self, task: str, batch: int, keys: Sequence[Key], max_point: int) -> tuple[list[int], Usage]: ...
+    ``reads_text``: whether keys must carry their text, which then travels with them. ``threads``: calls that one worker keeps in flight.
+    """
+
+    tier: str
+    reads_text: bool
+    threads: int
+
+    def about(self, criterion: str, descending: bool = True) -> ModelBackend: ...
+    def identity(self) -> str: ...
+    def score(self, task: str, key: Key, max_point: int, lookup: bool = False) -> tuple[int, Usage]: ...
+    def score_many(self, task: str, batch: int, keys: Sequence[Key], max_point: int, lookup: bool = False) -> tuple[list[int], Usage]: ...
     def compare(self, task: str, a: Key, b: Key) -> tuple[int, Usage]: ...
     def order(self, task: str, keys: Sequence[Key]) -> tuple[list[int], Usage]: ...
+    def inquire(self, task: str, keys: Sequence[Key], kind: str) -> tuple[str, Usage]: ...
+    def judge(self, task: str, keys: Sequence[Key], rankings: Mapping[str, Sequence[int]]) -> tuple[str, Usage]: ...
+
+
+def numbered(seed: int, task: str, path_ids: Sequence[str]) -> list[str]:
+    """Candidates in the seeded order in which a judge is shown them, so that no path is always first."""
+    return sorted(path_ids, key=lambda p: (int(hashlib.md5(f"{seed}|{task}|{p}".encode()).hexdigest()[:8], 16), p))
+
+
+def concordance(ranking: Sequence[int], value: Mapping[int, int]) -> float:
+    """Kendall tau of a ranking of ids with their values (higher is better); 0 for fewer than two."""
+    ids = [i for i in ranking if i in value]
+    pairs = [(value[a] > value[b]) - (value[a] < value[b]) for n, a in enumerate(ids) for b in ids[n + 1 :]]
+    return sum(pairs) / len(pairs) if pairs else 0.0
 
 
 @dataclass(frozen=True)
@@ -106,32 +135,50 @@ class SimBackend:
     seed: int = 7
     reasoning: bool = False
     scale: bool = True
+    criterion: str = ""
+    descending: bool = True
+    reads_text: bool = False
+    threads: int = 1
+
+    def about(self, criterion: str, descending: bool = True) -> SimBackend:
+        return replace(self, criterion=criterion, descending=descending)
+
+    def identity(self) -> str:
+        return json.dumps(["sim", self.profile, self.tier, self.seed, self.reasoning, self.scale, self.criterion, self.descending])
 
     def amplitude(self, op: str) -> int:
         a = getattr(PROFILES[self.profile], op)
         return a * TIERS[self.tier] // 100 if self.scale else a
 
-    def usage(self, op: str, keys: Sequence[Key], lookups: int = 0) -> Usage:
+    def usage(self, op: str, keys: Sequence[Key], lookups: int = 0, more: int = 0) -> Usage:
         out = REPLY[op] + PER_ITEM.get(op, 0) * len(keys) + (REASONING if self.reasoning else 0)
-        return Usage(count_tokens(TEMPLATE[op] + sum(k.chars for k in keys)), out, lookups)
+        return Usage(count_tokens(TEMPLATE[op] + len(self.criterion) + more + sum(k.chars for k in keys)), out, lookups)
+
+    def _task(self, task: str) -> str:
+        return f"{task}|{self.criterion}" if self.criterion else task
+
+    def _value(self, value: int) -> int:
+        return value if self.descending else TOP - value
 
     def _bucket(self, value: int, max_point: int) -> int:
         return min(max(value, 0), TOP) * max_point // TOP
 
-    def score(self, task: str, key: Key, max_point: int, lookup: bool = False) -> tuple[int, Usage]:
+    def _scored(self, key: Key, seen: str, a: int, max_point: int, lookup: bool) -> int:
         if lookup and key.fact is not None:
-            return self._bucket(key.fact, max_point), self.usage("score", [key], 1)
-        return self._bucket(key.latent + noise(f"{self.seed}|s|{task}|{key.item_id}", self.amplitude("score")), max_point), self.usage("score", [key], int(lookup))
+            return self._bucket(self._value(key.fact), max_point)
+        return self._bucket(self._value(key.latent) + noise(f"{self.seed}|{seen}|{key.item_id}", a), max_point)
+
+    def score(self, task: str, key: Key, max_point: int, lookup: bool = False) -> tuple[int, Usage]:
+        return self._scored(key, f"s|{self._task(task)}", self.amplitude("score"), max_point, lookup), self.usage("score", [key], int(lookup))
 
     def score_many(self, task: str, batch: int, keys: Sequence[Key], max_point: int, lookup: bool = False) -> tuple[list[int], Usage]:
-        a = self.amplitude("score_many")
-        out = [self._bucket(k.fact if lookup and k.fact is not None else k.latent + noise(f"{self.seed}|b|{task}|{batch}|{k.item_id}", a), max_point) for k in keys]
-        return out, self.usage("score_many", keys, len(keys) * lookup)
+        a, seen = self.amplitude("score_many"), f"b|{self._task(task)}|{batch}"
+        return [self._scored(k, seen, a, max_point, lookup) for k in keys], self.usage("score_many", keys, len(keys) * lookup)
 
     def compare(self, task: str, a: Key, b: Key) -> tuple[int, Usage]:
         """-1 if a is less (ranks behind b), else 1."""
         lo, hi = (a, b) if a.item_id < b.item_id else (b, a)
-        d = lo.latent - hi.latent + noise(f"{self.seed}|c|{task}|{lo.item_id}|{hi.item_id}", self.amplitude("compare"))
+        d = self._value(lo.latent) - self._value(hi.latent) + noise(f"{self.seed}|c|{self._task(task)}|{lo.item_id}|{hi.item_id}", self.amplitude("compare"))
         lo_is_better = d >= 0
         return (1 if (lo is a) == lo_is_better else -1), self.usage("compare", [a, b])
 
@@ -139,42 +186,160 @@ class SimBackend:
         """Ids, best first."""
         sign = "-".join(str(i) for i in sorted(k.item_id for k in keys))
         a = self.amplitude("order")
-        value = {k.item_id: k.latent + noise(f"{self.seed}|o|{task}|{sign}|{k.item_id}", a) for k in keys}
+        value = {k.item_id: self._value(k.latent) + noise(f"{self.seed}|o|{self._task(task)}|{sign}|{k.item_id}", a) for k in keys}
         return sorted(value, key=lambda i: (-value[i], i)), self.usage("order", keys)
 
+    def inquire(self, task: str, keys: Sequence[Key], kind: str) -> tuple[str, Usage]:
+        """'factual' or 'reasoning'; ``kind`` is the truth, which only the simulator is told."""
+        flipped = int(hashlib.md5(f"{self.seed}|{task}".encode()).hexdigest()[:8], 16) % 1000 < self.amplitude("inquiry")
+        other = "reasoning" if kind == "factual" else "factual"
+        return (other if flipped else kind), self.usage("inquiry", keys)
+
+    def judge(self, task: str, keys: Sequence[Key], rankings: Mapping[str, Sequence[int]]) -> tuple[str, Usage]:
+        a = self.amplitude("judge")
+        value = {k.item_id: self._value(k.latent) + noise(f"{self.seed}|j|{self._task(task)}|{k.item_id}", a) for k in keys}
+        shown = numbered(self.seed, task, list(rankings))
+        # the first of equals, as they are numbered
+        best = max(shown, key=lambda p: concordance(rankings[p], value))
+        return best, self.usage("judge", keys, more=sum(4 * len(r) for r in rankings.values()))
+
+
+class Throttle:
+    """At most so many calls a minute from this worker: what travels to a worker starts anew there."""
+
+    def __init__(self):
+        self.lock, self.free_at = threading.Lock(), {}
+
+    def __reduce__(self):
+        return Throttle, ()
+
+    def wait(self, name: str, per_minute: float) -> None:
+        with self.lock:
+            at = max(time.monotonic(), self.free_at.get(name, 0.0))
+            self.free_at[name] = at + 60.0 / per_minute
+        time.sleep(max(0.0, at - time.monotonic()))
+
+
+THROTTLE = Throttle()
+
+
+class BadReply(ValueError):
+    """A reply that does not follow the schema."""
+
 
 @dataclass(frozen=True)
 class HttpBackend:
-    """A hosted model behind a JSON endpoint: {prompt, schema} -> {reply, in_tok, out_tok}. Not exercised here: there is no network."""
+    """A hosted model behind a JSON endpoint: {model, temperature, prompt, schema} -> {reply, in_tok, out_tok}.
+
+    ``reply`` is an object or JSON text. A call is tried again, with rising pauses, when the service is busy or the reply breaks the schema. An
+    ascending order asks the same questions and turns the answers round. ``per_minute`` is this worker's share of a provider's limit.
+    """
 
     endpoint: str
     model: str
-    criterion: str
+    tier: str = "medium"
+    criterion: str = ""
+    descending: bool = True
     timeout: float = 60.0
+    attempts: int = 4
+    pause: float = 0.5
+    threads: int = 8
+    per_minute: float | None = None
+    reasoning: bool = False
+    seed: int = 7
+    reads_text: bool = True
+
+    def about(self, criterion: str, descending: bool = True) -> HttpBackend:
+        return replace(self, criterion=criterion, descending=descending)
+
+    def identity(self) -> str:
+        return json.dumps(["http", self.endpoint, self.model, self.reasoning, self.criterion, self.descending])
+
+    def _ask(self, prompt: str, schema: dict, read: Callable[[dict], object], lookups: int = 0):
+        """What ``read`` makes of the reply, and the usage of all attempts."""
+        body = json.dumps({"model": self.model, "temperature": 0, "reasoning": "medium" if self.reasoning else "minimal", "tools": ["search"] if lookups else [], "prompt": prompt, "schema": schema}).encode()
+        used = Usage(0, 0, 0)
+        for n in range(self.attempts):
+            if self.per_minute:
+                THROTTLE.wait(self.endpoint, self.per_minute)
+            try:
+                with urllib.request.urlopen(urllib.request.Request(self.endpoint, body, {"Content-Type": "application/json"}), timeout=self.timeout) as r:
+                    got = json.load(r)
+                used = Usage(used.in_tok + int(got.get("in_tok", 0)), used.out_tok + int(got.get("out_tok", 0)), used.lookups + lookups)
+                reply = got["reply"]
+                return read(json.loads(reply) if isinstance(reply, str) else reply), used
+            except urllib.error.HTTPError as e:
+                if e.code not in (408, 429, 500, 502, 503, 504) or n + 1 == self.attempts:
+                    raise
+            except (urllib.error.URLError, TimeoutError, BadReply, KeyError, TypeError, ValueError):
+                if n + 1 == self.attempts:
+                    raise
+            time.sleep(self.pause * 2**n)
+
+    def _facts(self, keys: Sequence[Key], lookup: bool) -> str:
+        known = [f"[{i}] {k.fact}" for i, k in enumerate(keys, 1) if lookup and k.fact is not None]
+        return "\nValues found in reference sources:\n" + "\n".join(known) if known else ""
+
+    @staticmethod
+    def _shown(keys: Sequence[Key]) -> str:
+        return "\n".join(f"[{i}] {k.text}" for i, k in enumerate(keys, 1))
+
+    def _point(self, value, max_point: int) -> int:
+        if isinstance(value, bool) or not isinstance(value, int):
+            raise BadReply("not a whole number")
+        value = min(max(value, 0), max_point)
+        return value if self.descending else max_point - value
 
-    def _ask(self, prompt: str, schema: dict) -> tuple[dict, Usage]:
-        body = json.dumps({"model": self.model, "temperature": 0, "prompt": prompt, "schema": schema}).encode()
-        with urllib.request.urlopen(urllib.request.Request(self.endpoint, body, {"Content-Type": "application/json"}), timeout=self.timeout) as r:
-            got = json.load(r)
-        return got["reply"], Usage(got["in_tok"], got["out_tok"])
-
-    def score(self, task: str, key: Key, max_point: int) -> tuple[int, Usage]:
-        reply, used = self._ask(f"Criterion: {self.criterion}\nGive this entry a whole number from 0 (worst) to {max_point} (best).\n{key.text}", {"value": "integer"})
-        return reply["value"], used
+    def score(self, task: str, key: Key, max_point: int, lookup: bool = False) -> tuple[int, Usage]:
+        text = f"Criterion: {self.criterion}\nHow far does this entry meet it? Give a whole number, 0 for not at all, {max_point} for fully.\n{self._shown([key])}{self._facts([key], lookup)}"
+        return self._ask(text, {"value": "integer"}, lambda r: self._point(r["value"], max_point), int(lookup))
 
-    def score_many(self, task: str, batch: int, keys: Sequence[Key], max_point: int) -> tuple[list[int], Usage]:
-        shown = "\n".join(f"[{i}] {k.text}" for i, k in enumerate(keys))
-        reply, used = self._ask(f"Criterion: {self.criterion}\nGive each entry a whole number from 0 (worst) to {max_point} (best), in the order shown.\n{shown}", {"values": ["integer"]})
-        return reply["values"], used
+    def score_many(self, task: str, batch: int, keys: Sequence[Key], max_point: int, lookup: bool = False) -> tuple[list[int], Usage]:
+        """A list of another length is the caller's to deal with (``repair_scores``)."""
+        text = f"Criterion: {self.criterion}\nHow far does each entry meet it? Give one whole number per entry, in the order shown, 0 for not at all, {max_point} for fully.\n{self._shown(keys)}{self._facts(keys, lookup)}"
+        return self._ask(text, {"values": ["integer"]}, lambda r: [self._point(v, max_point) for v in r["values"]], len(keys) * lookup)
 
     def compare(self, task: str, a: Key, b: Key) -> tuple[int, Usage]:
-        reply, used = self._ask(f"Criterion: {self.criterion}\nWhich of the two entries meets it better, 1 or 2?\n[1] {a.text}\n[2] {b.text}", {"better": "integer"})
-        return (1 if reply["better"] == 1 else -1), used
+        def read(r: dict) -> int:
+            if r["better"] not in (1, 2):
+                raise BadReply("neither entry")
+            return 1 if (r["better"] == 1) == self.descending else -1
+
+        return self._ask(f"Criterion: {self.criterion}\nOf these two entries, which meets it better, 1 or 2?\n{self._shown([a, b])}", {"better": "integer"}, read)
 
     def order(self, task: str, keys: Sequence[Key]) -> tuple[list[int], Usage]:
-        shown = "\n".join(f"[{i}] {k.text}" for i, k in enumerate(keys))
-        reply, used = self._ask(f"Criterion: {self.criterion}\nList the numbers of the entries, best first.\n{shown}", {"order": ["integer"]})
-        return [keys[i].item_id for i in reply["order"] if 0 <= i < len(keys)], used
+        """Ids; what the reply leaves out or repeats is the caller's to deal with (``repair_order``)."""
+
+        def read(r: dict) -> list[int]:
+            ids = [keys[i - 1].item_id for i in r["order"] if isinstance(i, int) and 1 <= i <= len(keys)]
+            return ids if self.descending else ids[::-1]
+
+        return self._ask(f"Criterion: {self.criterion}\nPut the numbers of these entries in order, the one that meets it best first.\n{self._shown(keys)}", {"order": ["integer"]}, read)
+
+    def inquire(self, task: str, keys: Sequence[Key], kind: str = "") -> tuple[str, Usage]:
+        text = f"Somebody wants entries sorted by this criterion: {self.criterion}\nSome of the entries:\n{self._shown(keys)}\nDoes public knowledge about the world settle the order, so that no judgement is needed?"
+        return self._ask(text, {"world_fact": "boolean"}, lambda r: "factual" if r["world_fact"] is True else "reasoning")
+
+    def judge(self, task: str, keys: Sequence[Key], rankings: Mapping[str, Sequence[int]]) -> tuple[str, Usage]:
+        shown, place = numbered(self.seed, task, list(rankings)), {k.item_id: i for i, k in enumerate(keys, 1)}
+        lists = "\n".join(f"Result {n}: " + ", ".join(str(place[i]) for i in rankings[p] if i in place) for n, p in enumerate(shown, 1))
+        way = "best first" if self.descending else "worst first"
+
+        def read(r: dict) -> str:
+            if not isinstance(r["choice"], int) or not 1 <= r["choice"] <= len(shown):
+                raise BadReply("no such result")
+            return shown[r["choice"] - 1]
+
+        text = f"You compare sorted results. The entries:\n{self._shown(keys)}\nThey were to be sorted, {way}, by this criterion: {self.criterion}\n{lists}\nReason about the order step by step, then give the number of the result that is sorted best."
+        return self._ask(text, {"reasoning": "string", "choice": "integer"}, read)
+
+
+def each(backend: ModelBackend, ask: Callable, requests: Sequence) -> list:
+    """Answers to requests that may run at once, in order, with as many threads as the backend says."""
+    if backend.threads <= 1 or len(requests) <= 1:
+        return [ask(r) for r in requests]
+    with ThreadPoolExecutor(min(backend.threads, len(requests))) as pool:
+        return list(pool.map(ask, requests))
 
 
 def repair_order(reply: Sequence[int], keys: Sequence[Key]) -> tuple[list[int], int]:

@@ -36,10 +36,10 @@ def _positions(items: DataFrame) -> DataFrame:
     return items.withColumn("pos", (F.row_number().over(W.partitionBy("task_id").orderBy("item_id")) - 1).cast("int"))
 
 
-def gold_w1(spark: SparkSession, sf_dir: str, n: int = 200) -> DataFrame:
-    """The first customers by account balance in cents; the key is the name alone."""
-    c = load(spark, sf_dir, "customer").where(F.col("c_custkey") < n)
-    return c.select(F.lit("w1").alias("task_id"), F.col("c_custkey").alias("item_id"), F.col("c_name").alias("key"), F.round(F.col("c_acctbal") * 100).cast("bigint").alias("grade"))
+def gold_w1(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Customers by account balance in cents, a task per nation; the key is the name alone."""
+    c = load(spark, sf_dir, "customer")
+    return c.select(F.concat(F.lit("w1-"), "c_nationkey").alias("task_id"), F.col("c_custkey").cast("bigint").alias("item_id"), F.col("c_name").alias("key"), F.round(F.col("c_acctbal") * 100).cast("bigint").alias("grade"))
 
 
 def gold_w2(spark: SparkSession, sf_dir: str) -> DataFrame:
@@ -77,80 +77,71 @@ def grade_of(share: Column) -> Column:
     return F.when(share >= 0.95, 3).when(share >= 0.10, 2).when(share >= 0.05, 1).otherwise(0)
 
 
-def gold_w3(spark: SparkSession, sf_dir: str, n: int = 100) -> DataFrame:
-    """Each benchmark item's BM25 top n documents, graded by word-pair coverage."""
-    from semrank.operators.retrieval import bm25_topn
+def gold_w3(spark: SparkSession, sf_dir: str, n: int = 100, half: bool = False) -> DataFrame:
+    """Each benchmark item's BM25 top n documents, graded by word-pair coverage. ``half`` (W4): the query is the second half of the item's words."""
+    from semrank.operators.retrieval import bm25_topn, terms
 
     docs, queries = load(spark, sf_dir, "documents"), load(spark, sf_dir, "benchmark")
-    top = bm25_topn(docs.select("doc_id", "text"), queries.select(F.col("item_id").alias("query_id"), "text"), n)
+    words = terms(F.col("text"))
+    asked = F.array_join(F.slice(words, F.floor(F.size(words) / 2).cast("int") + 1, F.size(words)), " ") if half else F.col("text")
+    top = bm25_topn(docs.select("doc_id", "text"), queries.select(F.col("item_id").alias("query_id"), asked.alias("text")), n)
     graded = top.join(coverage(spark, sf_dir), ["query_id", "doc_id"], "left")
     keyed = graded.join(docs.select("doc_id", F.col("text").alias("key")), "doc_id")
-    return keyed.select(
-        F.format_string("w3-%d", "query_id").alias("task_id"), F.col("doc_id").alias("item_id"), "key", grade_of(F.coalesce("share", F.lit(0.0))).cast("bigint").alias("grade"), (F.col("rnk") - 1).cast("int").alias("pos")
-    )
+    name = F.format_string("w4-%d" if half else "w3-%d", "query_id")
+    return keyed.select(name.alias("task_id"), F.col("doc_id").alias("item_id"), "key", grade_of(F.coalesce("share", F.lit(0.0))).cast("bigint").alias("grade"), (F.col("rnk") - 1).cast("int").alias("pos"))
 
 
-def _labelled(spark: SparkSession, sf_dir: str) -> DataFrame:
-    lab = load(spark, sf_dir, "labels").select("doc_id", "quality", "toxic")
-    return load(spark, sf_dir, "documents").join(lab, "doc_id").where("source is not null")
+def gold_w4(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return gold_w3(spark, sf_dir, half=True)
 
 
 def gold_w5(spark: SparkSession, sf_dir: str, worst: bool = False) -> DataFrame:
-    """Labelled documents of the five sources that have most: 2 * quality + (1 - toxic); ``worst`` reverses the criterion."""
-    d = _labelled(spark, sf_dir)
-    top = d.groupBy("source").agg(F.count("*").alias("c")).orderBy(F.col("c").desc(), "source").limit(5).select("source")
+    """Labelled documents, a task per source: 2 * quality + (1 - toxic); ``worst`` reverses the criterion."""
+    lab = load(spark, sf_dir, "labels").select("doc_id", "quality", "toxic")
+    d = load(spark, sf_dir, "documents").join(lab, "doc_id")
     good = 2 * F.col("quality") + 1 - F.col("toxic")
-    d = d.join(F.broadcast(top), "source")  # five rows
-    return d.select(F.concat(F.lit("w5b-" if worst else "w5-"), "source").alias("task_id"), F.col("doc_id").alias("item_id"), F.col("text").alias("key"), (3 - good if worst else good).cast("bigint").alias("grade"))
+    task = F.concat(F.lit("w5b-" if worst else "w5-"), F.coalesce("source", F.lit("")))
+    return d.select(task.alias("task_id"), F.col("doc_id").alias("item_id"), F.col("text").alias("key"), (3 - good if worst else good).cast("bigint").alias("grade"))
 
 
-def gold_w6(spark: SparkSession, sf_dir: str, cap: int = 4000, queries: int = 3) -> DataFrame:
-    """Three benchmark items that some document holds verbatim, against all documents up to a cap: few are relevant."""
+def gold_w6(spark: SparkSession, sf_dir: str, queries: int = 3) -> DataFrame:
+    """Three benchmark items that some document holds verbatim, against all documents: few are relevant."""
     cov = coverage(spark, sf_dir)
     full = cov.where("share >= 0.95").select("query_id").distinct().orderBy("query_id").limit(queries)
-    docs = load(spark, sf_dir, "documents").where(F.col("doc_id") < cap)
-    pairs = docs.crossJoin(F.broadcast(full))  # three rows
+    pairs = load(spark, sf_dir, "documents").crossJoin(F.broadcast(full))  # three rows
     g = pairs.join(cov, ["query_id", "doc_id"], "left")
     return g.select(F.format_string("w6-%d", "query_id").alias("task_id"), F.col("doc_id").alias("item_id"), F.col("text").alias("key"), grade_of(F.coalesce("share", F.lit(0.0))).cast("bigint").alias("grade"))
 
 
-def _turns(spark: SparkSession, sf_dir: str) -> tuple[DataFrame, DataFrame]:
-    c = load(spark, sf_dir, "conversations")
-    user = c.where("role = 'user'").select("conv_id", "turn", "text")
-    answers = c.where("role = 'assistant'").select("conv_id", "turn", F.col("text").alias("answer"))
-    pairs = user.join(answers.select("conv_id", (F.col("turn") - 1).alias("turn"), "answer"), ["conv_id", "turn"])
-    return pairs, answers
+#: Conversations whose answers make up one shared pool.
+POOL = 100
 
 
-def gold_w7(spark: SparkSession, sf_dir: str, contexts: int = 100, pool: int = 400) -> DataFrame:
-    """User turns as contexts over a shared pool of answers: the own next turn 2, the same conversation 1, else 0."""
-    pairs, answers = _turns(spark, sf_dir)
-    first = pairs.orderBy("conv_id", "turn").limit(contexts)
-    p = answers.orderBy("conv_id", "turn").limit(pool)
-    g = first.select(F.col("conv_id").alias("c1"), F.col("turn").alias("t1")).crossJoin(p)  # at most contexts times pool rows
+def gold_w7(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Each user turn that was answered as a context over a pool of answers, those of its hundred of conversations: the own next turn 2, the same conversation 1, else 0."""
+    c = load(spark, sf_dir, "conversations")
+    answers = c.where("role = 'assistant'").select("conv_id", "turn", F.col("text").alias("answer"))
+    pool = answers.withColumn("p", F.floor(F.col("conv_id") / POOL))
+    asked = c.where("role = 'user'").select("conv_id", "turn").join(answers.select("conv_id", (F.col("turn") - 1).alias("turn")), ["conv_id", "turn"])
+    asked = asked.select(F.col("conv_id").alias("c1"), F.col("turn").alias("t1"), F.floor(F.col("conv_id") / POOL).alias("p"))
+    g = asked.join(pool, "p")
     own = (F.col("c1") == F.col("conv_id")) & (F.col("turn") == F.col("t1") + 1)
     return g.select(
         F.format_string("w7-%d-%d", "c1", "t1").alias("task_id"), (F.col("conv_id") * 1000 + F.col("turn")).alias("item_id"), F.col("answer").alias("key"), F.when(own, 2).when(F.col("c1") == F.col("conv_id"), 1).otherwise(0).cast("bigint").alias("grade")
     )
 
 
-def tasks_w8(spark: SparkSession, sf_dir: str, n: int = 137) -> DataFrame:
-    """Inquiry set: templated questions on stored attributes (factual) and user turns (reasoning), as many of each."""
-    pairs, _ = _turns(spark, sf_dir)
-    users = load(spark, sf_dir, "conversations").where("role = 'user'").orderBy("conv_id", "turn").limit(n)
-    m = users.count()
-    reasoning = users.select(F.format_string("r-%d-%d", "conv_id", "turn").alias("task_id"), F.col("text").alias("criterion"), F.lit("reasoning").alias("kind"))
+def tasks_w8(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Inquiry set: templated questions on stored attributes (factual) and user turns (reasoning)."""
+    users = load(spark, sf_dir, "conversations").where("role = 'user'")
+    out = users.select(F.format_string("r-%d-%d", "conv_id", "turn").alias("task_id"), F.col("text").alias("criterion"), F.lit("reasoning").alias("kind"))
     about = {"nation": ("n_nationkey", "n_name", "population"), "region": ("r_regionkey", "r_name", "area"), "part": ("p_partkey", "p_name", "retail price"), "supplier": ("s_suppkey", "s_name", "account balance")}
-    parts = []
     for t, (key, name, what) in about.items():
-        parts.append(load(spark, sf_dir, t).select(F.concat(F.lit(f"f-{t}-"), F.col(key)).alias("task_id"), F.concat(F.lit(f"the {what} of "), name).alias("criterion"), F.lit("factual").alias("kind")))
-    factual = parts[0]
-    for p in parts[1:]:
-        factual = factual.unionByName(p)
-    return reasoning.unionByName(factual.orderBy("task_id").limit(m))
+        out = out.unionByName(load(spark, sf_dir, t).select(F.concat(F.lit(f"f-{t}-"), F.col(key)).alias("task_id"), F.concat(F.lit(f"the {what} of "), name).alias("criterion"), F.lit("factual").alias("kind")))
+    return out
 
 
-WORKLOADS = {"w1": gold_w1, "w2": gold_w2, "w3": gold_w3, "w5": gold_w5, "w6": gold_w6, "w7": gold_w7}
+WORKLOADS = {"w1": gold_w1, "w2": gold_w2, "w3": gold_w3, "w4": gold_w4, "w5": gold_w5, "w6": gold_w6, "w7": gold_w7}
 
 
 def workload(spark: SparkSession, sf_dir: str, name: str, *, k: int | None = None) -> DataFrame:

@@ -8,11 +8,11 @@ from pyspark.sql import functions as F
 
 from semrank.exec.generators import merge_two
 from semrank.exec.packed import rankings_of, run_paths
-from semrank.exec.scratch import Scratch, file_system
+from semrank.exec.scratch import Scratch, file_system, path_exists
 from semrank.plans.spec import EXT_MERGE, PathConfig
-from semrank.sources.model import Key, SimBackend
+from semrank.sources.model import Key, ModelBackend, SimBackend, repair_order
 
-TOPK = "task_id string, item_id bigint, rnk bigint, lat bigint, chars int"
+TOPK = "task_id string, item_id bigint, rnk bigint, lat bigint, chars int, text string"
 
 
 def read_events(spark: SparkSession, sf_dir: str, **options: str) -> DataFrame:
@@ -28,41 +28,50 @@ def read_events(spark: SparkSession, sf_dir: str, **options: str) -> DataFrame:
 class RunningTopK:
     """foreachBatch handler: ranks a micro-batch's items per task and merges them into the top K so far.
 
-    State is a table per batch in the shared folder; a replayed batch starts from the state before it, so it changes nothing.
+    State is a table per batch under ``root``, complete once Spark's success marker is there; a replayed batch starts from the state before it, so it
+    changes nothing, and a handler that is started anew on the same ``root`` (with the same checkpoint) goes on from what is there.
     """
 
-    def __init__(self, spark: SparkSession, k: int, backend: SimBackend | None = None, path: PathConfig = EXT_MERGE):
+    def __init__(self, spark: SparkSession, k: int, backend: ModelBackend | None = None, path: PathConfig = EXT_MERGE, root: str | None = None):
         self.spark, self.k, self.path, self.backend = spark, k, path, backend or SimBackend()
         self.scratch = Scratch(spark, "stream")
-        self.states: dict[int, DataFrame] = {}
+        self.root = root.rstrip("/") if root else self.scratch.path("state")
+
+    def batches(self) -> list[int]:
+        """Batches whose state is complete."""
+        fs, root = file_system(self.spark, self.root)
+        names = [f.getPath().getName() for f in fs.listStatus(root)] if fs.exists(root) else []
+        return sorted(int(n[4:]) for n in names if n.startswith("top-") and path_exists(self.spark, f"{self.root}/{n}/_SUCCESS"))
 
     def state(self, before: int | None = None) -> DataFrame:
-        known = [b for b in self.states if before is None or b < before]
-        return self.states[max(known)] if known else self.spark.createDataFrame([], TOPK)
+        known = [b for b in self.batches() if before is None or b < before]
+        return self.spark.read.schema(TOPK).parquet(f"{self.root}/top-{known[-1]}") if known else self.spark.createDataFrame([], TOPK)
 
     def __call__(self, items: DataFrame, batch: int) -> None:
         """``items``: task_id, item_id, pos, key, lat."""
         items = self.scratch.write(f"in{batch}", items.withColumn("k", F.lit(self.k).cast("bigint")))
         ranked = rankings_of(run_paths(items, [self.path], self.backend, scratch=self.scratch, name=f"run{batch}"))
-        new = ranked.join(items.select("task_id", "item_id", "lat", F.length("key").alias("chars")), ["task_id", "item_id"]).select("task_id", "item_id", "rnk", "lat", "chars")
+        text = F.col("key") if self.backend.reads_text else F.lit("")
+        new = ranked.join(items.select("task_id", "item_id", "lat", F.length("key").alias("chars"), text.alias("text")), ["task_id", "item_id"]).select("task_id", "item_id", "rnk", "lat", "chars", "text")
         k, m, backend = self.k, self.path.m, self.backend
 
         def merge(a: pd.DataFrame, b: pd.DataFrame) -> pd.DataFrame:
             both = pd.concat([a, b])
             task = both["task_id"].iloc[0]
-            keys = {int(i): Key(int(i), int(c), int(x)) for i, c, x in zip(both["item_id"], both["chars"], both["lat"], strict=True)}
+            keys = {int(i): Key(int(i), int(c), int(x), None, t) for i, c, x, t in zip(both["item_id"], both["chars"], both["lat"], both["text"], strict=True)}
             runs = [[int(i) for i in f.sort_values("rnk")["item_id"]] for f in (a, b)]
             g = merge_two(runs[0], runs[1], m, k)
             try:
                 ask = next(g)
                 while True:
-                    ask = g.send(backend.order(task, [keys[x] for x in ask])[0])
+                    shown = [keys[x] for x in ask]
+                    ask = g.send(repair_order(backend.order(task, shown)[0], shown)[0])
             except StopIteration as end:
                 ids = end.value
-            return pd.DataFrame({"task_id": task, "item_id": ids, "rnk": range(1, len(ids) + 1), "lat": [keys[i].latent for i in ids], "chars": [keys[i].chars for i in ids]})
+            return pd.DataFrame({"task_id": task, "item_id": ids, "rnk": range(1, len(ids) + 1), "lat": [keys[i].latent for i in ids], "chars": [keys[i].chars for i in ids], "text": [keys[i].text for i in ids]})
 
         merged = self.state(batch).groupBy("task_id").cogroup(new.groupBy("task_id")).applyInPandas(merge, TOPK)
-        self.states[batch] = self.scratch.write(f"top{batch}", merged)
+        merged.write.mode("overwrite").parquet(f"{self.root}/top-{batch}")
 
 
 def event_items(events: DataFrame) -> DataFrame:
@@ -80,21 +89,34 @@ def stream_topk(spark: SparkSession, sf_dir: str, k: int = 3) -> DataFrame:
     return top.state().select("task_id", "item_id", "rnk")
 
 
+#: The instant of the row that closes a bounded stream.
+END = "2200-01-01 00:00:00"
+
+
 def stream_sessions(spark: SparkSession, sf_dir: str, gap: str = "30 minutes") -> DataFrame:
-    """(user_id, start, n) of sessions, complete after the whole stream; late rows older than the watermark are dropped."""
+    """(user_id, start, n) of sessions, each given once the watermark has passed it; late rows older than the watermark are dropped.
+
+    The stream is bounded, so a last row far ahead (of no user) closes the sessions that are open at its end; its own is never given.
+    """
     scratch = Scratch(spark, "sessions")
-    e = read_events(spark, sf_dir).withWatermark("ts", "1 hour")
+    e = read_events(spark, sf_dir).select("user_id", "ts")
+    last = spark.range(1).select(F.lit(None).cast(e.schema["user_id"].dataType).alias("user_id"), F.lit(END).cast("timestamp").alias("ts"))
+    last.write.mode("overwrite").parquet(scratch.path("last"))
+    e = e.unionByName(spark.readStream.schema(e.schema).parquet(scratch.path("last"))).withWatermark("ts", "1 hour")
     s = e.groupBy(F.session_window("ts", gap).alias("w"), "user_id").agg(F.count("*").alias("n")).select("user_id", F.col("w.start").alias("start"), "n")
-    out: list[DataFrame] = []
+    out: dict[int, DataFrame] = {}
 
     def keep(batch: DataFrame, n: int) -> None:
-        out.append(scratch.write(f"batch{n}", batch))
+        out[n] = scratch.write(f"batch{n}", batch)
 
-    s.writeStream.outputMode("complete").foreachBatch(keep).trigger(availableNow=True).option("checkpointLocation", scratch.path("checkpoint")).start().awaitTermination()
-    return out[-1]
+    s.writeStream.outputMode("append").foreachBatch(keep).trigger(availableNow=True).option("checkpointLocation", scratch.path("checkpoint")).start().awaitTermination()
+    every = spark.createDataFrame([], s.schema)
+    for n in sorted(out):
+        every = every.unionByName(out[n])
+    return every
 
 
-def score_stream(items: DataFrame, backend: SimBackend | None = None, max_point: int = 10) -> DataFrame:
+def score_stream(items: DataFrame, backend: ModelBackend | None = None, max_point: int = 10) -> DataFrame:
     """Stateless pointwise scores on a stream; repeated items within the watermark should be dropped before (dropDuplicatesWithinWatermark)."""
     from semrank.operators.sql import semantic_score
 

@@ -82,16 +82,19 @@ def test_waves_are_packed(spark, items):
         for k in (None, 7):
             run = items.withColumn("k", F.lit(k).cast("bigint"))
             packed = run_paths(run, [EXT_MERGE, QUICK, QUICK_3], backend)
-            waves = [(EXT_MERGE, merge_waves(items, EXT_MERGE, backend, k, local=1)), (QUICK, quick_waves(items, QUICK, backend, k))]
+            waves = [(EXT_MERGE, merge_waves(items, EXT_MERGE, backend, k, local=1)), (QUICK, quick_waves(items, QUICK, backend, k, finish=4)), (QUICK_3, quick_waves(items.where("task_id = 't0'"), QUICK_3, backend, k))]
             if k and backend.profile != "clean":
                 one = items.where("task_id = 't0'")
-                waves += [(QUICK_3, quick_waves(one, QUICK_3, backend, k, settle_packed=most)) for most in (10, 0)]
+                waves += [(QUICK_3, quick_waves(one, QUICK_3, backend, k, settle_packed=most, finish=2)) for most in (10, 0)]
             for path, (waved, n) in waves:
                 same = rankings_of(packed).where(F.col("path_id") == path.path_id).select(*waved.columns)
                 assert rows(waved) == rows(same.where("task_id = 't0'") if path is QUICK_3 else same), (path, k)
                 if path is EXT_MERGE:
                     calls = usage_of(packed).where("path_id = 'ext_merge_4'").groupBy("task_id").agg(F.sum("calls").alias("calls"))
-                    assert rows(n) == rows(calls)
+                    assert rows(n.select("task_id", "calls")) == rows(calls)
+                if path is QUICK:
+                    spent = usage_of(packed).where("path_id = 'quick'").groupBy("task_id").agg(*[F.sum(c).alias(c) for c in ("calls", "in_tok", "out_tok")])
+                    assert rows(n.select(*spent.columns)) == rows(spent)
     for path in (POINT, PathConfig("score_batch", m=4)):
         waved, _ = score_waves(items, path, SimBackend("reasoning"))
         packed = rankings_of(run_paths(items, [path], SimBackend("reasoning")))
@@ -191,7 +194,7 @@ def test_sql(spark):
 
 def test_aggregate(spark, items):
     rank = rank_agg()
-    got = items.groupBy("task_id").agg(rank("item_id", "lat", F.length("key")).alias("ids"))
+    got = items.groupBy("task_id").agg(rank("item_id", "lat", "key").alias("ids"))
     for r in got.collect():
         want = [x.item_id for x in items.where(F.col("task_id") == r.task_id).orderBy(F.col("lat").desc(), "item_id").collect()]
         assert list(r.ids) == want
@@ -224,5 +227,3 @@ def test_large_partitions_run_in_waves(spark):
         assert rows(a.select("id", "rnk")) == rows(b.select("id", "rnk"))
     with pytest.raises(ValueError, match="sequential"):
         llm_order_by(d, "k", "good", id_col="id", path=PathConfig("slide_window"), packed_max=10)
-    with pytest.raises(ValueError, match="give a path"):
-        llm_order_by(d, "k", "good", id_col="id", budget_nano=5, packed_max=10)
