@@ -196,8 +196,9 @@ query("w16_merge_full", _FULL.format("CAST(round(l_extendedprice * 100) AS BIGIN
 
 @query("w16_optimized_top10", f"WITH {_LINES} SELECT 'all' AS task_id, item_id, row_number() OVER (ORDER BY CAST(round(l_extendedprice * 100) AS BIGINT) DESC, item_id) AS rnk FROM x QUALIFY rnk <= 10")
 def w16_optimized(spark, sf):
-    """A budgeted ordering of a task far beyond one worker: probe on a sample, final runs in waves, fused by ranges."""
-    out = llm_order_by(lineitem_items(spark, sf).drop("task_id"), "key", "the dearest line", id_col="item_id", latent="lat", limit=10, budget_nano=10**15, backend=SimBackend())
+    """A budgeted ordering of a task far beyond one worker: probe on a sample, the judge's choice, its run in waves. The budget is per line."""
+    items = Scratch(spark, "w16").write("items", lineitem_items(spark, sf).select("item_id", "key", "lat"))
+    out = llm_order_by(items, "key", "the dearest line", id_col="item_id", latent="lat", limit=10, budget_nano=60_000 * items.count(), policy="judge", backend=SimBackend())
     return out.select(F.lit("all").alias("task_id"), "item_id", F.col("rnk").cast("bigint").alias("rnk"))
 
 

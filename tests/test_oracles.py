@@ -6,7 +6,7 @@ import os
 import pytest
 
 SF = "/root/testdata/sf0.001"
-NAMES = ["gold_w3", "gold_w5b", "gold_w7", "rank_batch_factual_w1", "rank_point_lookup_w2", "topk_votes_w5", "topk_bubble_w7", "complexity_grid", "calls_closed_form", "cost_extrapolation", "usage_rollup", "sample_items_w3", "inquiry_route", "fuse_borda_w5", "agreement_w5", "kendall_tau_b_w5", "ndcg10_exp_w5", "spread", "bm25_top100", "vector_top100", "null_keys_first", "dedup_keys", "udtf_rank", "stream_topk_hourly", "stream_session_rank"]
+NAMES = ["gold_w3", "gold_w5b", "gold_w7", "rank_batch_factual_w1", "rank_point_lookup_w2", "topk_votes_w5", "topk_bubble_w7", "complexity_grid", "calls_closed_form", "cost_extrapolation", "usage_rollup", "sample_items_w3", "inquiry_route", "fuse_borda_w5", "agreement_w5", "kendall_tau_b_w5", "ndcg10_exp_w5", "spread", "bm25_top100", "vector_top100", "null_keys_first", "dedup_keys", "udtf_rank", "stream_topk_hourly", "stream_session_rank", "criteria_decide", "llm_order_by_ascending_quick", "llm_order_by_ascending_batch", "probe_cache_hits_w5", "judge_choice_value_w3", "window_ranks_w5"]
 
 
 @pytest.fixture(scope="module")
