@@ -183,3 +183,16 @@ def test_scores_are_those_of_a_plain_learner(spark):
         want = 1 / (1 + math.exp(-sum(weight(k) * v for k, v in features(t).items())))
         assert got[i].score == pytest.approx(want, abs=2e-3) and got[i].held_out == (zlib.crc32(str(i).encode()) % 5 == 0)
         assert got[i].predicted == int(got[i].score >= 0.3)
+
+
+def test_bounded_steps(monkeypatch):
+    """States that are not kept, and forgetting all of them, change no token."""
+    want = bpe.ByteBpe(bpe.ranks_of(None))
+    texts = [f"Zq{i * 7919 % 1000}xv plain words, überlange Wörter {i} und 数{i}据 αβγ{i}" for i in range(60)]
+    monkeypatch.setattr(bpe, "STEPS", 40)
+    monkeypatch.setattr(bpe, "MEMO", 30)
+    got = bpe.ByteBpe(bpe.ranks_of(None))
+    for _ in range(2):
+        for t in texts:
+            assert got.encode(t) == want.encode(t)
+            assert len(got.pieces) + len(got.pieces.older) <= 34 and got.transducer.n_steps <= 40
