@@ -39,3 +39,12 @@ def test_equal_items_of_a_large_task(spark):
     ranks, usage = quick_waves(items, QUICK_3, SimBackend())
     assert ranks.where("rnk <> item_id + 1").count() == 0 and ranks.count() == n
     assert usage.first()["calls"] == n * (n - 1) // 2
+
+
+def test_two_grades_of_a_large_task(spark):
+    """As in example2_sql: a few grades with long ties, beyond what runs packed."""
+    n = 5300
+    items = spark.range(n).select(F.lit("t").alias("task_id"), F.col("id").alias("item_id"), F.col("id").cast("int").alias("pos"), F.lit("key").alias("key"), (F.col("id") % 7 == 3).cast("int").alias("lat"))
+    ranks = quick_waves(items, QUICK_3, SimBackend())[0]
+    got = [r["item_id"] for r in ranks.orderBy("rnk").collect()]
+    assert got == sorted(range(n), key=lambda i: (i % 7 != 3, i))
