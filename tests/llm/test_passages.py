@@ -78,3 +78,17 @@ def test_a_hot_passage_is_cut_everywhere_but_once(spark):
     docs = spark.range(3000).select(F.col("id").alias("doc_id"), F.concat(F.lit("own "), "id", F.lit("\na hot line\nand its next\nend "), "id").alias("text"))
     left = line_dedup.dedup_lines(docs).where(F.col("text").contains("hot")).collect()
     assert [r.doc_id for r in left] == [0]
+
+
+@pytest.mark.parametrize("marks", [15, 24])
+def test_bytes_decide_where_hashes_are_alike(spark, monkeypatch, marks):
+    """Unlike lines with one rolling hash stay; with the hash alone all of them went."""
+    from pyspark.sql import functions as F
+
+    rolled = line_dedup.rolled
+    # two bits of one lane are left
+    monkeypatch.setattr(line_dedup, "rolled", lambda h: F.transform(rolled(h), lambda x: F.struct(x["a"].bitwiseAND(F.lit(3)).alias("a"), F.lit(0).cast("bigint").alias("b"))))
+    monkeypatch.setattr(line_dedup, "MARKS", marks, raising=False)
+    rng = random.Random(5)
+    texts = {i: "\n".join(rng.choice(["a", "b", " ", "c", "d e", "f", f"own {i}", "long " * 50]) for _ in range(rng.randrange(12))) for i in range(60)}
+    assert {i: r.text for i, r in run(spark, texts).items()} == plain(texts)
