@@ -41,3 +41,18 @@ def test_a_long_chain_makes_all_its_calls_in_time():
     assert time.time() - t < 15
     assert ranked == [x.item_id for x in sorted(keys, key=lambda x: (-x.latent, x.item_id))]
     assert usage["order", None][0] == exact_calls(EXT_BUBBLE, n, None)
+
+
+def test_a_large_partition_takes_its_sliding_window(spark):
+    """Before, an error beyond 5,000 rows; keys that are null stay out and come last."""
+    from pyspark.sql import functions as F
+
+    from semrank.operators.frame import llm_order_by
+
+    d = spark.range(5600).select("id", (F.col("id") % 2 * (F.col("id") < 300).cast("int")).alias("p"), F.when(F.col("id") % 13 == 0, F.lit(None)).otherwise(F.lit("k")).alias("k"), (F.col("id") * 7919 % 997).alias("lat"))
+    for desc in (True, False):
+        got = llm_order_by(d, "k", "good", id_col="id", latent="lat", partition_by="p", desc=desc, path=EXT_BUBBLE).collect()
+        want = {}
+        for r in sorted(got, key=lambda r: (r.k is None, 0 if r.k is None else -r.lat if desc else r.lat, r.id)):
+            want.setdefault(r.p, []).append(r.id)
+        assert len(got) == 5600 and all(want[r.p][r.rnk - 1] == r.id for r in got)
