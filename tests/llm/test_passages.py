@@ -92,3 +92,15 @@ def test_bytes_decide_where_hashes_are_alike(spark, monkeypatch, marks):
     rng = random.Random(5)
     texts = {i: "\n".join(rng.choice(["a", "b", " ", "c", "d e", "f", f"own {i}", "long " * 50]) for _ in range(rng.randrange(12))) for i in range(60)}
     assert {i: r.text for i, r in run(spark, texts).items()} == plain(texts)
+
+
+def test_the_pipeline_stage_compares_bytes(spark, monkeypatch):
+    """As above, in the stage: with the hash alone two unlike pairs of lines were one."""
+    import corpus_pipeline
+    from pyspark.sql import functions as F
+
+    zero = F.lit(0).cast("bigint")
+    monkeypatch.setattr(line_dedup, "rolled", lambda h: F.transform(F.slice(F.col(h), F.lit(1), F.size(h) - 1), lambda x: F.struct(zero.alias("a"), zero.alias("b"))))
+    docs = spark.createDataFrame([(1, "a\nb"), (2, "c\nd"), (3, "x\na\nb\ny")], "doc_id bigint, text string").withColumn("n_chars", F.length("text").cast("bigint"))
+    got = {r.doc_id: (r.text, r.n_chars) for r in corpus_pipeline.cut_repeated_lines(spark, docs, SF).collect()}
+    assert got == {1: ("a\nb", 3), 2: ("c\nd", 3), 3: ("x\ny", 3)}
