@@ -56,3 +56,28 @@ def test_a_large_partition_takes_its_sliding_window(spark):
         for r in sorted(got, key=lambda r: (r.k is None, 0 if r.k is None else -r.lat if desc else r.lat, r.id)):
             want.setdefault(r.p, []).append(r.id)
         assert len(got) == 5600 and all(want[r.p][r.rnk - 1] == r.id for r in got)
+
+
+@pytest.mark.parametrize("m", [2, 3, 4, 5])
+@pytest.mark.parametrize("top", [40, 1000, 2_000_000])
+def test_noise_of_many_lists_is_that_of_each(monkeypatch, m, top):
+    monkeypatch.setattr(packed, "LEAST", 1)
+    r = random.Random(top)
+    for n in (1, m, m + 1, 2 * m + 1, 38):
+        for k, more in ((None, {}), (3, {}), (None, {"rescan": True}), (None, {"stop_when_stable": True})):
+            for sim in (SimBackend("reasoning"), SimBackend("factual", "small").about("c", False)):
+                keys = [Key(i, r.randrange(1, 90), r.choice([5, r.randrange(10001)])) for i in r.sample(range(top), n)]
+                for task in ("w1-3", "t" * 9, "a task of a name as long as this, which takes a second block"):
+                    path = PathConfig("slide_window", m=m, **more)
+                    want, usage = run_path(keys, path, k, sim, task)
+                    got, summed = run_path(keys, path, k, sim, task, by_wave=False)
+                    assert got == want
+                    assert [u[:6] for u in summed.values()] == ([[sum(u[i] for u in usage.values()) for i in range(6)]] if usage else [])
+
+
+def test_a_long_noisy_chain_in_time():
+    """Before, some 26 microseconds a call: nearly a minute."""
+    keys, t = keys_for(4000, 5), time.time()
+    usage = run_path(keys, EXT_BUBBLE, None, SimBackend("reasoning"), "w1-3", by_wave=False)[1]
+    assert time.time() - t < 15
+    assert usage["order", None][0] == exact_calls(EXT_BUBBLE, 4000, None)
